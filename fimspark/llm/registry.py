@@ -5,7 +5,9 @@ from __future__ import annotations
 import importlib
 
 MODULES = {
+    "op1_pii": "pii",
     "op5_token_counts": "token_counts",
+    "op6_quality_rules": "quality_rules",
     "op8_packing": "packing",
     "op10_url_filter": "url_filter",
 }
