@@ -9,6 +9,7 @@ MODULES = {
     "op5_token_counts": "token_counts",
     "op6_quality_rules": "quality_rules",
     "op8_packing": "packing",
+    "op9_quality_classifier": "quality_classifier",
     "op10_url_filter": "url_filter",
 }
 
