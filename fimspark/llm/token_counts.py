@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import pick, table
+from .common import cut, pick, table
 from .packing import tokenizer
 
 #: Lengths of one block of the suffix sums; a task sums the lengths of whole blocks.
@@ -89,4 +89,4 @@ def truncated_total(sums: DataFrame, limit: int) -> DataFrame:
 
 
 def op5_token_counts(spark, sf_dir) -> DataFrame:
-    return with_suffix_sums(length_histogram(table(spark, sf_dir, "documents")))
+    return with_suffix_sums(cut(length_histogram(table(spark, sf_dir, "documents"))))
