@@ -7,6 +7,7 @@ import importlib
 MODULES = {
     "op1_pii": "pii",
     "op2_decontamination": "decontamination",
+    "op3_simhash": "simhash",
     "op4_toxicity": "toxicity",
     "op5_token_counts": "token_counts",
     "op6_quality_rules": "quality_rules",
