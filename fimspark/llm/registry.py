@@ -11,6 +11,7 @@ MODULES = {
     "op4_toxicity": "toxicity",
     "op5_token_counts": "token_counts",
     "op6_quality_rules": "quality_rules",
+    "op7_substring_dedup": "substring_dedup",
     "op8_packing": "packing",
     "op9_quality_classifier": "quality_classifier",
     "op10_url_filter": "url_filter",
