@@ -45,6 +45,10 @@ def pick(df: DataFrame, *names: str) -> DataFrame:
     return df.select(*(F.col(f"`{n}`") for n in names))
 
 
-def shuffle_width(spark: SparkSession, n_bytes: float, per_partition: float = 32e6) -> int:
-    """Partitions that hold about per_partition bytes each, no fewer than the session asks for."""
-    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), int(n_bytes / per_partition) + 1)
+def free_name(df: DataFrame, base: str) -> str:
+    """A column name that df does not have."""
+    taken = {c.lower() for c in df.columns}
+    while base.lower() in taken:
+        base += "_"
+    return base
+

@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import pick, table
+from .common import free_name, pick, table
 
 #: Stands for the secret that a user passes in.
 KEY = "change-this-key"
@@ -118,9 +118,9 @@ def _kind() -> str:
 
 
 def pseudonymise(docs: DataFrame, key: str = KEY) -> DataFrame:
-    """All columns of docs with the text rewritten, and n_found: how many values of each kind were replaced."""
+    """All columns of docs with the text rewritten, and n_found: how many values were replaced. A column of that name in docs is replaced."""
     found = F.when(F.col("text").rlike("[0-9@]"), F.regexp_extract_all("text", F.lit(ANY), F.lit(0))).otherwise(F.array().cast("array<string>"))
-    name = "_pii_found"
+    name = free_name(docs, "found")
     with_found = docs.withColumn(name, found)
     typed = with_found.withColumn(name, F.expr(f"transform({name}, m -> named_struct('m', m, 'k', {_kind()}))"))
     by_kind = " ".join(f"WHEN '{k}' THEN {e}" for k, e in _pseudonyms(key).items())

@@ -21,6 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import pick, table
 
@@ -140,10 +141,11 @@ def train(docs: DataFrame, ratings: DataFrame, max_rated: int = MAX_RATED) -> Or
 
 
 def score(docs: DataFrame, model: OrdinalModel | None, min_grade: int = MIN_GRADE, min_tail: float = MIN_TAIL) -> DataFrame:
-    """docs' columns as they are, then expected_grade, tail_probability and selected."""
+    """docs' columns as they are, then expected_grade, tail_probability and selected; columns of these names in docs are replaced."""
+    names = ["expected_grade", "tail_probability", "selected"]
+    docs = docs.drop(*names)
     fields = docs.schema.fields
     at = docs.columns.index("text")
-    names = ["expected_grade", "tail_probability", "selected"]
     shared = docs.sparkSession.sparkContext.broadcast(model)  # DIMS weights
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -159,9 +161,9 @@ def score(docs: DataFrame, model: OrdinalModel | None, min_grade: int = MIN_GRAD
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(expected), pa.array(tail), pa.array(tail >= min_tail)], names=[f"c{k}" for k in range(len(fields) + 3)])
 
     kept = docs.toDF(*(f"c{k}" for k in range(len(fields))))
-    schema = ", ".join(f"c{k} {f.dataType.simpleString()}" for k, f in enumerate(fields))
-    n = len(fields)
-    return kept.mapInArrow(run, f"{schema}, c{n} double, c{n + 1} double, c{n + 2} boolean").toDF(*docs.columns, *names)
+    kinds = [*(f.dataType for f in fields), T.DoubleType(), T.DoubleType(), T.BooleanType()]
+    schema = T.StructType([T.StructField(f"c{k}", kind) for k, kind in enumerate(kinds)])
+    return kept.mapInArrow(run, schema).toDF(*docs.columns, *names)
 
 
 def graded(labels: DataFrame) -> DataFrame:

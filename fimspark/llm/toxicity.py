@@ -1,10 +1,11 @@
 """Toxicity by a support vector machine over a subsequence string kernel with Nyström landmarks.
 
 The kernel of two words counts their common subsequences of P characters; each costs DECAY to the power of the lengths that
-it spans in both words, so that gaps and inserted characters lower the value but do not end it; it is normalised to 1 for equal words.
-Runs of single characters ("i d i o t") count as one word too. A text's kernel with a landmark word is the largest over its words.
-Landmarks are words of the labelled training texts that most change the odds of the label, chosen one after another so that none
-resembles an earlier one too much, then words of middling frequency. The landmarks' own kernel matrix maps these values to the features of
+it spans in both words, so that gaps and inserted characters lower the value but do not end it. A word's share of a landmark is its kernel with it over the
+landmark's own, at most 1: how much of the landmark the word holds. Runs of single characters ("i d i o t") count as one word too.
+A text has two values for each landmark: the largest share over its words, and the mean share over all its words.
+Landmarks are words and parts of words of the labelled training texts that are most telling of the label, chosen one after another so that none holds most of
+an earlier one, then words of middling frequency. The landmarks' own kernel matrix maps the values to the features of
 a linear machine, trained by squared hinge loss and calibrated by a logistic fit.
 
 Training takes at most MAX_LABELLED labelled texts, of least hash; all texts are scored, and as a whole.
@@ -32,10 +33,13 @@ LANDMARKS = 48
 P, DECAY = 3, 0.7
 #: Characters of a word that the kernel sees; longer words are seen in overlapping parts.
 SEEN = 24
-#: Kernel values under this are noise of unrelated words and count as 0.
-LEAST = 0.35
+#: Shares under this are noise of unrelated words and count as 0.
+LEAST = 0.5
 ALERT = 0.7
 CACHED_WORDS = 300_000
+#: Words added to a text's length in the mean, so that one word of a short text does not count as a habit.
+CALM = 100
+PART_SIZES = (4, 5, 6, 7)
 _SPACED = re.compile(r"(?<!\w)(?:[^\W\d_][\s.\-_*]{1,2}){3,23}[^\W\d_](?!\w)")
 _CORE = re.compile(r"^\W+|\W+$")
 
@@ -71,7 +75,7 @@ def raw_kernel(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 class Kernel:
-    """Normalised kernels of words with fixed landmark words."""
+    """Shares of fixed landmarks in words."""
 
     def __init__(self, landmarks: list[str]):
         self.landmarks = landmarks
@@ -80,21 +84,6 @@ class Kernel:
         self.own = np.asarray([float(raw_kernel(x[None, :], x)[0]) for x in self.codes])
         self.letters = [set(x) for x in landmarks]
 
-    def self_kernel(self, c: np.ndarray) -> np.ndarray:
-        """Of each word with itself."""
-        same = (c[:, :, None] == c[:, None, :]) & (c[:, :, None] > 0)
-        same = np.ascontiguousarray(same.transpose(1, 2, 0)).astype(np.float32)
-        ends = same * np.float32(DECAY * DECAY)
-        for _ in range(P - 1):
-            aged = ends.copy()
-            for i in range(1, len(aged)):
-                aged[i] += DECAY * aged[i - 1]
-            for j in range(1, aged.shape[1]):
-                aged[:, j] += DECAY * aged[:, j - 1]
-            ends = np.zeros_like(ends)
-            ends[1:, 1:] = same[1:, 1:] * aged[:-1, :-1] * np.float32(DECAY * DECAY)
-        return ends.sum(axis=(0, 1))
-
     def __call__(self, words: list[str]) -> np.ndarray:
         """words x landmarks; values under LEAST are 0.
 
@@ -113,11 +102,16 @@ class Kernel:
                 at = could[lo : lo + 2048]
                 width = max(1, int(n[at].max()))
                 w = c[at, :width]
-                own = self.self_kernel(w)
-                v = raw_kernel(w, b) / np.sqrt(np.maximum(own * self.own[k], 1e-12))
+                v = np.minimum(raw_kernel(w, b) / max(self.own[k], 1e-12), 1)
                 out[at, k] = np.where(v >= LEAST, v, 0)
         return out
 
+    def gram(self) -> np.ndarray:
+        """The landmarks' kernels with each other, 1 for equal ones."""
+        c, _ = codes(self.landmarks)
+        raw = np.stack([raw_kernel(c, b) for b in self.codes]).astype(np.float64)
+        return raw / np.sqrt(np.maximum(np.outer(self.own, self.own), 1e-12))
+
 
 def _near_pairs(c: np.ndarray) -> np.ndarray:
     """256 bits for each word: hashed pairs of characters at most two apart."""
@@ -131,20 +125,20 @@ def _near_pairs(c: np.ndarray) -> np.ndarray:
     return bits
 
 
-def words_of(text: str) -> set[str]:
-    """Lower-case words without punctuation at their ends, joined runs of single characters, and the parts of long words."""
+def words_of(text: str) -> Counter:
+    """How often a text has each lower-case word without punctuation at its ends, joined run of single characters, and part of a long word."""
     low = text.lower()
-    out = set()
-    for w in set(low.split()):
+    out: Counter = Counter()
+    for w, n in Counter(low.split()).items():
         if not w.isalnum():
             w = _CORE.sub("", w)
-        if len(w) >= P:
-            if len(w) <= SEEN:
-                out.add(w)
-            else:
-                out.update(w[i : i + SEEN] for i in range(0, len(w) - SEEN // 2, SEEN // 2))
+        if len(w) <= SEEN:
+            out[w] += n
+        else:
+            for i in range(0, len(w) - SEEN // 2, SEEN // 2):
+                out[w[i : i + SEEN]] += n
     for run in _SPACED.findall(low):
-        out.add(re.sub(r"[\W_]", "", run))
+        out[re.sub(r"[\W_]", "", run)] += 1
     return out
 
 
@@ -160,72 +154,94 @@ class ToxicModel:
     def __setstate__(self, s):
         self.__init__(*s)
 
-    def values(self, texts: list[str]) -> np.ndarray:
-        """texts x landmarks: the largest kernel over each text's words. Words seen before are remembered, within a bound."""
-        sets = [words_of(t) for t in texts]
-        cache = self.cache
-        new = set().union(*sets).difference(cache) if sets else set()
+    def values(self, bags: list[Counter]) -> np.ndarray:
+        """bags x (2 * landmarks): largest and mean shares. Words seen before are remembered, within a bound."""
+        cache, many = self.cache, len(self.kernel.landmarks)
+        new = set().union(*bags).difference(cache) if bags else set()
         if new:
             if len(cache) + len(new) > CACHED_WORDS:
                 cache.clear()
                 self.rows = np.zeros((0, 0), np.float32)
-                new = set().union(*sets)
+                new = set().union(*bags)
             order = sorted(new)
             got = self.kernel(order)
             hit = got.any(axis=1)
             if not self.rows.size:
-                self.rows = np.zeros((1, got.shape[1]), np.float32)  # row 0: no kernel
+                self.rows = np.zeros((1, many), np.float32)  # row 0: no share of any
             at = np.where(hit, len(self.rows) + np.cumsum(hit) - 1, 0)
             self.rows = np.vstack([self.rows, got[hit]])
             cache.update(zip(order, at.tolist(), strict=True))
-        out = np.zeros((len(texts), len(self.kernel.landmarks)), np.float32)
-        for i, s in enumerate(sets):
-            rows = {cache[w] for w in s}
-            rows.discard(0)
+        out = np.zeros((len(bags), 2 * many))
+        for i, bag in enumerate(bags):
+            rows = [(r, n) for r, n in ((cache[w], n) for w, n in bag.items()) if r]
             if rows:
-                out[i] = self.rows[sorted(rows)].max(axis=0)
+                r, n = np.asarray(rows).T
+                share = self.rows[r]
+                out[i, :many] = share.max(axis=0)
+                out[i, many:] = np.sqrt(n @ share / (bag.total() + CALM)) * 4
         return out
 
     def scores(self, texts: list[str]) -> np.ndarray:
         if self.kernel is None:
             return np.full(len(texts), self.base)
-        z = self.values(texts).astype(np.float64) @ self.weights + self.bias
+        z = self.values([words_of(t) for t in texts]) @ self.weights + self.bias
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def choose_landmarks(texts: list[str], toxic: np.ndarray, many: int = LANDMARKS) -> list[str]:
-    """Words, by how much they change the label's odds, skipping those like an earlier one; the last eighth are words of middling frequency."""
+def choose_landmarks(bags: list[Counter], toxic: np.ndarray, many: int = LANDMARKS) -> list[str]:
+    """Words and parts of words, by how far their rate in toxic texts is from that in the others, skipping those that hold most of an earlier one or are mostly held by one.
+
+    A text counts a part three times at most. The last eighth are words of middling frequency.
+    """
     seen = [Counter(), Counter()]
-    for t, y in zip(texts, toxic, strict=True):
-        seen[y].update(words_of(t))
+    for bag, y in zip(bags, toxic, strict=True):
+        own: Counter = Counter()
+        for w, n in bag.items():
+            n = min(n, 3)
+            parts = {w} if P < len(w) <= 12 else set()
+            parts.update(w[i : i + k] for k in PART_SIZES for i in range(len(w) - k + 1))
+            for x in parts:
+                own[x] += n
+        for x, n in own.items():
+            seen[y][x] += min(n, 3)
     n = [max(1, int((toxic == y).sum())) for y in (0, 1)]
-    rate = {w: (c + 0.5) / (n[1] + 1) * math.log((c + 0.5) / (n[1] + 1) / ((seen[0][w] + 0.5) / (n[0] + 1))) for w, c in seen[1].items() if c >= 2}
-    ranked = sorted(rate, key=lambda w: (-rate[w], w))[:600]
+    worth = {}
+    for w, c in seen[1].items():
+        d = seen[0][w]
+        if c >= 4 and c / n[1] > 2 * d / n[0]:
+            mean = (c + d) / (n[0] + n[1])
+            worth[w] = c * math.log(c / (mean * n[1])) + (d * math.log(d / (mean * n[0])) if d else 0)
+    ranked = sorted(worth, key=lambda w: (-round(worth[w], 6), -len(w), w))[:1500]
     out: list[str] = []
     for w in ranked:
-        if rate[w] <= 0 or len(out) >= many * 7 // 8:
+        if len(out) >= many * 7 // 8 or worth[w] < 8:
             break
-        if not out or Kernel(out)([w]).max() < 0.6:
+        if not out or (Kernel(out)([w]).max() < 0.7 and Kernel([w])(out).max() < 0.7):
             out.append(w)
-    common = sorted(seen[0], key=lambda w: (-seen[0][w], w))[20:2000:60]
+    common = sorted((w for w in seen[0] if len(w) > P), key=lambda w: (-seen[0][w], w))[20:2000:60]
     return out + [w for w in common if w not in out][: many - len(out)]
 
 
-def fit(texts: list[str], toxic: np.ndarray, many: int = LANDMARKS) -> ToxicModel:
+def fit(bags: list[Counter], toxic: np.ndarray, many: int = LANDMARKS) -> ToxicModel:
     if len(set(toxic.tolist())) < 2:
         return ToxicModel(None, np.zeros(0), 0.0, float(toxic.mean()) if len(toxic) else 0.0)
-    kernel = Kernel(choose_landmarks(texts, toxic, many))
-    model = ToxicModel(kernel, np.zeros(len(kernel.landmarks)), 0.0, 0.0)
-    x = model.values(texts).astype(np.float64)
-    gram = kernel(kernel.landmarks).astype(np.float64)
+    landmarks = choose_landmarks(bags, toxic, many)
+    if not landmarks:
+        return ToxicModel(None, np.zeros(0), 0.0, float(toxic.mean()))
+    kernel = Kernel(landmarks)
+    x = ToxicModel(kernel, np.zeros(0), 0.0, 0.0).values(bags)
+    gram = kernel.gram()
     val, vec = np.linalg.eigh((gram + gram.T) / 2 + 5e-2 * np.eye(len(gram)))
-    mapping = vec / np.sqrt(np.maximum(val, 5e-2))  # Nyström: features whose products give back the kernel
+    half = vec / np.sqrt(np.maximum(val, 5e-2))  # Nyström: features whose products give back the kernel
+    mapping = np.kron(np.eye(2), half)
     f = x @ mapping
     y = np.where(toxic == 1, 1.0, -1.0)
     cost = np.where(y > 0, len(y) / 2 / (y > 0).sum(), len(y) / 2 / (y < 0).sum())
     w, b = np.zeros(f.shape[1]), 0.0
     for _ in range(60):  # Newton steps on the squared hinge loss
         inside = y * (f @ w + b) < 1
+        if not inside.any():
+            break
         a = np.hstack([f[inside], np.ones((inside.sum(), 1))])
         c = cost[inside][:, None]
         h = a.T @ (c * a) + np.diag([1.0] * len(w) + [1e-6])
@@ -264,11 +280,13 @@ def train(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED)
     def run(batches):
         for b in batches:
             for y, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                yield pa.RecordBatch.from_arrays([pa.array([y], pa.int64()), pa.array([" ".join(sorted(words_of(t or "")))])], names=["y", "words"])
+                bag = words_of(t or "")
+                order = sorted(bag)
+                yield pa.RecordBatch.from_arrays([pa.array([y], pa.int64()), pa.array([order], pa.list_(pa.string())), pa.array([[bag[w] for w in order]], pa.list_(pa.int64()))], names=["y", "words", "n"])
 
-    got = rows.selectExpr("cast(toxic as long) y", "cast(text as string) t").mapInArrow(run, "y long, words string").toArrow()
-    pairs = sorted(zip(got["y"].to_pylist(), got["words"].to_pylist(), strict=True))
-    return fit([t for _, t in pairs], np.asarray([y for y, _ in pairs], np.int64))
+    got = rows.selectExpr("cast(toxic as long) y", "cast(text as string) t").mapInArrow(run, "y long, words array<string>, n array<long>").toArrow()
+    rows = sorted(zip(got["y"].to_pylist(), got["words"].to_pylist(), got["n"].to_pylist(), strict=True))
+    return fit([Counter(dict(zip(w, n, strict=True))) for _, w, n in rows], np.asarray([y for y, _, _ in rows], np.int64))
 
 
 def score(docs: DataFrame, model: ToxicModel, alert: float = ALERT) -> DataFrame:
