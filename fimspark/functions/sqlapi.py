@@ -34,7 +34,7 @@ class FrequentItemsets:
             yield "|".join(sorted(names[k - 1] for k in s)), len(s), c
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def tree_size(items: pd.Series) -> int:
     """Aggregate: nodes of the prefix tree of a group's ranked rows."""
     return node_count(Rows.of([list(x) for x in items]))
