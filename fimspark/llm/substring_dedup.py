@@ -114,10 +114,11 @@ class Part:
         key, n = np.unique(np.concatenate(got), return_counts=True)
         return key << np.uint64(8) | np.minimum(n, 255).astype(np.uint64)
 
-    def merged(self) -> tuple[list[dict[bytes, int]], list[list[int]], np.ndarray]:
-        """For each shard its distinct entries and their least doc_ids; and each entry's (text, place, windows, shard, number)."""
+    def merged(self) -> tuple[list[dict[bytes, int]], list[list[int]], list[list[int]], np.ndarray]:
+        """For each shard its distinct entries, their least doc_ids and 32 bits of their anchors; and each entry's (text, place, windows, shard, number)."""
         numbers: list[dict[bytes, int]] = [{} for _ in range(self.n_shards)]
         least: list[list[int]] = [[] for _ in range(self.n_shards)]
+        tags: list[list[int]] = [[] for _ in range(self.n_shards)]
         places: list[tuple[int, int, int, int, int]] = []
         keys, hot = self.known >> np.uint64(1), (self.known & np.uint64(1)).astype(bool)
         for text, place, windows, h, start, joined in entries_of(self.texts) if len(keys) else ():
@@ -125,22 +126,25 @@ class Part:
             k = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
             ok = np.flatnonzero(keys[k] == h)
             shards = (_mix(h[ok]) % np.uint64(self.n_shards)).tolist()
-            for x, p, w, a, sh, each in zip(text[ok].tolist(), place[ok].tolist(), windows[ok].tolist(), start[ok].tolist(), shards, hot[k[ok]].tolist(), strict=True):
+            own_tags = (h[ok] & np.uint64(0xFFFFFFFF)).tolist()
+            for x, p, w, a, sh, tag, each in zip(text[ok].tolist(), place[ok].tolist(), windows[ok].tolist(), start[ok].tolist(), shards, own_tags, hot[k[ok]].tolist(), strict=True):
                 own = self.ids[self.rows[x]]
                 for j, many in ((0, w),) if not each else [(j, 1) for j in range(w)]:
                     b = joined[a + j : a + j + many + MIN - 1]
                     if each:
-                        sh = int.from_bytes(hashlib.blake2b(b, digest_size=8).digest(), "little") % self.n_shards
+                        digest = int.from_bytes(hashlib.blake2b(b, digest_size=8).digest(), "little")
+                        sh, tag = digest % self.n_shards, digest >> 32
                     n = numbers[sh].setdefault(b, len(numbers[sh]))
                     if n == len(least[sh]):
                         least[sh].append(own)
+                        tags[sh].append(tag)
                     elif own < least[sh][n]:
                         least[sh][n] = own
                     places.append((x, p + j, many, sh, n))
-        return numbers, least, np.asarray(places, np.int64).reshape(-1, 5)
+        return numbers, least, tags, np.asarray(places, np.int64).reshape(-1, 5)
 
     def cleaned(self) -> pa.Table:
-        _, least, places = self.merged()
+        _, least, _, places = self.merged()
         begin = np.cumsum([0, *(len(t) for t in self.texts)])
         delta = np.zeros(begin[-1] + 1, np.int32)
         if len(places):
@@ -219,21 +223,29 @@ def _answer(t: pa.Table) -> pa.Table:
     """A shard of step 4."""
     numbers: dict[bytes, int] = {}
     least: list[int] = []
+    anchor: list[int] = []
     rows = []
-    for blob, sizes, own in zip(t["entries"].to_pylist(), t["sizes"].to_pylist(), t["least"].to_pylist(), strict=True):
+    for blob, sizes, own, tags in zip(*(t[c].to_pylist() for c in ("entries", "sizes", "least", "tags")), strict=True):
         sizes, own, mine, at = np.frombuffer(sizes, np.uint16), np.frombuffer(own, np.int64), [], 0
-        for size, d in zip(sizes.tolist(), own.tolist(), strict=True):
+        for size, d, tag in zip(sizes.tolist(), own.tolist(), np.frombuffer(tags, np.uint32).tolist(), strict=True):
             b = blob[at : at + size]
             at += size
             n = numbers.setdefault(b, len(numbers))
             if n == len(least):
                 least.append(d)
+                anchor.append(tag)
             elif d < least[n]:
                 least[n] = d
             mine.append(n)
         rows.append((np.asarray(mine, np.int64), own))
     smallest = np.asarray(least, np.int64)
-    mask = shard_masks(list(numbers), smallest)
+    # strings with an anchor of their own share no window with any other here
+    _, which, many = np.unique(np.asarray(anchor, np.uint32), return_inverse=True, return_counts=True)
+    some = np.flatnonzero(many[which] > 1)
+    mask = np.zeros(len(smallest), np.uint64)
+    if len(some):
+        strings = list(numbers)
+        mask[some] = shard_masks([strings[k] for k in some], smallest[some])
     out = [np.where(own > smallest[mine], ALL, mask[mine]).astype(np.uint64).tobytes() for mine, own in rows]
     return pa.table({"part": t["part"].cast(pa.int64()), "kind": pa.array([MASKS] * len(out), pa.int32()), "shard": t["shard"].cast(pa.int32()), "data": pa.array(out, pa.binary())})
 
@@ -265,7 +277,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
         return pa.table({"bucket": pa.array(bucket[start].astype(np.int64)), "part": pa.array([own] * len(blobs), pa.int64()), "data": pa.array(blobs, pa.binary())})
 
     def entries(t: pa.Table, m: pa.Table) -> pa.Table:
-        numbers, least, _ = Part(t, m, n_shards).merged()
+        numbers, least, tags, _ = Part(t, m, n_shards).merged()
         full = [s for s in range(n_shards) if numbers[s]]
         own = t["part"][0].as_py() if t.num_rows else 0
         return pa.table(
@@ -275,13 +287,14 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
                 "entries": pa.array([b"".join(numbers[s]) for s in full], pa.binary()),
                 "sizes": pa.array([np.asarray([len(b) for b in numbers[s]], np.uint16).tobytes() for s in full], pa.binary()),
                 "least": pa.array([np.asarray(least[s], np.int64).tobytes() for s in full], pa.binary()),
+                "tags": pa.array([np.asarray(tags[s], np.uint32).tobytes() for s in full], pa.binary()),
             }
         )
 
     by_part = texts.groupBy("part")
     sent = by_part.cogroup(copies.groupBy("part")).applyInArrow(anchors, "bucket long, part long, data binary")
     known = sent.groupBy("bucket").applyInArrow(_known, marks).repartition(width, "part")
-    to_shards = by_part.cogroup(copies.unionByName(known).groupBy("part")).applyInArrow(entries, "shard int, part long, entries binary, sizes binary, least binary")
+    to_shards = by_part.cogroup(copies.unionByName(known).groupBy("part")).applyInArrow(entries, "shard int, part long, entries binary, sizes binary, least binary, tags binary")
     masks = to_shards.groupBy("shard").applyInArrow(_answer, marks).repartition(width, "part")
     told = copies.unionByName(known).unionByName(masks)
     return by_part.cogroup(told.groupBy("part")).applyInArrow(lambda t, m: Part(t, m, n_shards).cleaned(), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
