@@ -31,6 +31,12 @@ def count_items(tx: DataFrame) -> DataFrame:
     return tx.select(F.explode("items").alias("item")).groupBy("item").agg(F.count(F.lit(1)).alias("item_count"))
 
 
+def count_items_and_rows(tx: DataFrame) -> DataFrame:
+    """The same with one row more, of item null: the number of baskets. Both come from one scan."""
+    item = F.explode(F.concat(F.array(F.lit(None).cast("string")), F.coalesce("items", F.array().cast("array<string>"))))
+    return tx.select(item.alias("item")).groupBy("item").agg(F.count(F.lit(1)).alias("item_count"))
+
+
 def frequency_order(counts: DataFrame, min_count: int) -> DataFrame:
     """(item, item_rank, item_count); the window sees the frequent items only."""
     by = Window.orderBy(F.desc("item_count"), "item")
@@ -43,14 +49,25 @@ def _sorted_lists(row: np.ndarray, rank: np.ndarray, n_rows: int) -> pa.ListArra
     return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(rank[key], pa.int32()))
 
 
-def rank_transactions(tx: DataFrame, order: DataFrame, weight: bool = False) -> DataFrame:
-    """(tid, items): ranks of the frequent items of each basket, rising; infrequent ones go. Baskets may become empty."""
-    n = order.limit(MAX_SENT_ITEMS + 1).count()
-    if n > MAX_SENT_ITEMS:
+def sendable_names(order: DataFrame) -> list[str] | None:
+    """The items by rank, or None if they are too many to send to all tasks."""
+    rows = order.select("item_rank", "item").limit(MAX_SENT_ITEMS + 1).toArrow()
+    if rows.num_rows > MAX_SENT_ITEMS:
+        return None
+    return [i for _, i in sorted(zip(rows["item_rank"].to_pylist(), rows["item"].to_pylist(), strict=True))]
+
+
+def rank_transactions(tx: DataFrame, order: DataFrame, names: list[str] | None = None) -> DataFrame:
+    """(tid, items): ranks of the frequent items of each basket, rising; infrequent ones go. Baskets may become empty.
+
+    names: the items by rank, if the caller has them.
+    """
+    names = sendable_names(order) if names is None else names
+    if names is None:
         long = tx.select("tid", F.explode("items").alias("item")).join(order.select("item", "item_rank"), "item")
         lists = long.groupBy("tid").agg(F.array_sort(F.collect_list("item_rank")).alias("ranked"))
         return tx.select("tid").join(lists, "tid", "left").select("tid", F.coalesce("ranked", F.array().cast("array<int>")).alias("items"))
-    sent = tx.sparkSession.sparkContext.broadcast(order.orderBy("item_rank").select("item").toArrow()["item"].combine_chunks())  # MAX_SENT_ITEMS at most
+    sent = tx.sparkSession.sparkContext.broadcast(pa.array(names, pa.string()))  # MAX_SENT_ITEMS at most
 
     def run(batches):
         names = sent.value
@@ -72,17 +89,17 @@ def collapse(ranked: DataFrame, *keys: str) -> DataFrame:
     return ranked.where(F.size("items") > 0).groupBy(*keys, "items").agg(F.sum(w).alias("weight"))
 
 
-def decode(fi: DataFrame, order: DataFrame) -> DataFrame:
+def decode(fi: DataFrame, order: DataFrame, names: list[str] | None = None) -> DataFrame:
     """(itemset ARRAY<INT>, support_count) to (itemset STRING, size, support_count): items in byte order joined by `|`."""
-    n = order.limit(MAX_SENT_ITEMS + 1).count()
-    if n > MAX_SENT_ITEMS:
+    names = sendable_names(order) if names is None else names
+    if names is None:
         long = fi.select("itemset", "support_count", F.explode("itemset").alias("item_rank")).join(order.select("item", "item_rank"), "item_rank")
         return long.groupBy("itemset", "support_count").agg(F.collect_list("item").alias("names")).select(F.array_join(F.array_sort("names"), "|").alias("itemset"), F.size("names").alias("size"), "support_count")
-    sent = fi.sparkSession.sparkContext.broadcast(order.orderBy("item_rank").select("item").toArrow()["item"].to_pylist())  # MAX_SENT_ITEMS at most
+    sent = fi.sparkSession.sparkContext.broadcast(names)  # MAX_SENT_ITEMS at most
 
     def run(batches):
         for b in batches:
-            names = ["|".join(sorted((sent.value[r - 1] for r in x), key=lambda s: s.encode())) for x in b.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pc.list_value_length(b.column(0)).cast(pa.int32()), b.column(1)], names=["itemset", "size", "support_count"])
+            text = ["|".join(sorted((sent.value[r - 1] for r in x), key=lambda s: s.encode())) for x in b.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(text, pa.string()), pc.list_value_length(b.column(0)).cast(pa.int32()), b.column(1)], names=["itemset", "size", "support_count"])
 
     return fi.select("itemset", "support_count").mapInArrow(run, "itemset string, size int, support_count long")

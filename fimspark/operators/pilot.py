@@ -10,7 +10,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .prefixtree import exploded
@@ -19,6 +19,7 @@ BINS = 4096
 #: First appearances looked at one by one.
 FEW = 20_000
 SPAN = 1 << 62
+SEED = 17
 
 
 @dataclass
@@ -28,6 +29,7 @@ class Pilot:
     n_total: int
     nodes: int
     aborted: bool
+    stop: int | None = None  # the largest order key of the rows used; None: all
 
     @property
     def fraction(self) -> float:
@@ -38,11 +40,15 @@ class Pilot:
         return self.n_total / self.n_used if self.n_used else float("inf")
 
 
-def _stop(first: DataFrame, capacity: int) -> int | None:
-    """The largest key so that at most capacity nodes first appear at it or before; None if all do."""
-    lo, hi = (x if x is not None else 0 for x in first.agg(F.min("k"), F.max("k")).first())
-    if first.count() <= capacity:
-        return None
+def order_key(order: str, seed: int = SEED) -> Column:
+    return F.col("tid") if order == "tid" else F.pmod(F.xxhash64(F.lit(seed), "tid"), F.lit(SPAN))
+
+
+def _stop(first: DataFrame, capacity: int) -> tuple[int | None, int]:
+    """The largest key so that at most capacity nodes first appear at it or before (None if all do), and how many do."""
+    lo, hi, total = first.agg(F.min("k"), F.max("k"), F.count(F.lit(1))).first()
+    if total <= capacity:
+        return None, total
     before = 0
     while True:
         inside = first.where((F.col("k") >= lo) & (F.col("k") <= hi))
@@ -53,36 +59,28 @@ def _stop(first: DataFrame, capacity: int) -> int | None:
                 lo, hi = lo + b * width, min(hi, lo + (b + 1) * width - 1)
                 break
             before += n
-        if n <= FEW or lo == hi:
-            if lo == hi:
-                return lo - 1
+        if lo == hi:
+            return lo - 1, before
+        if n <= FEW:
             keys = np.sort(np.asarray([r["k"] for r in first.where((F.col("k") >= lo) & (F.col("k") <= hi)).select("k").collect()], np.int64))  # FEW rows at most
-            return int(keys[capacity - before]) - 1
+            stop = int(keys[capacity - before]) - 1
+            return stop, before + int(np.searchsorted(keys, stop, side="right"))
 
 
-def build_pilot(ranked: DataFrame, capacity: int, order: str = "hash", n_total: int | None = None, exact: bool = False, seed: int = 17) -> Pilot:
+def build_pilot(ranked: DataFrame, capacity: int, order: str = "hash", exact: bool = False) -> Pilot:
     """ranked: tid, items. With the hash order only a growing share of the rows is looked at, until the tree is over its capacity."""
-    key = F.col("tid") if order == "tid" else F.pmod(F.xxhash64(F.lit(seed), "tid"), F.lit(SPAN))
-    keyed = ranked.select(key.alias("k"), "items", *(["weight"] if "weight" in ranked.columns else []))
-    if n_total is None:
-        n_total = keyed.count()
-    share = 1.0
-    if order == "hash":
-        cells = keyed.agg(F.sum(F.size("items"))).first()[0] or 0
-        share = min(1.0, 2 * capacity / max(cells, 1))
+    keyed = ranked.select(order_key(order).alias("k"), "items", *(["weight"] if "weight" in ranked.columns else []))
+    n_total, cells = keyed.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.size("items")), F.lit(0))).first()
+    share = min(1.0, 2 * capacity / max(cells, 1)) if order == "hash" else 1.0
     while True:
         some = keyed if share >= 1 else keyed.where(F.col("k") < int(share * SPAN))
         first = exploded(some, exact, "k").groupBy("node_key").agg(F.min("k").alias("k")).persist()
-        stop = _stop(first, capacity)
+        stop, nodes = _stop(first, capacity)
+        first.unpersist()
         if stop is not None or share >= 1:
             break
-        first.unpersist()
         share = min(1.0, share * 4)
     if stop is None:
-        nodes = first.count()
-        first.unpersist()
         return Pilot(keyed, n_total, n_total, nodes, False)
-    nodes = first.where(F.col("k") <= stop).count()
-    first.unpersist()
     used = keyed.where(F.col("k") <= stop)
-    return Pilot(used, used.count(), n_total, nodes, True)
+    return Pilot(used, used.count(), n_total, nodes, True, stop)

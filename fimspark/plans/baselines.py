@@ -86,7 +86,7 @@ def partitioned(tx: DataFrame, min_support: float, cells: int = 4, candidate_sto
     """
     prep = prepare(tx, min_support)
     result = MiningResult(prep.ranked, prep.order, prep.min_count, ledger=ledger or CostLedger())
-    n_tx = tx.count()
+    n_tx = prep.n_tx
     # baskets without a frequent item count for a cell's threshold too: the share is that of the whole
     share = prep.min_count / max(n_tx, 1)
     cell = F.pmod(F.xxhash64("tid"), F.lit(cells)).alias("cell")
@@ -169,7 +169,7 @@ def sampled(tx: DataFrame, min_support: float, fraction: float, seed: int = 7, s
     prep = prepare(tx, min_support)
     result = MiningResult(prep.ranked, prep.order, prep.min_count)
     in_sample = F.pmod(F.xxhash64(F.lit(seed), "tid"), F.lit(1_000_000)) < int(fraction * 1_000_000)
-    n_all, n_some = tx.count(), tx.where(in_sample).count()
+    n_all, n_some = prep.n_tx, tx.where(in_sample).count()
     local = max(1, int(np.ceil(slack * prep.min_count * n_some / max(n_all, 1) - 1e-9))) if fraction < 1 else prep.min_count
     some = encode.collapse(prep.ranked.where(in_sample)).select(F.lit(0).cast("long").alias("group_id"), "items", "weight")
     level = mine_level(some, {0: [*range(1, prep.n + 1)]}, local, max_len=max_len)

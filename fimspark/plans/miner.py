@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from ..operators import encode, paircounts, project
 from ..operators.localmine import Counters, Rows, mine_group, node_count
-from ..operators.pilot import build_pilot
+from ..operators.pilot import build_pilot, order_key
 from ..operators.stats import StatsBundle, collect_stats
 from ..session import stage
 from .budget import usable_nodes
@@ -49,15 +49,20 @@ class Prepared:
     counts: dict[int, int]
     min_count: int
     n: int
+    names: list[str] | None = None
+    n_tx: int = 0
 
 
 def prepare(tx: DataFrame, min_support: float | int, strict: bool = False) -> Prepared:
     """Both scans that every miner starts with: count the items, then rank the baskets."""
-    mc = encode.resolve_min_count(tx, min_support, strict)
-    order = stage(encode.frequency_order(encode.count_items(tx), mc))
+    counted = stage(encode.count_items_and_rows(tx))
+    n_tx = counted.where("item IS NULL").agg(F.sum("item_count")).first()[0] or 0
+    mc = encode.resolve_min_count(n_tx, min_support, strict)
+    order = stage(encode.frequency_order(counted.where("item IS NOT NULL"), mc))
     counts = {r["item_rank"]: r["item_count"] for r in order.select("item_rank", "item_count").collect()}  # frequent items
-    ranked = stage(encode.rank_transactions(tx, order).where(F.size("items") > 0))
-    return Prepared(ranked, order, counts, mc, len(counts))
+    names = encode.sendable_names(order)
+    ranked = stage(encode.rank_transactions(tx, order, names).where(F.size("items") > 0))
+    return Prepared(ranked, order, counts, mc, len(counts), names, n_tx)
 
 
 def _mine_task(anchors: dict[int, list[int]], paths: dict[int, tuple[int, ...]], min_count: int, capacity: int | None, max_len: int | None, use_array: bool, shared_tree: bool):
@@ -119,7 +124,7 @@ def _finish(parts: list[DataFrame], direct: list[tuple[tuple[int, ...], int]], p
     fi = spark.createDataFrame(direct, FI)  # two sets for each item at most
     for p in parts:
         fi = fi.unionByName(p)
-    result.fi = encode.decode(fi, prep.order)
+    result.fi = encode.decode(fi, prep.order, prep.names)
     return result
 
 
@@ -158,7 +163,7 @@ def mine_budgeted(
     cut: str = "nu_mu",
     packing: str = "mu_sum",
     prune: bool = True,
-    reuse_pilot: bool = True,
+    reuse_pilot: bool = False,
     bypass_head: bool = True,
     array: bool = True,
     shared_tree: bool = True,
@@ -168,7 +173,11 @@ def mine_budgeted(
     max_len: int | None = None,
     measure: bool = False,
 ) -> MiningResult:
-    """Pilot tree first; if the database's tree does not fit, statistics, groups that do, one projection, and a task for each group."""
+    """Pilot tree first; if the database's tree does not fit, statistics, groups that do, one projection, and a task for each group.
+
+    reuse_pilot takes the rows that the pilot has read from its tree and reads only the others again. It is off unless asked for: the collapsed rows are at hand
+    anyway, and the pilot's share of a large database is next to nothing.
+    """
     prep = prepare(tx, min_support, strict)
     result = MiningResult(prep.ranked, prep.order, prep.min_count)
     options = {"max_len": max_len, "use_array": array, "shared_tree": shared_tree}
@@ -177,11 +186,10 @@ def mine_budgeted(
 
 
 def _frequent(pairs: DataFrame, min_count: int) -> dict[int, dict[int, int]] | None:
-    some = project.frequent_partners(pairs, min_count)
-    if some.limit(MAX_PLANNED_PAIRS + 1).count() > MAX_PLANNED_PAIRS:
-        return None
     out: dict[int, dict[int, int]] = {}
-    t = some.toArrow()
+    t = project.frequent_partners(pairs, min_count).limit(MAX_PLANNED_PAIRS + 1).toArrow()
+    if t.num_rows > MAX_PLANNED_PAIRS:
+        return None
     for hi, lo, c in zip(t["hi"].to_pylist(), t["lo"].to_pylist(), t["pair_count"].to_pylist(), strict=True):
         out.setdefault(hi, {})[lo] = c
     return out
@@ -226,7 +234,7 @@ def _mine_database(ranked: DataFrame, n: int, counts: dict[int, int], min_count:
     if how["reuse_pilot"]:
         # what the pilot has read is taken from its tree: its distinct rows; only the others are read again
         used = encode.collapse(pilot.rows)
-        other = encode.collapse(ranked.join(pilot.rows.select("k"), _pilot_key(how["order"]) == F.col("k"), "left_anti"))
+        other = encode.collapse(ranked.where(order_key(how["order"]) > pilot.stop))
         source = used.unionByName(other)
         if how["measure"]:
             ledger.measure("replayed", used)
@@ -262,12 +270,6 @@ def _prefixed(parts: list[DataFrame], path: tuple[int, ...]) -> list[DataFrame]:
     return [p.select(F.concat(F.lit(list(path)), "itemset").alias("itemset"), "support_count") for p in parts]
 
 
-def _pilot_key(order: str):
-    from ..operators.pilot import SPAN
-
-    return F.col("tid") if order == "tid" else F.pmod(F.xxhash64(F.lit(17), "tid"), F.lit(SPAN))
-
-
 def _recurse(rows: DataFrame, a: int, counts: dict[int, int], min_count: int, capacity: int, result: MiningResult, options: dict, how: dict, path: tuple[int, ...], levels: int) -> list[DataFrame]:
     """A lone anchor too large for a task: its database, without the anchor and in an order of its own, is mined as a database of its own."""
     spark = rows.sparkSession

@@ -67,6 +67,7 @@ for _name, _how in {
     "b10": {"node_budget": 433},
     "noprune": {"prune": False},
     "noreuse": {"reuse_pilot": False},
+    "reuse": {"reuse_pilot": True},
     "nobypass": {"bypass_head": False},
     "noarray": {"array": False},
     "separate_trees": {"shared_tree": False},
@@ -108,7 +109,7 @@ def _general(tx: DataFrame, s: float) -> miner.MiningResult:
             out = out.unionByName(p)
         return out
 
-    result.fi = encode.decode(miner.divide_and_conquer(txw, fits, halves, mine, union), prep.order)
+    result.fi = encode.decode(miner.divide_and_conquer(txw, fits, halves, mine, union), prep.order, prep.names)
     return result
 
 
