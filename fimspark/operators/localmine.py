@@ -41,6 +41,13 @@ class Rows:
     def __len__(self) -> int:
         return len(self.weights)
 
+    def without_last(self) -> Rows:
+        """Rows cut before their last item."""
+        keep = np.ones(len(self.items), bool)
+        keep[self.offsets[1:][np.diff(self.offsets) > 0] - 1] = False
+        sizes = np.maximum(np.diff(self.offsets) - 1, 0)
+        return Rows(np.append(0, np.cumsum(sizes)), self.items[keep], self.weights)
+
     def owner(self) -> np.ndarray:
         return np.repeat(np.arange(len(self)), np.diff(self.offsets))
 

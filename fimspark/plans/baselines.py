@@ -14,6 +14,7 @@ from ..operators import encode
 from ..operators.localmine import Rows, mine_all
 from ..operators.prefixtree import exploded
 from ..session import shared_dir, stage
+from .decompose import by_partition
 from .ledger import CostLedger
 from .miner import FI, MiningResult, _answers, _finish, _notes, mine_level, mine_per_item, prepare
 
@@ -89,8 +90,7 @@ def partitioned(tx: DataFrame, min_support: float, cells: int = 4, candidate_sto
     n_tx = prep.n_tx
     # baskets without a frequent item count for a cell's threshold too: the share is that of the whole
     share = prep.min_count / max(n_tx, 1)
-    cell = F.pmod(F.xxhash64("tid"), F.lit(cells)).alias("cell")
-    sizes = {r["cell"]: r["count"] for r in tx.groupBy(cell).count().collect()}
+    sizes = {r["cell"]: r["count"] for r in by_partition(tx, cells).groupBy("cell").count().collect()}  # one row a cell
 
     def run(t: pa.Table) -> pa.Table:
         lists = t["items"].to_pylist()
@@ -98,7 +98,7 @@ def partitioned(tx: DataFrame, min_support: float, cells: int = 4, candidate_sto
         sets = [s for s, _ in levelwise_local(lists, local, max_len)]
         return pa.table({"itemset": pa.array(sets, pa.list_(pa.int32()))})
 
-    candidates = stage(prep.ranked.select(cell, "items").groupBy("cell").applyInArrow(run, "itemset array<int>").distinct())
+    candidates = stage(by_partition(prep.ranked, cells).select("cell", "items").groupBy("cell").applyInArrow(run, "itemset array<int>").distinct())
     result.ledger.add("candidates", candidates.count(), candidates.agg(F.coalesce(F.sum(F.size("itemset")), F.lit(0))).first()[0])
     counted = stage(count_candidates(prep.ranked, candidates, prep.n, candidate_store))
     result.candidates = candidates

@@ -65,8 +65,11 @@ def prepare(tx: DataFrame, min_support: float | int, strict: bool = False) -> Pr
     return Prepared(ranked, order, counts, mc, len(counts), names, n_tx)
 
 
-def _mine_task(anchors: dict[int, list[int]], paths: dict[int, tuple[int, ...]], min_count: int, capacity: int | None, max_len: int | None, use_array: bool, shared_tree: bool):
-    """A group's rows to answer rows, or, if its tree is over capacity and it can be split, to one row that says so."""
+def _mine_task(anchors: dict[int, list[int]], paths: dict[int, tuple[int, ...]], min_count: int, capacity: int | None, max_len: int | None, use_array: bool, shared_tree: bool, lone: frozenset[int]):
+    """A group's rows to answer rows, or, if its tree is over capacity and it can be split or (lone) taken apart by itself, to one row that says so.
+
+    The tree of a group with one anchor is counted without the anchor, which all its rows have.
+    """
 
     def run(t: pa.Table) -> pa.Table:
         lists, weights = t["items"].combine_chunks(), t["weight"].to_numpy()
@@ -75,9 +78,9 @@ def _mine_task(anchors: dict[int, list[int]], paths: dict[int, tuple[int, ...]],
         g = t["group_id"][0].as_py()
         offsets = lists.offsets.to_numpy().astype(np.int64)
         rows = Rows(offsets - offsets[0], lists.flatten().to_numpy().astype(np.int64), weights.astype(np.int64))
-        nodes = node_count(rows) if capacity is not None else 0
         own = anchors[g] if anchors else [int(rows.items.max())] if len(rows.items) else []
-        if capacity is not None and nodes > capacity and len(own) > 1:
+        nodes = node_count(rows.without_last() if len(own) == 1 else rows) if capacity is not None else 0
+        if capacity is not None and nodes > capacity and (len(own) > 1 or g in lone):
             return pa.table({"group_id": [g], "status": ["needs_split"], "itemset": pa.array([None], pa.list_(pa.int32())), "support_count": pa.array([nodes], pa.int64())})
         stats = Counters()
         sets, counts = [], []
@@ -98,9 +101,12 @@ def _mine_task(anchors: dict[int, list[int]], paths: dict[int, tuple[int, ...]],
     return run
 
 
-def mine_level(proj: DataFrame, anchors: dict[int, list[int]], min_count: int, *, paths: dict[int, tuple[int, ...]] | None = None, capacity: int | None = None, max_len: int | None = None, use_array: bool = True, shared_tree: bool = True) -> DataFrame:
-    """(group_id, status, itemset, support_count), written to the shared folder. anchors empty: a group's anchor is its last rank."""
-    task = _mine_task(anchors, paths or {}, min_count, capacity, max_len, use_array, shared_tree)
+def mine_level(proj: DataFrame, anchors: dict[int, list[int]], min_count: int, *, paths: dict[int, tuple[int, ...]] | None = None, capacity: int | None = None, max_len: int | None = None, use_array: bool = True, shared_tree: bool = True, lone: frozenset[int] = frozenset()) -> DataFrame:
+    """(group_id, status, itemset, support_count), written to the shared folder. anchors empty: a group's anchor is its last rank.
+
+    A group of several anchors over capacity, or one of lone, is not mined but reported as needs_split.
+    """
+    task = _mine_task(anchors, paths or {}, min_count, capacity, max_len, use_array, shared_tree, lone)
     return stage(proj.select("group_id", "items", "weight").groupBy("group_id").applyInArrow(task, "group_id long, status string, itemset array<int>, support_count long"))
 
 
@@ -128,11 +134,15 @@ def _finish(parts: list[DataFrame], direct: list[tuple[tuple[int, ...], int]], p
     return result
 
 
+def _large(level: DataFrame) -> list[int]:
+    return sorted(r["group_id"] for r in level.where("status = 'needs_split'").select("group_id").collect())  # a row for each group at most
+
+
 def _split(proj: DataFrame, level: DataFrame, anchors: dict[int, list[int]], min_count: int, result: MiningResult, capacity: int, options: dict) -> list[DataFrame]:
     """Halve the anchors of groups that were too large, and project the halves from the group's own rows, until all fit or hold one anchor."""
     parts, next_id = [], max(anchors, default=0) + 1
     while True:
-        large = [r["group_id"] for r in level.where("status = 'needs_split'").select("group_id").collect()]
+        large = [g for g in _large(level) if len(anchors[g]) > 1]
         if not large:
             return parts
         halves: dict[int, list[int]] = {}
@@ -250,17 +260,16 @@ def _mine_database(ranked: DataFrame, n: int, counts: dict[int, int], min_count:
         proj = stage(proj)
         if how["measure"]:
             ledger.measure("projected", proj.where(F.col("group_id") >= len(head)))
-        recurse = {k for k, g in numbered.items() if g.lo == g.hi and g.lo in lone_at}
-        anchors = {k: g.anchors for k, g in numbered.items() if k not in recurse}
-        mined = proj.where(~F.col("group_id").isin([*recurse])) if recurse else proj
-        level = mine_level(mined, anchors, min_count, paths={k: path for k in anchors}, capacity=capacity, **options)
+        # an anchor that is thought too large alone is tried like the others; if its tree is indeed too large it becomes a database of its own
+        alone = frozenset(k for k, g in numbered.items() if g.lo == g.hi and g.lo in lone_at) if levels > 1 else frozenset()
+        anchors = {k: g.anchors for k, g in numbered.items()}
+        level = mine_level(proj, anchors, min_count, paths={k: path for k in anchors}, capacity=capacity, lone=alone, **options)
         nodes = _notes(level, result)
         result.groups += [{"group_id": k, "lo": g.lo, "hi": g.hi, "est_nodes": g.est_nodes, "real_nodes": nodes[k], "how": "head" if k < len(head) else "group"} for k, g in numbered.items() if k in nodes]
         parts.append(_answers(level))
-        parts += _prefixed(_split(mined, level, anchors, min_count, result, capacity, options), path)
-        for k in sorted(recurse):
-            a = numbered[k].lo
-            parts += _recurse(proj.where(F.col("group_id") == k), a, counts, min_count, capacity, result, options, how, path, levels - 1)
+        parts += _prefixed(_split(proj, level, anchors, min_count, result, capacity, options), path)
+        for k in (g for g in _large(level) if g in alone):
+            parts += _recurse(proj.where(F.col("group_id") == k), numbered[k].lo, counts, min_count, capacity, result, options, how, path, levels - 1)
     return parts, direct
 
 

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from . import oracles as O
 from .functions import sqlapi
 from .operators import encode, paircounts, pilot, prefixtree, project, relops, rules, stats
-from .plans import accuracy, baselines, budget, cost, grouping, miner
+from .plans import accuracy, baselines, budget, cost, decompose, experiments, grouping, miner
 from .session import stage
 from .sources import baskets as B
 from .sources import synth
@@ -361,6 +361,37 @@ def scale_curve(spark, d):
     return spark.createDataFrame(rows, "n_tx long, itemsets long, seconds double")
 
 
+# --- experiments: times are not comparable between runs, so there is no SQL ---
+
+
+@q("experiment_sparse")
+def experiment_sparse(spark, d):
+    """Three methods on long patterns, with the share falling."""
+    return experiments.compare(spark, _tx("w5")(spark, d), "w5", [0.4, 0.35], BUDGET["w5"])
+
+
+@q("experiment_bushy")
+def experiment_bushy(spark, d):
+    return experiments.compare(spark, _tx("w1")(spark, d), "w1", [0.01, 0.005], BUDGET["w1"])
+
+
+@q("experiment_dense")
+def experiment_dense(spark, d):
+    """The same on dense baskets with a small budget."""
+    return experiments.compare(spark, _tx("w6")(spark, d), "w6", [0.05, 0.01], BUDGET["w6"])
+
+
+@q("experiment_ablation")
+def experiment_ablation(spark, d):
+    return experiments.ablation(spark, _tx("w2")(spark, d), "w2", SHARE["w2"], BUDGET["w2"])
+
+
+@q("experiment_group_volume")
+def experiment_group_volume(spark, d):
+    p = _prep("w2", spark, d)
+    return experiments.volume_by_groups(spark, p.ranked, p.n, [1, 2, 4, 8, 25])
+
+
 # --- scans, sources, sinks ---
 
 
@@ -750,6 +781,42 @@ def synthetic_baskets(spark, d):
     return synth.baskets(spark, 1000, 200, 10, 4).select("tid", F.array_join("items", "|").alias("items"))
 
 
+@q("synthetic_source")
+def synthetic_source(spark, d):
+    spark.dataSource.register(synth.SyntheticBasketSource)
+    return spark.read.format("synthetic_baskets").option("n_tx", 500).load().select("tid", F.array_join("items", "|").alias("items"))
+
+
+@q("decompose_by_partition", f"WITH long AS ({O.LONG['w6']}) SELECT count(DISTINCT tid) AS baskets FROM long")
+def decompose_by_partition(spark, d):
+    """Cells are disjoint and leave nothing out."""
+    return decompose.by_partition(_tx("w6")(spark, d), 5).groupBy("cell").agg(F.count(F.lit(1)).alias("n")).agg(F.sum("n").alias("baskets"))
+
+
+@q("phase_times")
+def phase_times(spark, d):
+    """Wall time of each phase of the grouped and of the per-item method, told apart into work on items and transfers between stages."""
+    from .plans.ledger import CostLedger
+
+    ledger = CostLedger()
+    with ledger.timed("scan and rank"):
+        p = _prep("w1", spark, d)
+    txw = stage(encode.collapse(p.ranked))
+    for name, df in (("grouped", lambda: project.by_group(txw, grouping.equal_groups(p.n, 4), p.n)), ("per item", lambda: project.per_item(txw))):
+        with ledger.timed(f"{name}: project and write"):
+            proj = stage(df())
+        ledger.measure(f"{name}: projected", proj)
+        anchors = dict(enumerate(g.anchors for g in grouping.equal_groups(p.n, 4))) if name == "grouped" else {}
+        with ledger.timed(f"{name}: mine"):
+            miner.mine_level(proj, anchors, p.min_count, use_array=name == "grouped")
+    return ledger.to_frame(spark)
+
+
+@q("stream_recent_baskets")
+def stream_recent_baskets(spark, d):
+    return S.run_to_memory(S.recent_baskets(_events(spark, d)), "update")
+
+
 # --- streams, each driven to the end of its input ---
 
 

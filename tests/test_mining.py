@@ -295,3 +295,19 @@ def test_larger_dictionaries_are_joined(spark, monkeypatch):
     tx, want = tx_of(spark, lists), brute(lists, 10)
     monkeypatch.setattr(encode, "MAX_SENT_ITEMS", 3)
     assert rows_of(miner.mine_budgeted(tx, 10, 60)) == want
+
+
+def test_experiments_move_as_reported(spark):
+    from fimspark.plans import experiments
+
+    tx = B.order_brands(spark, "/root/testdata/sf0.01")
+    by = {(r.share, r.method): r for r in experiments.compare(spark, tx, "w1", [0.01, 0.005], 7453).collect()}
+    for share in (0.01, 0.005):
+        assert by[share, "grouped"].moved_cells < by[share, "per item"].moved_cells
+        assert by[share, "grouped"].groups < by[share, "per item"].groups
+        assert len({by[share, m].itemsets for m in ("grouped", "per item", "partitioned")}) == 1
+    assert by[0.005, "partitioned"].moved_cells >= by[0.01, "partitioned"].moved_cells, "candidates grow as the share falls"
+    p = miner.prepare(B.customer_brands(spark, "/root/testdata/sf0.01"), 0.5)
+    volume = experiments.volume_by_groups(spark, p.ranked, p.n, [1, 2, 5, 25]).collect()
+    assert [v.expansion for v in volume] == sorted(v.expansion for v in volume) and volume[0].expansion == 1
+    assert all(abs(v.expansion / v.formula - 1) < 0.35 for v in volume)
