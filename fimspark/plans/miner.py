@@ -8,6 +8,7 @@ is answered by the group of its least frequent item, so answers are put together
 from __future__ import annotations
 
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -27,6 +28,8 @@ from .ledger import CostLedger
 FI = "itemset array<int>, support_count long"
 #: Frequent pairs that the planner reads on the driver; with more it does without pruning.
 MAX_PLANNED_PAIRS = 5_000_000
+#: Large single-anchor databases that are planned at the same time.
+SIDE_BY_SIDE = 8
 
 
 @dataclass
@@ -268,8 +271,11 @@ def _mine_database(ranked: DataFrame, n: int, counts: dict[int, int], min_count:
         result.groups += [{"group_id": k, "lo": g.lo, "hi": g.hi, "est_nodes": g.est_nodes, "real_nodes": nodes[k], "how": "head" if k < len(head) else "group"} for k, g in numbered.items() if k in nodes]
         parts.append(_answers(level))
         parts += _prefixed(_split(proj, level, anchors, min_count, result, capacity, options), path)
-        for k in (g for g in _large(level) if g in alone):
-            parts += _recurse(proj.where(F.col("group_id") == k), numbered[k].lo, counts, min_count, capacity, result, options, how, path, levels - 1)
+        large = [g for g in _large(level) if g in alone]
+        # these databases do not depend on each other: their planning jobs run side by side
+        with ThreadPoolExecutor(SIDE_BY_SIDE) as pool:
+            for more in pool.map(lambda k: _recurse(proj.where(F.col("group_id") == k), numbered[k].lo, counts, min_count, capacity, result, options, how, path, levels - 1), large):
+                parts += more
     return parts, direct
 
 
