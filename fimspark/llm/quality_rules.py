@@ -21,7 +21,7 @@ WINDOW = 8
 MIN_WORDS, MAX_REPEAT_PERCENT = 20, 30
 Q, FACTOR = 0.9, 3
 #: Measure and the floor of its limit, in thousandths of the words, of the lines with a word, or characters a word.
-FLOORS = (("symbols", 250), ("dup_lines", 500), ("repeats", 200), ("word_chars", 12_000))
+FLOORS = (("symbols", 250), ("dup_lines", 500), ("repeats", 300), ("word_chars", 12_000))
 SPACES = " \t\n\x0b\x0c\r"
 
 
