@@ -14,7 +14,7 @@ from .tables import table
 def from_long(df: DataFrame, key: str = "tid", item: str = "item") -> DataFrame:
     """Rows (key, item) to baskets; repeated items of a basket count once."""
     rows = df.select(F.col(key).alias("tid"), F.col(item).cast("string").alias("item")).where("item is not null and item <> ''")
-    return rows.groupBy("tid").agg(F.array_sort(F.collect_set("item")).alias("items"))
+    return rows.groupBy("tid").agg(F.sort_array(F.collect_set("item")).alias("items"))
 
 
 def to_long(tx: DataFrame) -> DataFrame:
