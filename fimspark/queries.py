@@ -383,7 +383,7 @@ def experiment_dense(spark, d):
 
 @q("experiment_ablation")
 def experiment_ablation(spark, d):
-    return experiments.ablation(spark, _tx("w2")(spark, d), "w2", SHARE["w2"], BUDGET["w2"])
+    return experiments.ablation(spark, _tx("w1")(spark, d), "w1", SHARE["w1"], BUDGET["w1"])
 
 
 @q("experiment_group_volume")
