@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from fimspark.llm import (
     decontamination,
     induced_sort,
+    near_copies,
     packing,
     pii,
     quality_classifier,
@@ -595,6 +596,33 @@ def test_pipeline_stages(spark):
     assert p.pack(spark, safe, SF).groupBy().sum("length").first()[0] == p.run(spark, SF).groupBy().sum("length").first()[0]
 
 
+def test_near_dedup_removes_similar_texts(spark):
+    """Against the similarity of all pairs: some lie on either side of 0.8, most of them far over two bits apart."""
+    import corpus_pipeline as p
+
+    rng = random.Random(11)
+    texts = [None, "", "one two", "One  two"]
+    for _ in range(12):
+        base = [f"w{rng.randrange(3000)}" for _ in range(200)]
+        for edits in (0, 2, 4, 4, 5, 8, 30):
+            w = list(base)
+            for at in rng.sample(range(0, 200, 6), edits):
+                w[at] = f"new{rng.randrange(10**6)}"
+            texts.append(" ".join(w))
+    sets = [frozenset(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) for w in ((t or "").lower().split() for t in texts)]
+    parent = list(range(len(texts)))
+    for a in range(len(texts)):
+        for b in range(a):
+            if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+                lo, hi = sorted((parent[a], parent[b]))
+                parent = [lo if x == hi else x for x in parent]
+    docs = spark.createDataFrame([(k, t, "en", "s", None) for k, t in enumerate(texts)], DOCS)
+    want = [k for k, x in enumerate(parent) if x == k]
+    assert len(want) < len(texts) - 30
+    assert sorted(r.doc_id for r in p.near_dedup(spark, docs, SF).collect()) == want
+    assert near_copies.reached([np.arange(9, dtype=np.uint64), np.arange(20, 29, dtype=np.uint64), np.arange(10, dtype=np.uint64)]).tolist() == [0, 1, 0]
+
+
 def test_pipeline_of_odd_rows(spark, odd, empty):
     import corpus_pipeline as p
 
