@@ -2,7 +2,7 @@
 
 The kernel of two words counts their common subsequences of P characters; each costs DECAY to the power of the lengths that
 it spans in both words, so that gaps and inserted characters lower the value but do not end it. A word's share of a landmark is its kernel with it over the
-landmark's own, at most 1: how much of the landmark the word holds. Runs of single characters ("i d i o t") count as one word too.
+landmark's own, at most 1: how much of the landmark the word holds. Runs of single characters ("i d i o t", "i+d+i+o+t") with any separators count as one word too.
 A text has two values for each landmark: the largest share over its words, and the mean share over all its words.
 Landmarks are words and parts of words of the labelled training texts that are most telling of the label, chosen one after another so that none holds most of
 an earlier one, then words of middling frequency. The landmarks' own kernel matrix maps the values to the features of
@@ -33,14 +33,14 @@ LANDMARKS = 48
 P, DECAY = 3, 0.7
 #: Characters of a word that the kernel sees; longer words are seen in overlapping parts.
 SEEN = 24
-#: Shares under this are noise of unrelated words and count as 0.
-LEAST = 0.5
+#: Shares under this are noise of unrelated words and count as 0; a landmark with a character between all its letters has more.
+LEAST = 0.3
 ALERT = 0.7
 CACHED_WORDS = 300_000
 #: Words added to a text's length in the mean, so that one word of a short text does not count as a habit.
 CALM = 100
 PART_SIZES = (4, 5, 6, 7)
-_SPACED = re.compile(r"(?<!\w)(?:[^\W\d_][\s.\-_*]{1,2}){3,23}[^\W\d_](?!\w)")
+_SPACED = re.compile(r"(?<!\w)(?:[^\W\d_][\W_]+){3,23}[^\W\d_](?!\w)")
 _CORE = re.compile(r"^\W+|\W+$")
 
 

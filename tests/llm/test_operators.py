@@ -382,6 +382,15 @@ def test_gaps_are_tolerated():
     assert "idiot" in toxicity.words_of("you i d i o t there") and "idiot" in toxicity.words_of("you i.d.i.o.t!")
 
 
+def test_a_character_between_all_letters_is_tolerated():
+    words = ["idio", "moron", "idiot", "stupid", "worthless", "worthlessy", "abcdefghijk", "abcdefghijkl"]
+    k = toxicity.Kernel(words)
+    for x in "x7+":
+        assert (np.diag(k([x.join(w) for w in words])) > 0.3).all()
+    for sep in ("+", "/", " , ", ":", "|", "~", "...", "----"):
+        assert "idiot" in toxicity.words_of(f"you {sep.join('idiot')} there")
+
+
 def test_toxicity_of_held_out_rows(spark):
     docs, labels = spark.read.parquet("/root/testdata/sf0.1/documents.parquet"), spark.read.parquet("/root/testdata/sf0.1/labels.parquet")
     got = toxicity.score(docs, toxicity.train(docs, labels)).join(labels, "doc_id").where("held_out").toPandas()
