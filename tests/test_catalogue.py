@@ -139,3 +139,10 @@ def test_maintained_counts_report_crossings(spark, tmp_path):
     crossed = []
     S.maintain(S.events_source(spark, "/root/testdata/sf0.001/events.parquet"), str(tmp_path / "state"), lambda df: crossed.append(df.count()), min_count=3)
     assert crossed and crossed[0] > 0
+
+
+@pytest.mark.parametrize("name", ["mine_budgeted_w3", "mine_budgeted_w4"])
+def test_sets_of_any_size_are_mined(spark, name):
+    """On the smallest tables nearly all sets of the ten suppliers are frequent."""
+    got = {r["size"]: r["count"] for r in catalogue.queries()[name](spark, "/root/testdata/sf0.001").groupBy("size").count().collect()}
+    assert [got.get(k) for k in range(1, 7)] == [10, 45, 120, 210, 252, 210]
