@@ -7,7 +7,8 @@ by the tail probability of MIN_GRADE.
 
 Training takes at most MAX_RATED rated rows, those of least hash; all else covers all documents.
 
-A null or empty text has no features: x = 0. Labels that are null are not used; several labels of one document are each a rating. If there are no
+A null or empty text has no features: x = 0. Ratings that are null are not used: a label without a quality gives none, nor does a good one without
+its other label. Several labels of one document are each a rating, and so is each row of a repeated document. If there are no
 ratings, or ratings of one grade only, all documents are selected with tail probability 1. Repeated rows are scored each on its own.
 """
 
@@ -31,7 +32,7 @@ DIMS = 4096
 MIN_GRADE, MIN_TAIL = 1, 0.5
 STEPS, RATE, L2 = 250, 0.05, 1e-4
 CACHED_WORDS = 400_000
-_EDGES = re.compile(r"^(\W*)(.*?)(\W*)$", re.DOTALL)
+_FIRST, _LAST = re.compile(r"\w"), re.compile(r"\w\W*\Z")
 _cache: dict[str, bytes] = {}
 
 
@@ -40,7 +41,8 @@ def _slot(kind: str, value: str) -> int:
 
 
 def _word(w: str) -> bytes:
-    before, core, after = _EDGES.match(w[:64]).groups()
+    first, last = _FIRST.search(w), _LAST.search(w)
+    before, core, after = (w[: first.start()], w[first.start() : last.start() + 1], w[last.start() + 1 :]) if first else (w, "", "")
     case = "u" if core.isupper() and len(core) > 1 else "t" if core[:1].isupper() else "l" if core.islower() else "d" if core.isdigit() else "x" if core else ""
     shape = f"{before[:3]}{case}{after[:3]}"
     return np.asarray([_slot("w", w.lower()), _slot("s", shape), _slot("e", after[:3])], "<u2").tobytes()
@@ -77,10 +79,10 @@ def features(text: str) -> np.ndarray:
 
 def _sparse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        for grade, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+        for k, grade, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
             x = features(text.as_py() or "")
             at = np.flatnonzero(x)
-            yield pa.RecordBatch.from_arrays([pa.array([grade], pa.int64()), pa.array([at.astype("<u2").tobytes()]), pa.array([x[at].astype("<f4").tobytes()])], names=["grade", "at", "x"])
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int64()), pa.array([grade], pa.int64()), pa.array([at.astype("<u2").tobytes()]), pa.array([x[at].astype("<f4").tobytes()])], names=["k", "grade", "at", "x"])
 
 
 class OrdinalModel:
@@ -128,10 +130,10 @@ def fit(x: np.ndarray, grade: np.ndarray, steps: int = STEPS) -> OrdinalModel |
 
 
 def train(docs: DataFrame, ratings: DataFrame, max_rated: int = MAX_RATED) -> OrdinalModel | None:
-    """ratings: doc_id, grade. Features of the sample come to the driver: DIMS * 6 bytes for each rating at most."""
+    """ratings: doc_id, grade. Features of at most max_rated rows come to the driver, whatever repeats: DIMS * 6 bytes for each at most."""
     sample = ratings.where("doc_id is not null and grade is not null").orderBy(F.xxhash64("doc_id"), "doc_id", "grade").limit(max_rated)
-    rows = pick(docs, "doc_id", "text").join(F.broadcast(sample), "doc_id").selectExpr("cast(grade as long) grade", "cast(text as string) text")  # max_rated rows
-    got = rows.mapInArrow(_sparse, "grade long, at binary, x binary").toArrow()
+    rows = pick(docs, "doc_id", "text").join(F.broadcast(sample), "doc_id").select(F.xxhash64("doc_id").alias("k"), F.expr("cast(grade as long) grade"), F.expr("cast(text as string) text"))  # max_rated rows
+    got = rows.mapInArrow(_sparse, "k long, grade long, at binary, x binary").orderBy("k", "grade", "at", "x").limit(max_rated).toArrow()
     grade = np.asarray(got["grade"].to_pylist(), np.int64)
     x = np.zeros((len(grade), DIMS), np.float32)
     for i, (at, v) in enumerate(zip(got["at"], got["x"], strict=True)):
@@ -167,8 +169,8 @@ def score(docs: DataFrame, model: OrdinalModel | None, min_grade: int = MIN_GRAD
 
 
 def graded(labels: DataFrame) -> DataFrame:
-    """Three grades from the two labels: 0 poor, 1 good but toxic, 2 good."""
-    return pick(labels, "doc_id", "quality", "toxic").selectExpr("doc_id", "if(quality = 0, 0, 2 - coalesce(toxic, 0)) AS grade")
+    """Three grades from the two labels: 0 poor, 1 good but toxic, 2 good; null where the labels do not say."""
+    return pick(labels, "doc_id", "quality", "toxic").selectExpr("doc_id", "CASE WHEN quality = 0 THEN 0 WHEN quality IS NOT NULL THEN 2 - toxic END AS grade")
 
 
 def op9_quality_classifier(spark, sf_dir) -> DataFrame:
