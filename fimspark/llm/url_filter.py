@@ -1,12 +1,16 @@
 """URL rules, and a ratio of two character language models for URLs that no rule fits.
 
 URLs that a rule allows or blocks train one variable-order Markov model each: counts of every character after its
-last 0 to ORDER characters, smoothed from the longest context down by Witten-Bell weights. Counts live in tables of a
-fixed number of hashed slots, so the models have a proven size however many URLs there are; counting is done in map tasks
-and sums. A URL's score is the difference of the two log-likelihoods divided by its length. Every fifth rule-judged URL (by hash)
+last 0 to ORDER characters, smoothed from the longest context down by Witten-Bell weights. Counts are exact and stay a distributed table,
+a row for each distinct string of ORDER + 1 bytes, so what the models hold grows with the URLs and no two contexts share counts; lower orders are sums over it.
+A byte's log ratio depends on its string alone: it is found once for each string that occurs, by a join for each order, and then summed by URL.
+Strings that make up 1/COMMON of all bytes or more (COMMON at most) are sent to all tasks and summed there; only the others are shuffled.
+Sums are of whole numbers of 2**-32, the same in any order.
+
+A URL's score is the difference of the two log-likelihoods divided by its length. Every fifth rule-judged URL (by hash)
 is left out of the counts and calibrates the threshold: the score at which the shares of wrongly judged URLs of both classes are closest.
 
-Null URLs and URLs without `://` have an empty host and path and fit no rule; a URL without host and path is allowed.
+Null URLs and URLs without `://` have an empty host and path and fit no rule; like any other they get the method's verdict, null and empty ones with score 0.
 If rules judge no URL of a class, or leave none to calibrate on, the threshold is 0; untrained models score 0.
 """
 
@@ -19,11 +23,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, pick, table
+from .common import ascii_lower, cut, pick, table
 
 #: (verdict, rule): fixed values of the contract.
 RULES = (("allow", "org/"), ("block", "example.org/es/"), ("block", "example.org/en/1"), ("allow", "com/fr/"), ("block", "com/de/"))
-ORDER, SLOTS, ALPHABET = 4, 1 << 15, 256
+ORDER, ALPHABET, COMMON, UNIT = 4, 256, 10_000, 1 << 32
 BINS, REACH = 400, 4.0
 
 
@@ -45,99 +49,86 @@ def rule_of(host: Column, path: Column, rules=RULES) -> Column:
     return out
 
 
-def _symbols(urls: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """UTF-8 bytes of all URLs, each after ORDER zero bytes, and the owner of each byte (-1: padding)."""
-    raw = [(u or "").encode() for u in urls.to_pylist()]
+def strings(urls: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """For each byte of each URL, the number that it and the ORDER bytes before it make (0 before the start), and its URL."""
+    raw = [(u or "").encode("utf-8", "surrogatepass") for u in urls.to_pylist()]
     pad = b"\0" * ORDER
-    data = np.frombuffer(b"".join(pad + r for r in raw), np.uint8).astype(np.uint64)
-    owner = np.repeat(np.arange(len(raw)), [len(r) + ORDER for r in raw])
-    starts = np.cumsum([0, *(len(r) + ORDER for r in raw)])[:-1]
-    for k in range(ORDER):
-        owner[starts + k] = -1
-    return data, owner
-
-
-def _slots(data: np.ndarray, order: int) -> tuple[np.ndarray, np.ndarray]:
-    """Slot of each byte's context of that order, and of the context with the byte."""
-    h = np.full(len(data), order + 1, np.uint64)
-    for back in range(order, 0, -1):
-        prev = np.concatenate([np.zeros(back, np.uint64), data[:-back]])
-        h = (h ^ prev) * np.uint64(0x9E3779B97F4A7C15)
-        h ^= h >> np.uint64(29)
-    with_byte = (h ^ (data + np.uint64(1))) * np.uint64(0xBF58476D1CE4E5B9)
-    with_byte ^= with_byte >> np.uint64(31)
-    return (h % np.uint64(SLOTS)).astype(np.int64), (with_byte % np.uint64(8 * SLOTS)).astype(np.int64)
-
-
-def _contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """url, class -> (class, order, slot, pair, n): counts of a byte's slot within its context's slot."""
+    data = np.frombuffer(b"".join(pad + r for r in raw) + pad, np.uint8).astype(np.int64)
+    size = np.asarray([len(r) for r in raw], np.int64)
+    owner = np.repeat(np.arange(len(raw)), size)
+    at = np.arange(len(owner)) + ORDER * (owner + 1)
+    code = np.zeros(len(owner), np.int64)
+    for back in range(ORDER, -1, -1):
+        code = code << 8 | data[at - back]
+    return code, owner
+
+
+def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """url, class (null: not trained on) -> string, n, accepted, rejected."""
     for b in batches:
-        data, owner = _symbols(b.column(0))
-        if not len(owner):
-            continue
-        cls = np.asarray(b.column(1).to_pylist(), np.int64)[owner]
-        keys = []
-        for c in (0, 1):
-            at = (owner >= 0) & (cls == c)
-            for o in range(ORDER + 1):
-                context, pair = _slots(data, o)
-                keys.append(((np.int64(c) * (ORDER + 1) + o) * SLOTS + context[at]) * (8 * SLOTS) + pair[at])
-        key, n = np.unique(np.concatenate(keys), return_counts=True)
-        yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(n)], names=["key", "n"])
-
-
-class Model:
-    """Counts by hashed context: total, kinds of next byte, and each pair's own count."""
-
-    def __init__(self, total: np.ndarray, kinds: np.ndarray, pair: np.ndarray):
-        self.total, self.kinds, self.pair = total, kinds, pair
-
-    def log_likelihood(self, data: np.ndarray) -> np.ndarray:
-        """Of each byte after those before it."""
-        p = np.full(len(data), 1.0 / ALPHABET)
-        for o in range(ORDER + 1):
-            context, with_byte = _slots(data, o)
-            n, t = self.total[o, context], self.kinds[o, context]
-            p = np.where(n > 0, (np.minimum(self.pair[o, with_byte], n) + t * p) / np.maximum(n + t, 1), p)
-        return np.log(p)
-
-
-def train(judged: DataFrame) -> tuple[Model, Model]:
-    """judged: url, class (1 accepted, 0 rejected). What reaches the driver is a row for each slot at most: 2 * (ORDER + 1) * 9 * SLOTS."""
-    per_pair = judged.mapInArrow(_contexts, "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
-    context = F.floor(F.col("key") / (8 * SLOTS))
-    contexts = per_pair.groupBy(context.alias("at")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("kinds"))
-    pairs = per_pair.groupBy((F.floor(F.col("key") / (8 * SLOTS * SLOTS)) * (8 * SLOTS) + F.col("key") % (8 * SLOTS)).alias("at")).agg(F.sum("n").alias("n"))
-    total, kinds, pair = np.zeros((2, ORDER + 1, SLOTS)), np.zeros((2, ORDER + 1, SLOTS)), np.zeros((2, ORDER + 1, 8 * SLOTS))
-    c = contexts.toArrow()
-    at = c["at"].to_numpy()
-    total.reshape(-1)[at], kinds.reshape(-1)[at] = c["n"].to_numpy(), c["kinds"].to_numpy()
-    p = pairs.toArrow()
-    pair.reshape(-1)[p["at"].to_numpy()] = p["n"].to_numpy()
-    return Model(total[1], kinds[1], pair[1]), Model(total[0], kinds[0], pair[0])
-
-
-def scores(urls: pa.Array, models: tuple[Model, Model]) -> np.ndarray:
-    data, owner = _symbols(urls)
-    out = np.zeros(len(urls))
-    if len(owner):
-        at = owner >= 0
-        ratio = models[0].log_likelihood(data) - models[1].log_likelihood(data)
-        n = np.bincount(owner[at], minlength=len(urls))
-        out = np.bincount(owner[at], ratio[at], minlength=len(urls)) / np.maximum(n, 1)
-    return out
-
-
-def _threshold(held: DataFrame, broadcast) -> float:
-    """Where the two classes' shares of errors are closest, from a histogram of BINS bins."""
-
-    def run(batches):
+        code, owner = strings(b.column(0))
+        kind = np.asarray([-1 if c is None else c for c in b.column(1).to_pylist()], np.int64)[owner]
+        key, which = np.unique(code, return_inverse=True)
+        of = lambda ok: pa.array(np.bincount(which, ok, minlength=len(key)).astype(np.int64))
+        yield pa.RecordBatch.from_arrays([pa.array(key), of(np.ones(len(code))), of(kind == 1), of(kind == 0)], names=["string", "n", "accepted", "rejected"])
+
+
+def log_ratios(counts: DataFrame) -> DataFrame:
+    """counts: string, n, accepted, rejected. Returns string, n and ratio, in units of 1/UNIT: the log-likelihood as accepted less that as rejected."""
+    pairs = {ORDER: counts.where("accepted + rejected > 0").select("string", "accepted", "rejected")}
+    for o in range(ORDER - 1, -1, -1):
+        pairs[o] = pairs[o + 1].groupBy(F.expr(f"string & {(1 << 8 * (o + 1)) - 1}L").alias("string")).agg(F.sum("accepted").alias("accepted"), F.sum("rejected").alias("rejected"))
+    out = counts.select("string", "n", F.lit(1 / ALPHABET).alias("p"), F.lit(1 / ALPHABET).alias("q"))
+    for o in range(ORDER + 1):
+        following = F.map_from_entries(F.collect_list(F.struct(F.expr("string & 255").alias("k"), F.struct("accepted", "rejected").alias("v"))))  # ALPHABET entries at most
+        table = pairs[o].groupBy(F.expr("string >> 8").alias("context")).agg(
+            following.alias("next"),
+            F.sum("accepted").alias("na"),
+            F.sum("rejected").alias("nr"),
+            F.count_if(F.col("accepted") > 0).alias("ka"),
+            F.count_if(F.col("rejected") > 0).alias("kr"),
+        )
+        if o < 2:
+            table = F.broadcast(table)  # ALPHABET ** o contexts of ALPHABET entries at most
+        joined = out.join(table, F.expr(f"(string & {(1 << 8 * (o + 1)) - 1}L) >> 8") == F.col("context"), "left")
+        step = lambda p, own, n, k: f"CASE WHEN {n} > 0 THEN (coalesce(next[string & 255].{own}, 0L) + {k} * {p}) / ({n} + {k}) ELSE {p} END AS {p}"
+        out = joined.selectExpr("string", "n", step("p", "accepted", "na", "ka"), step("q", "rejected", "nr", "kr"))
+    return out.select("string", "n", F.round((F.log("p") - F.log("q")) * UNIT).cast("long").alias("ratio"))
+
+
+def scored(urls: DataFrame, ratios: DataFrame) -> DataFrame:
+    """urls: id (unique), url. Returns id, score."""
+    total = ratios.agg(F.sum("n")).first()[0] or 0
+    some = ratios.where(F.col("n") * COMMON >= total).select("string", "ratio").toArrow()  # COMMON rows at most
+    key, value = some["string"].to_numpy(), some["ratio"].to_numpy()
+    order = np.argsort(key)
+    shared = urls.sparkSession.sparkContext.broadcast((key[order], value[order]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, value = shared.value
         for b in batches:
-            s = np.clip((scores(b.column(0), broadcast.value) + REACH) / (2 * REACH) * BINS, 0, BINS - 1).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(1).cast(pa.int64()), pa.array(s)], names=["class", "bin"])
-
+            code, owner = strings(b.column(1))
+            k = np.minimum(np.searchsorted(key, code), max(len(key) - 1, 0))
+            known = key[k] == code if len(key) else np.zeros(len(code), bool)
+            base = np.zeros(b.num_rows, np.int64)
+            np.add.at(base, owner[known], value[k[known]])
+            size = np.bincount(owner, minlength=b.num_rows)
+            offsets = np.append(0, np.cumsum(np.bincount(owner[~known], minlength=b.num_rows)))
+            rest = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(code[~known], pa.int64()))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(base), pa.array(size, pa.int64()), rest], names=["id", "base", "size", "rest"])
+
+    begun = urls.select("id", "url").mapInArrow(run, "id long, base long, size long, rest array<long>")
+    rest = begun.select("id", F.explode("rest").alias("string")).join(ratios.select("string", "ratio"), "string")
+    sums = rest.groupBy("id").agg(F.sum("ratio").alias("more"))
+    whole = begun.select("id", "base", "size").join(sums, "id", "left")
+    return whole.select("id", F.expr(f"CASE WHEN size > 0 THEN (base + coalesce(more, 0L)) / {float(UNIT)}D / size ELSE 0D END").alias("score"))
+
+
+def _threshold(held: DataFrame) -> float:
+    """held: class, score. Where the two classes' shares of errors are closest, from a histogram of BINS bins."""
+    place = F.least(F.lit(BINS - 1), F.greatest(F.lit(0), F.floor((F.col("score") + REACH) / (2 * REACH) * BINS))).cast("int")
     h = np.zeros((2, BINS))
-    for r in held.mapInArrow(run, "class long, bin long").groupBy("class", "bin").count().collect():  # 2 * BINS rows at most
+    for r in held.groupBy("class", place.alias("bin")).count().collect():  # 2 * BINS rows at most
         h[r["class"], r["bin"]] = r["count"]
     if not h[0].sum() or not h[1].sum():
         return 0.0
@@ -154,19 +145,15 @@ def judge(pages: DataFrame, rules=RULES) -> DataFrame:
     host, path = parts(F.col("url"))
     p = p.select("page_id", "url", F.coalesce(host, F.lit("")).alias("host"), F.coalesce(path, F.lit("")).alias("path"))
     p = p.withColumn("fit", rule_of(F.col("host"), F.col("path"), rules))
-    judged = p.where("fit is not null").select("url", (F.col("fit.verdict") == "allow").cast("long").alias("class"))
-    out = F.pmod(F.xxhash64("url"), F.lit(5)) == 0
-    models = train(judged.where(~out))
-    shared = p.sparkSession.sparkContext.broadcast(models)  # 2 * (ORDER + 1) * 10 * SLOTS numbers
-    limit = _threshold(judged.where(out), shared)
-
-    def run(batches):
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in range(4)), pa.array(scores(b.column(4), shared.value)), b.column(5)], names=["page_id", "host", "path", "rule", "score", "verdict"])
-
-    scored = p.select("page_id", "host", "path", F.col("fit.rule").alias("rule"), "url", F.col("fit.verdict").alias("verdict")).mapInArrow(run, f"page_id {dict(p.dtypes)['page_id']}, host string, path string, rule string, score double, verdict string")
-    by_score = F.when((F.col("score") >= limit) | (F.length(F.concat("host", "path")) == 0), "allow").otherwise("block")
-    return scored.select("page_id", "host", "path", "rule", F.coalesce("verdict", by_score).alias("verdict"), "score")
+    allowed = F.when(F.col("fit").isNotNull(), (F.col("fit.verdict") == "allow").cast("int"))
+    # written once, so that the numbers of rows stay the same
+    p = cut(p.select(F.monotonically_increasing_id().alias("id"), "page_id", "url", "host", "path", F.col("fit.rule").alias("rule"), F.col("fit.verdict").alias("verdict"), allowed.alias("class"), (F.pmod(F.xxhash64("url"), F.lit(5)) == 0).alias("held")))
+    found = p.select("url", F.when(~F.col("held"), F.col("class")).alias("class")).mapInArrow(_counted, "string long, n long, accepted long, rejected long")
+    counts = cut(found.groupBy("string").agg(*(F.sum(c).alias(c) for c in ("n", "accepted", "rejected"))))
+    out = cut(p.drop("url").join(scored(p, cut(log_ratios(counts))), "id"))
+    limit = _threshold(out.where("held and class is not null").select("class", "score"))
+    verdict = F.coalesce("verdict", F.when(F.col("score") >= limit, "allow").otherwise("block"))
+    return out.select("page_id", "host", "path", "rule", verdict.alias("verdict"), "score")
 
 
 def op10_url_filter(spark, sf_dir) -> DataFrame:
