@@ -20,6 +20,7 @@ rows with a null doc_id neither lose bytes nor cause losses. Repeated rows get t
 from __future__ import annotations
 
 import hashlib
+from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -114,11 +115,11 @@ class Part:
         key, n = np.unique(np.concatenate(got), return_counts=True)
         return key << np.uint64(8) | np.minimum(n, 255).astype(np.uint64)
 
-    def merged(self) -> tuple[list[dict[bytes, int]], list[list[int]], list[list[int]], np.ndarray]:
-        """For each shard its distinct entries, their least doc_ids and 32 bits of their anchors; and each entry's (text, place, windows, shard, number)."""
-        numbers: list[dict[bytes, int]] = [{} for _ in range(self.n_shards)]
-        least: list[list[int]] = [[] for _ in range(self.n_shards)]
-        tags: list[list[int]] = [[] for _ in range(self.n_shards)]
+    def merged(self) -> tuple[dict[int, dict[bytes, int]], dict[int, list[int]], dict[int, list[int]], np.ndarray]:
+        """For each shard met its distinct entries, their least doc_ids and 32 bits of their anchors; and each entry's (text, place, windows, shard, number)."""
+        numbers: dict[int, dict[bytes, int]] = defaultdict(dict)
+        least: dict[int, list[int]] = defaultdict(list)
+        tags: dict[int, list[int]] = defaultdict(list)
         places: list[tuple[int, int, int, int, int]] = []
         keys, hot = self.known >> np.uint64(1), (self.known & np.uint64(1)).astype(bool)
         for text, place, windows, h, start, joined in entries_of(self.texts) if len(keys) else ():
@@ -149,9 +150,10 @@ class Part:
         delta = np.zeros(begin[-1] + 1, np.int32)
         if len(places):
             x, place, many, shard, n = places.T
-            first = np.cumsum([0, *(len(v) for v in least)])[shard] + n
-            every = np.concatenate([np.asarray(v, np.int64) for v in least])
-            mask = np.concatenate([self.masks.get(s, np.zeros(len(v), np.uint64))[: len(v)] for s, v in enumerate(least)])
+            met = sorted(least)
+            first = np.cumsum([0, *(len(least[s]) for s in met)])[np.searchsorted(met, shard)] + n
+            every = np.concatenate([np.asarray(least[s], np.int64) for s in met])
+            mask = np.concatenate([self.masks.get(s, np.zeros(len(least[s]), np.uint64))[: len(least[s])] for s in met])
             own = np.asarray([self.ids[k] for k in self.rows], np.int64)[x]
             bits = np.where(own > every[first], ALL, mask[first])
             for j in range(WINDOWS):
@@ -278,7 +280,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
 
     def entries(t: pa.Table, m: pa.Table) -> pa.Table:
         numbers, least, tags, _ = Part(t, m, n_shards).merged()
-        full = [s for s in range(n_shards) if numbers[s]]
+        full = sorted(numbers)
         own = t["part"][0].as_py() if t.num_rows else 0
         return pa.table(
             {
