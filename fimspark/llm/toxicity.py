@@ -279,12 +279,13 @@ def train(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED)
 
     def run(batches):
         for b in batches:
-            for y, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            for k, y, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
                 bag = words_of(t or "")
                 order = sorted(bag)
-                yield pa.RecordBatch.from_arrays([pa.array([y], pa.int64()), pa.array([order], pa.list_(pa.string())), pa.array([[bag[w] for w in order]], pa.list_(pa.int64()))], names=["y", "words", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int64()), pa.array([y], pa.int64()), pa.array([order], pa.list_(pa.string())), pa.array([[bag[w] for w in order]], pa.list_(pa.int64()))], names=["k", "y", "words", "n"])
 
-    got = rows.selectExpr("cast(toxic as long) y", "cast(text as string) t").mapInArrow(run, "y long, words array<string>, n array<long>").toArrow()
+    bags = rows.select(F.xxhash64("doc_id").alias("k"), F.expr("cast(toxic as long) y"), F.expr("cast(text as string) t")).mapInArrow(run, "k long, y long, words array<string>, n array<long>")
+    got = bags.orderBy("k", "y", "words", "n").limit(max_labelled).toArrow()  # a labelled row may be repeated
     rows = sorted(zip(got["y"].to_pylist(), got["words"].to_pylist(), got["n"].to_pylist(), strict=True))
     return fit([Counter(dict(zip(w, n, strict=True))) for _, w, n in rows], np.asarray([y for y, _, _ in rows], np.int64))
 
