@@ -1,10 +1,11 @@
 """Benchmark decontamination by q-gram counting in diagonal bands and banded alignment.
 
-Benchmark texts and documents are compared as UTF-8 bytes with A-Z in lower case and white space as single spaces. A passage of SEGMENT bytes of an
+Benchmark texts and documents are compared as UTF-8 bytes with A-Z in lower case and white space as single spaces. Any passage of SEGMENT bytes of an
 item (the whole item if shorter) leaks into a document if a region of the document can be turned into it by at most EDITS of its length in edits.
 Such a region and the passage share at least SEGMENT - Q + 1 - Q * edits grams of Q bytes, all on diagonals that lie no further apart than the edits.
 So the shared grams of a document and an item are counted in overlapping bands of diagonals (each band twice as wide as needed, so that any such set lies
-within one), windows of a band that reach the count are kept, and the passages they touch are verified by banded alignment against the region.
+within one), and runs of a band that reach the count within a passage's reach are kept. Each start in the item whose passage holds all grams of such a run is
+verified by banded alignment against the region; one start of each document and item is tried first, and all of them where that fails. No passage within the edits is lost.
 
 Items are the small side: their grams are sent to all tasks if they have at most MAX_INDEX_BYTES; a larger benchmark is handled in as many passes over the documents as it takes.
 A window that meets no gram costs nothing more, whatever the document's length.
@@ -23,11 +24,14 @@ from pyspark.sql import functions as F
 
 from .common import pick, table
 
-Q, SEGMENT, STRIDE, MIN_ITEM = 8, 64, 16, 24
+Q, SEGMENT, MIN_ITEM = 8, 64, 24
 EDITS = 0.08
-MAX_INDEX_BYTES = 16 << 20
+#: Bytes of items in one index, which takes about 22 times as much in each worker.
+MAX_INDEX_BYTES = 4 << 20
 #: Bytes of documents that are searched at once.
 CHUNK = 2 << 20
+#: Alignments done at once.
+SIDE_BY_SIDE = 16_384
 _FOLD = np.arange(256, dtype=np.uint8)
 _FOLD[65:91] += 32
 _FOLD[[9, 10, 11, 12, 13]] = 32
@@ -88,6 +92,33 @@ def edit_distance_within(passage: bytes, region: bytes, k: int) -> bool:
     return False
 
 
+def within(passages: np.ndarray, sizes: np.ndarray, regions: np.ndarray, reach: np.ndarray, k: np.ndarray) -> np.ndarray:
+    """For each row, whether some part of the region (its first `reach` bytes) is at most k edits from the passage (its first `sizes` bytes, 64 at most).
+
+    As edit_distance_within, for many rows at once: a passage's column is one machine word.
+    """
+    n = len(passages)
+    wide = np.zeros((n, 64), np.uint8)
+    wide[:, : passages.shape[1]] = passages
+    bit = np.uint64(1) << (sizes - 1).astype(np.uint64)
+    ones = bit | (bit - np.uint64(1))
+    up, down, score = ones.copy(), np.zeros(n, np.uint64), sizes.astype(np.int64)
+    best = score.copy()
+    one = np.uint64(1)
+    for j in range(int(reach.max(initial=0))):
+        eq = np.packbits(wide == regions[:, j : j + 1], axis=1, bitorder="little").view(np.uint64).ravel() & ones
+        eq[j >= reach] = 0
+        vertical = eq | down
+        diagonal = (((eq & up) + up) ^ up) | eq
+        h_up = down | ~(diagonal | up)
+        h_down = up & diagonal
+        score += (h_up & bit != 0).astype(np.int64) - (h_down & bit != 0)
+        best = np.where(j < reach, np.minimum(best, score), best)
+        h_up, h_down = h_up << one, h_down << one
+        up, down = h_down | ~(vertical | h_up), h_up & vertical
+    return best <= k
+
+
 class Index:
     """The grams of some items, sorted, with a bitmap in front."""
 
@@ -95,19 +126,23 @@ class Index:
 
     def __init__(self, items: list[tuple[int, bytes]]):
         self.ids = np.asarray([i for i, _ in items], np.int64)
-        self.texts = [t for _, t in items]
-        g = [grams(t) for t in self.texts]
+        texts = [t for _, t in items]
+        self.raw = np.frombuffer(b"".join(texts) + b"\0", np.uint8)
+        self.sizes = np.asarray([len(t) for t in texts], np.int64)
+        self.begins = np.cumsum(self.sizes) - self.sizes
+        g = [grams(t) for t in texts]
         code = np.concatenate([*g, np.zeros(0, np.uint64)])
         item = np.repeat(np.arange(len(g)), [len(x) for x in g])
         pos = np.concatenate([*(np.arange(len(x)) for x in g), np.zeros(0, np.int64)])
         order = np.argsort(code, kind="stable")
-        code, self.item, self.pos = code[order], item[order].astype(np.int64), pos[order].astype(np.int64)
+        code, self.item, self.pos = code[order], item[order].astype(np.int32), pos[order].astype(np.int32)
         self.codes, self.first = np.unique(code, return_index=True)
         self.last = np.append(self.first[1:], len(code))
         self.bitmap = np.zeros(1 << self.BITS, bool)
         self.bitmap[self._at(self.codes)] = True
-        self.least = np.asarray([needed(min(SEGMENT, len(t))) for t in self.texts], np.int64)
-        self.longest = max([len(t) for t in self.texts], default=0)
+        self.least = np.asarray([needed(min(SEGMENT, len(t))) for t in texts], np.int64)
+        self.edits = np.asarray([budget(min(SEGMENT, len(t))) for t in texts], np.int64)
+        self.longest = max([len(t) for t in texts], default=0)
         self.band = max(2, 1 + budget(SEGMENT))
 
     def _at(self, codes: np.ndarray) -> np.ndarray:
@@ -131,51 +166,80 @@ class Index:
             return []
         pos = np.repeat(at, n)
         entry = np.repeat(self.first[k] - (np.cumsum(n) - n), n) + np.arange(total)
-        item, own = self.item[entry], self.pos[entry]
+        item, own = self.item[entry].astype(np.int64), self.pos[entry].astype(np.int64)
         # documents that share too few grams with an item in all go no further
-        pair = (np.searchsorted(start, pos, side="right") - 1) * len(self.ids) + item
-        enough = np.bincount(pair, minlength=len(texts) * len(self.ids))[pair] >= self.least[item]
-        pos, item, own = pos[enough], item[enough], own[enough]
+        doc = np.searchsorted(start, pos, side="right") - 1
+        _, which, many = np.unique(doc * len(self.ids) + item, return_inverse=True, return_counts=True)
+        enough = many[which] >= self.least[item]
+        pos, item, own, doc = pos[enough], item[enough], own[enough], doc[enough]
         # bands twice as wide as their distance: each diagonal is in two
         band = (pos - own + self.longest) // self.band
         n_bands = (len(joined) + self.longest) // self.band + 2
         group = np.concatenate([item * n_bands + band, item * n_bands + band + 1])
         key = np.lexsort((np.tile(pos, 2), group))
         both = np.tile(np.arange(len(pos)), 2)[key]
-        found = self._windows(item[both], group[key], pos[both], own[both])
-        out = set()
-        doc = np.searchsorted(start, [p for _, p, _ in found], side="right") - 1
-        for (i, p, o), d in zip(found, doc.tolist(), strict=True):
-            if (d, i) not in out and self._verified(i, p, o, texts[d], int(start[d])):
-                out.add((d, i))
-        return sorted(out)
-
-    def _windows(self, item: np.ndarray, group: np.ndarray, pos: np.ndarray, own: np.ndarray) -> list[tuple[int, int, int]]:
-        """(item, position, position in the item) where enough grams of one band lie within a passage's reach."""
+        runs = self._runs(item[both], group[key], pos[both], own[both], doc[both])
+        if not len(runs[0]):
+            return []
+        item, diagonal, lo, hi, doc = runs
+        pair = doc * len(self.ids) + item
+        # one start for each pair first, from the middle of its runs, then all starts of the pairs that it did not settle
+        order = np.lexsort((diagonal, pair))
+        edges = np.append(np.flatnonzero(np.append(True, np.diff(pair[order]) > 0)), len(order))
+        some = order[(edges[:-1] + edges[1:]) // 2]
+        ok = self._verified(item[some], diagonal[some], (lo[some] + hi[some]) // 2, doc[some], joined, start, lengths)
+        found = set(pair[some][ok].tolist())
+        left = np.flatnonzero(~np.isin(pair, np.fromiter(found, np.int64, len(found))))
+        for at in range(0, len(left), SIDE_BY_SIDE):
+            part = left[at : at + SIDE_BY_SIDE]
+            part = part[~np.isin(pair[part], np.fromiter(found, np.int64, len(found)))]
+            n = hi[part] - lo[part] + 1
+            each = np.repeat(part, n)
+            low = np.repeat(lo[part] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+            tries = np.unique(np.stack([pair[each], item[each], diagonal[each], low, doc[each]], axis=1), axis=0)
+            ok = self._verified(tries[:, 1], tries[:, 2], tries[:, 3], tries[:, 4], joined, start, lengths)
+            found.update(tries[ok, 0].tolist())
+        return sorted((p // len(self.ids), p % len(self.ids)) for p in found)
+
+    def _runs(self, item: np.ndarray, group: np.ndarray, pos: np.ndarray, own: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, ...]:
+        """(item, diagonal, first start, last start, doc) of runs of one band that reach the count within a passage's reach; starts are places in the item."""
         out = []
-        for least in np.unique(self.least):
+        for least in np.unique(self.least[item]) if len(item) else ():
             t = int(least)
             if len(pos) < t:
                 continue
-            far = np.arange(t - 1, len(pos))
-            near = far - t + 1
-            ok = (group[far] == group[near]) & (pos[far] - pos[near] <= SEGMENT + self.band) & (self.least[item[far]] == t)
-            out += zip(item[near[ok]].tolist(), pos[near[ok]].tolist(), own[near[ok]].tolist(), strict=True)
+            near = np.arange(len(pos) - t + 1)
+            far = near + t - 1
+            near = near[(group[far] == group[near]) & (doc[far] == doc[near]) & (pos[far] - pos[near] <= SEGMENT + self.band) & (self.least[item[far]] == t)]
+            window = np.lib.stride_tricks.sliding_window_view(own, t)[near]
+            size = self.sizes[item[near]]
+            lo = np.maximum(0, window.max(axis=1) - np.minimum(SEGMENT, size) + Q)
+            hi = np.minimum(window.min(axis=1), size - np.minimum(SEGMENT, size))
+            ok = lo <= hi
+            out.append((item[near][ok], (pos - own)[near][ok], lo[ok], hi[ok], doc[near][ok]))
+        if not out:
+            return tuple(np.zeros(0, np.int64) for _ in range(5))
+        runs = np.unique(np.stack([np.concatenate(x) for x in zip(*out, strict=True)], axis=1), axis=0)
+        return tuple(runs.T)
+
+    def _verified(self, item: np.ndarray, diagonal: np.ndarray, low: np.ndarray, doc: np.ndarray, joined: bytes, start: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+        """Whether the passage of the item that starts at low occurs, within its edits, around the diagonal (a place in joined less one in the item)."""
+        out = np.zeros(len(item), bool)
+        raw = np.frombuffer(joined, np.uint8)
+        for at in range(0, len(item), SIDE_BY_SIDE):
+            s = slice(at, at + SIDE_BY_SIDE)
+            m = np.minimum(SEGMENT, self.sizes[item[s]])
+            k = self.edits[item[s]]
+            slack = k + 2 * self.band
+            begin = np.maximum(start[doc[s]], diagonal[s] + low[s] - slack)
+            end = np.minimum(start[doc[s]] + lengths[doc[s]], diagonal[s] + low[s] + m + slack)
+            reach = np.maximum(0, end - begin)
+            wide = np.arange(int(reach.max(initial=0)))
+            region = raw[np.minimum(begin[:, None] + wide[None, :], len(raw) - 1)]
+            place = np.minimum(self.begins[item[s]][:, None] + low[s][:, None] + np.arange(SEGMENT)[None, :], len(self.raw) - 1)
+            out[s] = within(self.raw[place], m, region, reach, k)
         return out
 
-    def _verified(self, item: int, pos: int, own: int, text: bytes, start: int) -> bool:
-        """Align the passages around the place with the region on its diagonal."""
-        whole = self.texts[item]
-        m = min(SEGMENT, len(whole))
-        k = budget(m)
-        lows = {*range(max(0, own - m + Q) // STRIDE * STRIDE, min(own, len(whole) - m) + 1, STRIDE), min(own, len(whole) - m)}
-        for low in sorted(x for x in lows if 0 <= x <= len(whole) - m):
-            at = pos - start + low - own
-            lo, hi = max(0, at - k - self.band), max(0, at + m + k + self.band)
-            if edit_distance_within(whole[low : low + m], text[lo:hi], k):
-                return True
-        return False
-
 
 def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, item_id of each document and item that share a passage."""
