@@ -1,10 +1,13 @@
 """Counts of all pairs of frequent items, over the whole database.
 
-Map tasks add up triangles of their own and send on the cells that are not zero, so a pair costs a row for each task at most.
+Map tasks add up triangles of their own and send on the cells that are not zero, so a pair costs a row for each task at most. Rows are taken in slices
+of bounded pairs, so a task holds its triangle and one slice, whatever the rows' number and length.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -15,22 +18,28 @@ from pyspark.sql import functions as F
 DENSE_ITEMS, FLUSH = 2000, 2_000_000
 
 
-def _pairs_of(offsets: np.ndarray, items: np.ndarray, weight: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Keys hi * (n + 1) + lo and weights of the pairs of each row."""
+#: Pairs that are looked at together.
+SLICE = 1_000_000
+
+
+def _pairs_of(offsets: np.ndarray, items: np.ndarray, weight: np.ndarray, n: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Keys hi * (n + 1) + lo and weights of the pairs of each row, SLICE or the pairs of one row at a time."""
     sizes = np.diff(offsets)
-    keys, ws = [], []
     for size in np.unique(sizes[sizes > 1]).tolist():
         of = np.flatnonzero(sizes == size)
-        m = items[offsets[of][:, None] + np.arange(size)[None, :]].astype(np.int64)
+        pairs = size * (size - 1) // 2
+        step = max(1, SLICE // pairs)
+        if pairs > SLICE:  # very long rows: an item with all before it, some at a time
+            for r in of.tolist():
+                m = items[offsets[r] : offsets[r + 1]].astype(np.int64)
+                for hi in range(1, size):
+                    yield m[hi] * (n + 1) + m[:hi], np.full(hi, weight[r])
+            continue
         lo, hi = np.triu_indices(size, 1)
-        step = max(1, 4_000_000 // len(lo))
         for at in range(0, len(of), step):
-            part = m[at : at + step]
-            keys.append((part[:, hi] * (n + 1) + part[:, lo]).ravel())
-            ws.append(np.repeat(weight[of[at : at + step]], len(lo)))
-    if not keys:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    return np.concatenate(keys), np.concatenate(ws)
+            some = of[at : at + step]
+            m = items[offsets[some][:, None] + np.arange(size)[None, :]].astype(np.int64)
+            yield (m[:, hi] * (n + 1) + m[:, lo]).ravel(), np.repeat(weight[some], pairs)
 
 
 def pair_matrix(ranked: DataFrame, n: int) -> DataFrame:
@@ -46,23 +55,17 @@ def pair_matrix(ranked: DataFrame, n: int) -> DataFrame:
 
         for b in batches:
             lists = b.column(0)
-            key, weight = _pairs_of(lists.offsets.to_numpy() - lists.offsets[0].as_py(), pc.list_flatten(lists).to_numpy(zero_copy_only=False), b.column(1).to_numpy(), n)
-            if not len(key):
-                continue
-            if dense is not None:
-                if len(key) > len(dense) // 8:
-                    dense += np.bincount(key, weight, minlength=len(dense)).astype(np.int64)
-                else:
-                    np.add.at(dense, key, weight)
-                continue
-            order = np.argsort(key, kind="stable")
-            key, weight = key[order], weight[order]
-            first = np.flatnonzero(np.append(True, key[1:] != key[:-1]))
-            for k, c in zip(key[first].tolist(), np.add.reduceat(weight, first).tolist(), strict=True):
-                held[k] = held.get(k, 0) + c
-            if len(held) > FLUSH:
-                yield out(np.asarray(list(held), np.int64), np.asarray(list(held.values()), np.int64))
-                held.clear()
+            for key, weight in _pairs_of(lists.offsets.to_numpy() - lists.offsets[0].as_py(), pc.list_flatten(lists).to_numpy(zero_copy_only=False), b.column(1).to_numpy(), n):
+                made, which = np.unique(key, return_inverse=True)
+                count = np.bincount(which, weight, minlength=len(made)).astype(np.int64)
+                if dense is not None:
+                    dense[made] += count
+                    continue
+                for k, c in zip(made.tolist(), count.tolist(), strict=True):
+                    held[k] = held.get(k, 0) + c
+                if len(held) > FLUSH:
+                    yield out(np.asarray(list(held), np.int64), np.asarray(list(held.values()), np.int64))
+                    held.clear()
         if dense is not None:
             key = np.flatnonzero(dense)
             yield out(key, dense[key])

@@ -92,3 +92,32 @@ def short_circuit(groups: list[Group], frequent: dict[int, dict[int, int]], coun
         if left:
             out.append(Group(g.lo, g.hi, g.est_nodes, g.companions, left))
     return direct, out
+
+
+def partner_rows(pairs: DataFrame, groups: list[Group], n: int, min_count: int) -> DataFrame:
+    """(group_id, anchor, items, weight): each frequent partner before an anchor, for the anchor's group, which so needs no scan to find it."""
+    rows = frequent_partners(pairs, min_count).select(F.element_at(_group_of(groups, n), F.col("hi")).alias("group_id"), F.col("hi").alias("anchor"), F.array("lo").alias("items"), F.col("pair_count").alias("weight"))
+    return rows.where("group_id >= 0").withColumn("group_id", F.col("group_id").cast("long"))
+
+
+def planned_by_join(pairs: DataFrame, groups: list[Group], n: int, counts: dict[int, int], min_count: int) -> tuple[list[tuple[tuple[int, ...], int]], list[Group]]:
+    """Short circuits and pruned companions as the two functions above find them, by joins; the driver gets a row for each anchor and a set for each group."""
+    group_of = _group_of(groups, n)
+    first = F.lit([g.lo for g in groups])
+    f = frequent_partners(pairs, min_count).select("hi", "lo", "pair_count", F.element_at(group_of, F.col("hi")).alias("g"), F.element_at(group_of, F.col("lo")).alias("h"))
+    both = f.where("g >= 0").select(F.col("hi").alias("a"), F.col("lo").alias("b"), "pair_count").unionByName(f.where("g >= 0 and g = h").select(F.col("lo").alias("a"), F.col("hi").alias("b"), "pair_count"))
+    partners = {r["a"]: (r["n"], r["b"], r["c"]) for r in both.groupBy("a").agg(F.count(F.lit(1)).alias("n"), F.min("b").alias("b"), F.min("pair_count").alias("c")).collect()}  # n rows
+    direct: list[tuple[tuple[int, ...], int]] = []
+    left = []
+    for g in groups:
+        gone = [a for a in g.anchors if partners.get(a, (0,))[0] <= 1]
+        direct += [((a,), counts[a]) for a in gone]
+        one = {(max(a, partners[a][1]), min(a, partners[a][1])): partners[a][2] for a in gone if a in partners}
+        direct += sorted(one.items())
+        if stay := sorted(set(g.anchors) - set(gone)):
+            left.append(Group(g.lo, g.hi, g.est_nodes, g.companions, stay))
+    stays = F.lit([a for g in left for a in g.anchors]) if left else F.array().cast("array<int>")
+    useful = f.where(F.array_contains(stays, F.col("hi")) & (F.col("lo") < F.element_at(first, F.col("g") + 1)))
+    of = {r["g"]: sorted(r["useful"]) for r in useful.groupBy("g").agg(F.collect_set("lo").alias("useful")).collect()}  # n * groups numbers at most
+    place = {g.lo: k for k, g in enumerate(groups)}
+    return direct, [Group(g.lo, g.hi, g.est_nodes, of.get(place[g.lo], []), g.anchors) for g in left]

@@ -6,6 +6,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
+#: Bits of a mask that one array enumerates.
+HALF = 12
+
+
 def _parts() -> tuple:
     return F.split("itemset", r"\|")
 
@@ -13,10 +17,12 @@ def _parts() -> tuple:
 def generate(fi: DataFrame, n_tx: int, min_conf: float) -> DataFrame:
     """Rules antecedent -> consequent of all splits of each set; every antecedent and consequent is itself in fi.
 
-    A set of size s has 2**s - 2 splits; they are enumerated by bit masks and joined to their supports by equality.
+    A set of size s has 2**s - 2 splits, all between sets of fi; they are enumerated by bit masks, HALF bits at a time, so that no row holds more than 2**HALF of them, and joined to their
+    supports by equality.
     """
     sets = fi.where("size >= 2").select("itemset", "support_count", "size", _parts().alias("p"))
-    masks = sets.select("*", F.explode(F.expr("sequence(1L, shiftleft(1L, size) - 2)")).alias("m"))
+    high = sets.select("*", F.explode(F.expr(f"sequence(0L, shiftleft(1L, greatest(size - {HALF}, 0)) - 1)")).alias("high"))
+    masks = high.select("*", F.explode(F.expr(f"transform(sequence(0L, shiftleft(1L, least(size, {HALF})) - 1), x -> shiftleft(high, {HALF}) | x)")).alias("m")).where("m > 0 AND m < shiftleft(1L, size) - 1")
     side = lambda want: F.array_join(F.filter("p", lambda x, i: F.expr("1L").bitwiseAND(F.call_function("shiftright", F.col("m"), i)) == want), "|")
     splits = masks.select("itemset", "support_count", side(1).alias("antecedent"), side(0).alias("consequent"))
     a = fi.select(F.col("itemset").alias("antecedent"), F.col("support_count").alias("a_count"))

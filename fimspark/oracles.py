@@ -48,3 +48,90 @@ def with_base(w: str, share: float, rest: str) -> str:
 
 PAIRS = "pairs AS MATERIALIZED (SELECT b.r AS hi, a.r AS lo, count(*) AS pair_count FROM rk a JOIN rk b ON a.tid = b.tid AND a.r < b.r GROUP BY ALL)"
 PREFIXES = "pre AS MATERIALIZED (SELECT tid, items, items[k] AS item_rank, k AS depth, array_to_string(items[1:k], ',') AS node FROM (SELECT tid, items, unnest(range(1, len(items) + 1)) AS k FROM ranked))"
+
+NU = "SELECT item_rank, CAST(sum(n) OVER (ORDER BY item_rank) AS BIGINT) AS nu FROM (SELECT item_rank, count(DISTINCT node) AS n FROM {pre} GROUP BY item_rank)"
+MU = "SELECT b.r AS item_rank, count(DISTINCT p.node) AS mu FROM rk b JOIN {pre} p ON p.tid = b.tid AND p.item_rank < b.r JOIN pairs ON pairs.hi = b.r AND pairs.lo = p.item_rank AND pairs.pair_count >= (SELECT c FROM mc) GROUP BY b.r"
+
+
+def pilot(capacity: int) -> str:
+    """used(prefixes of the pilot's rows), pil(n_used, nodes, n_total): rows by tid until the tree would pass the capacity."""
+    return f"""fst AS (SELECT node, min(tid) AS k FROM pre GROUP BY node),
+seen AS (SELECT k, sum(count(*)) OVER (ORDER BY k) AS nodes FROM fst GROUP BY k),
+stop AS (SELECT coalesce((SELECT min(k) FROM seen WHERE nodes > {capacity}), 9223372036854775807) AS k),
+used AS (SELECT p.* FROM pre p WHERE tid < (SELECT k FROM stop)),
+pil AS (SELECT count(DISTINCT tid) AS n_used, count(DISTINCT node) AS nodes, (SELECT count(*) FROM ranked) AS n_total FROM used)"""
+
+
+def groups(capacity: int) -> str:
+    """grp(group_id, lo, hi, est): the prefix head, then items one after another while the sum of their trees fits."""
+    return f"""{PREFIXES}, {PAIRS}, {pilot(capacity)}, nu AS ({NU.format(pre='used')}), mu AS ({MU.format(pre='used')}),
+s AS MATERIALIZED (SELECT o.item_rank, coalesce(max(nu.nu) OVER (ORDER BY o.item_rank), 0) AS nu, coalesce(mu.mu, 0) AS mu, max(coalesce(mu.mu, 0)) OVER (ORDER BY o.item_rank) AS most
+  FROM ord o LEFT JOIN nu USING (item_rank) LEFT JOIN mu USING (item_rank)),
+sc AS MATERIALIZED (SELECT CAST(n_total AS DOUBLE) / n_used AS scale, nodes, coalesce((SELECT max(item_rank) FROM s WHERE (s.nu + s.most) * (CAST(n_total AS DOUBLE) / n_used) <= nodes), 0) AS head FROM pil),
+walk AS (SELECT item_rank, item_rank AS lo, mu AS acc FROM s, sc WHERE item_rank = head + 1
+  UNION ALL SELECT s.item_rank, CASE WHEN (acc + s.mu) * scale <= nodes THEN lo ELSE s.item_rank END, CASE WHEN (acc + s.mu) * scale <= nodes THEN acc + s.mu ELSE s.mu END
+  FROM walk JOIN s ON s.item_rank = walk.item_rank + 1 CROSS JOIN sc),
+grp AS MATERIALIZED (SELECT CAST(row_number() OVER (ORDER BY lo) - 1 AS BIGINT) AS group_id, CAST(lo AS INTEGER) AS lo, CAST(hi AS INTEGER) AS hi, est FROM (
+  SELECT 1 AS lo, head AS hi, nu * scale AS est FROM s JOIN sc ON item_rank = head
+  UNION ALL SELECT lo, max(item_rank) AS hi, max(acc) * max(scale) AS est FROM walk, sc GROUP BY lo))"""
+
+
+#: Trees that tasks really make for the groups, whole: of several anchors from rows cut behind the last, of one from its frequent partners.
+REAL = """member AS (SELECT DISTINCT group_id, lo, hi, tid FROM grp JOIN rk ON r BETWEEN lo AND hi),
+fpairs AS (SELECT hi, lo, pair_count FROM pairs WHERE pair_count >= (SELECT c FROM mc)),
+alone AS (SELECT group_id, list(b.r ORDER BY b.r) AS items FROM member m JOIN rk b ON b.tid = m.tid AND b.r < m.lo JOIN fpairs f ON f.hi = m.lo AND f.lo = b.r WHERE m.lo = m.hi GROUP BY group_id, m.tid),
+real AS (SELECT group_id, count(DISTINCT node) AS n FROM member m JOIN pre p ON p.tid = m.tid AND p.item_rank <= m.hi WHERE m.lo < m.hi GROUP BY group_id
+  UNION ALL SELECT group_id, count(DISTINCT array_to_string(items[1:k], ',')) FROM (SELECT group_id, items, unnest(range(1, len(items) + 1)) AS k FROM alone) GROUP BY group_id HAVING count(DISTINCT items[k]) > 1)"""
+
+#: Groups after short circuits and pruning, and the distinct rows that go to them; a head of over half of the items is not sent.
+SENT = """fpairs AS (SELECT hi, lo, pair_count FROM pairs WHERE pair_count >= (SELECT c FROM mc)),
+inside AS (SELECT o.item_rank AS a, group_id, lo, hi FROM ord o JOIN grp ON o.item_rank BETWEEN lo AND hi),
+partner AS (SELECT i.group_id, i.a, f.lo AS b FROM inside i JOIN fpairs f ON f.hi = i.a UNION ALL SELECT i.group_id, i.a, f.hi FROM inside i JOIN fpairs f ON f.lo = i.a AND f.hi <= i.hi),
+stays AS (SELECT group_id, a FROM partner GROUP BY ALL HAVING count(*) > 1),
+kept AS (SELECT group_id, min(g.lo) AS lo, count(*) AS anchors FROM stays JOIN grp g USING (group_id) GROUP BY group_id),
+sends AS (SELECT group_id FROM kept WHERE NOT (lo = 1 AND 2 * anchors > (SELECT count(*) FROM ord))),
+allowed AS (SELECT group_id, a AS r FROM stays UNION SELECT st.group_id, f.lo FROM stays st JOIN fpairs f ON f.hi = st.a JOIN kept k ON k.group_id = st.group_id AND f.lo < k.lo),
+sent AS (SELECT DISTINCT group_id, items FROM (SELECT m.group_id, m.tid, list(rk.r ORDER BY rk.r) AS items FROM (SELECT DISTINCT st.group_id, tid FROM stays st JOIN sends USING (group_id) JOIN rk ON rk.r = st.a) m
+  JOIN rk ON rk.tid = m.tid JOIN allowed w ON w.group_id = m.group_id AND w.r = rk.r GROUP BY m.group_id, m.tid))"""
+
+
+def recursive(w: str, share: float, rest: str) -> str:
+    return f"WITH RECURSIVE {base(w, share)} {rest}"
+
+
+def ledger(w: str, share: float, capacity: int, block: int = 4096) -> str:
+    body = f""", {groups(capacity)}, {SENT},
+e AS (SELECT 'ranked' AS phase, (SELECT count(*) FROM ranked) AS n, (SELECT count(*) FROM rk) AS cells
+  UNION ALL SELECT 'collapsed', count(*), sum(len(items)) FROM (SELECT DISTINCT items FROM ranked)
+  UNION ALL SELECT 'pairs', count(*), 2 * count(*) FROM pairs
+  UNION ALL SELECT 'pilot rows', count(*), sum(len(items)) FROM (SELECT DISTINCT items FROM used)
+  UNION ALL SELECT 'head', 0, 0 FROM kept WHERE lo = 1 AND 2 * anchors > (SELECT count(*) FROM ord)
+  UNION ALL SELECT 'projected', count(*), sum(len(items)) FROM sent)"""
+    return recursive(w, share, f"{body} SELECT phase, CAST(n AS BIGINT) AS rows, CAST(cells AS BIGINT) AS cells, CAST(4 * cells AS BIGINT) AS bytes, CAST(ceil(4 * cells / {block}.0) AS BIGINT) AS blocks FROM e")
+
+
+def fi_in(cells: str, share: float, w: str, n_of: str, mc_of: str) -> str:
+    """Recursion over baskets in cells: frequent(cell, itemset, size) with a threshold of each cell's own. Items are those frequent in all."""
+    return f"""part AS MATERIALIZED (SELECT {cells} AS cell, tid, item FROM long JOIN ord USING (item)),
+own AS MATERIALIZED (SELECT cell, {mc_of} AS c FROM ({n_of})),
+one AS MATERIALIZED (SELECT part.cell, item, list(tid ORDER BY tid) AS tids FROM part JOIN own USING (cell) GROUP BY part.cell, item, c HAVING count(*) >= c),
+f AS (SELECT cell, item AS itemset, item AS last, 1 AS size, tids FROM one
+  UNION ALL SELECT f.cell, concat(f.itemset, '|', o.item), o.item, f.size + 1, list_intersect(f.tids, o.tids) FROM f JOIN one o ON o.cell = f.cell AND o.item > f.last JOIN own ON own.cell = f.cell
+  WHERE len(list_intersect(f.tids, o.tids)) >= own.c)"""
+
+
+def partition_candidates(w: str, share: float, cells: int) -> str:
+    """CTEs up to found(itemset, size): sets frequent in a cell of baskets at least, cells by tid modulo."""
+    local = f"greatest(1, CAST(ceil(CAST((SELECT c FROM mc) AS DOUBLE) / (SELECT n FROM mc) * n - 1e-9) AS BIGINT))"
+    return f"""{fi_in(f'tid % {cells}', share, w, f'SELECT tid % {cells} AS cell, count(*) AS n FROM (SELECT DISTINCT tid FROM long) GROUP BY ALL', local)},
+found AS (SELECT itemset, max(size) AS size FROM f GROUP BY itemset)"""
+
+
+def moved(w: str, share: float, capacity: int, cells: int) -> str:
+    """workload, share, method, itemsets, moved_cells of the three methods."""
+    n = f"(SELECT count(*) FROM ({mine(w, share)}))"
+    head = f"SELECT '{w}' AS workload, CAST({share} AS DOUBLE) AS share"
+    grouped = recursive(w, share, f", {groups(capacity)}, {SENT} SELECT coalesce(sum(len(items)), 0) FROM sent")
+    per_item = with_base(w, share, "SELECT sum(len(items)) FROM (SELECT DISTINCT items[1:k] AS items FROM (SELECT items, unnest(range(1, len(items) + 1)) AS k FROM ranked))")
+    part = recursive(w, share, f", {partition_candidates(w, share, cells)} SELECT sum(size) FROM found")
+    return " UNION ALL ".join(f"{head}, '{m}' AS method, {n} AS itemsets, CAST(({q}) AS BIGINT) AS moved_cells" for m, q in (("grouped", grouped), ("per item", per_item), ("partitioned", part)))

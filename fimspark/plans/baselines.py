@@ -80,17 +80,25 @@ def count_candidates(ranked: DataFrame, candidates: DataFrame, n: int, by: str =
     return rows.mapInArrow(run, "itemset array<int>, n long").groupBy("itemset").agg(F.sum("n").alias("support_count"))
 
 
-def partitioned(tx: DataFrame, min_support: float, cells: int = 4, candidate_store: str = "auto", max_len: int | None = None, ledger: CostLedger | None = None) -> MiningResult:
+#: Items of the baskets of one cell, if the number of cells is not given: what a task holds of them.
+CELL_ITEMS = 5_000_000
+
+
+def partitioned(tx: DataFrame, min_support: float, cells: int | None = None, candidate_store: str = "auto", max_len: int | None = None, ledger: CostLedger | None = None, by: str = "hash") -> MiningResult:
     """Cells mined with thresholds of their own; the union of their answers is counted over everything.
 
-    A set that reaches the share in all rows reaches it in a cell at least. Local mining is level by level, as the comparison has it.
+    A set that reaches the share in all rows reaches it in a cell at least. Local mining is level by level, as the comparison has it, over a bit for each basket and set.
+    Without a number there are as many cells as hold CELL_ITEMS items each, so that a task's memory does not grow with the table.
     """
     prep = prepare(tx, min_support)
     result = MiningResult(prep.ranked, prep.order, prep.min_count, ledger=ledger or CostLedger())
     n_tx = prep.n_tx
     # baskets without a frequent item count for a cell's threshold too: the share is that of the whole
     share = prep.min_count / max(n_tx, 1)
-    sizes = {r["cell"]: r["count"] for r in by_partition(tx, cells).groupBy("cell").count().collect()}  # one row a cell
+    if cells is None:
+        cells = 1 + (prep.ranked.agg(F.coalesce(F.sum(F.size("items")), F.lit(0))).first()[0] // CELL_ITEMS)
+    sizes = {r["cell"]: r["count"] for r in by_partition(tx, cells, by).groupBy("cell").count().collect()}  # one row a cell
+    result.cells = cells
 
     def run(t: pa.Table) -> pa.Table:
         lists = t["items"].to_pylist()
@@ -98,7 +106,7 @@ def partitioned(tx: DataFrame, min_support: float, cells: int = 4, candidate_sto
         sets = [s for s, _ in levelwise_local(lists, local, max_len)]
         return pa.table({"itemset": pa.array(sets, pa.list_(pa.int32()))})
 
-    candidates = stage(by_partition(prep.ranked, cells).select("cell", "items").groupBy("cell").applyInArrow(run, "itemset array<int>").distinct())
+    candidates = stage(by_partition(prep.ranked, cells, by).select("cell", "items").groupBy("cell").applyInArrow(run, "itemset array<int>").distinct())
     result.ledger.add("candidates", candidates.count(), candidates.agg(F.coalesce(F.sum(F.size("itemset")), F.lit(0))).first()[0])
     counted = stage(count_candidates(prep.ranked, candidates, prep.n, candidate_store))
     result.candidates = candidates
@@ -107,12 +115,18 @@ def partitioned(tx: DataFrame, min_support: float, cells: int = 4, candidate_sto
 
 def levelwise_local(lists: list[list[int]], min_count: int, max_len: int | None = None) -> list[tuple[tuple[int, ...], int]]:
     """Level by level within one task: candidates from sets that differ in their last item, cut by their subsets, counted over the rows."""
-    n = max((max(x) for x in lists if x), default=0)
-    x = np.zeros((n + 1, len(lists)), bool)
-    for r, items in enumerate(lists):
-        x[items, r] = True
-    held = {(int(i),): x[i] for i in np.flatnonzero(x.sum(axis=1) >= min_count)}
-    out = [(s, int(v.sum())) for s, v in held.items()]
+    rows = Rows.of(lists)
+    order = np.argsort(rows.items, kind="stable")
+    item, owner = rows.items[order], rows.owner()[order]
+    kinds, first = np.unique(item, return_index=True)
+    held = {}
+    for i, own in zip(kinds.tolist(), np.split(owner, first[1:]), strict=True):
+        if len(own) >= min_count:
+            x = np.zeros(len(lists), bool)
+            x[own] = True
+            held[i,] = np.packbits(x)
+    count_of = lambda v: int(np.bitwise_count(v).sum())
+    out = [(s, count_of(v)) for s, v in held.items()]
     size = 1
     while held and (max_len is None or size < max_len):
         size += 1
@@ -127,7 +141,7 @@ def levelwise_local(lists: list[list[int]], min_count: int, max_len: int | None
                 if size > 2 and any((*c[:k], *c[k + 1 :]) not in known for k in range(size - 2)):
                     continue
                 v = held[a] & held[b]
-                count = int(v.sum())
+                count = count_of(v)
                 if count >= min_count:
                     new[c] = v
                     out.append((c, count))
@@ -161,14 +175,14 @@ def levelwise(tx: DataFrame, min_support: float | int, max_len: int | None = Non
     return _finish(parts, [], prep, result, max_len)
 
 
-def sampled(tx: DataFrame, min_support: float, fraction: float, seed: int = 7, slack: float = 0.9, max_len: int | None = None) -> MiningResult:
+def sampled(tx: DataFrame, min_support: float, fraction: float, seed: int = 7, slack: float = 0.9, max_len: int | None = None, by: str = "hash") -> MiningResult:
     """Mine a sample with a lowered share, then count what was found over everything. Sets that the sample misses stay missing.
 
-    The sample is those tids whose hash falls in the fraction, so it is the same whatever the partitions.
+    The sample is those tids whose hash falls in the fraction, so it is the same whatever the partitions; by = "tid" takes the tid's last digit instead.
     """
     prep = prepare(tx, min_support)
     result = MiningResult(prep.ranked, prep.order, prep.min_count)
-    in_sample = F.pmod(F.xxhash64(F.lit(seed), "tid"), F.lit(1_000_000)) < int(fraction * 1_000_000)
+    in_sample = F.pmod(F.xxhash64(F.lit(seed), "tid"), F.lit(1_000_000)) < int(fraction * 1_000_000) if by == "hash" else F.pmod("tid", F.lit(10)) < round(fraction * 10)
     n_all, n_some = prep.n_tx, tx.where(in_sample).count()
     local = max(1, int(np.ceil(slack * prep.min_count * n_some / max(n_all, 1) - 1e-9))) if fraction < 1 else prep.min_count
     some = encode.collapse(prep.ranked.where(in_sample)).select(F.lit(0).cast("long").alias("group_id"), "items", "weight")
@@ -188,7 +202,7 @@ def persisted_tree(tx: DataFrame, min_support: float | int, path: str | None = N
     path = path or f"{shared_dir(tx.sparkSession)}/tree-{uuid.uuid4().hex}"
     rows = prep.ranked.select("items", F.posexplode("items").alias("p", "item_rank"))
     nodes = rows.select(F.slice("items", F.lit(1), F.col("p") + 1).alias("items"), "item_rank").groupBy("item_rank", "items").agg(F.count(F.lit(1)).alias("weight"))
-    nodes.write.mode("overwrite").partitionBy("item_rank").parquet(path)
+    nodes.repartition("item_rank").write.mode("overwrite").partitionBy("item_rank").parquet(path)  # a file for each item; its nodes are read by one task anyway
     if prep.n == 0:
         return _finish([], [], prep, result, max_len)
     tree = tx.sparkSession.read.schema("items array<int>, weight long, item_rank int").parquet(path)

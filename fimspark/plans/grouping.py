@@ -75,24 +75,41 @@ def mu_sum(s: StatsBundle) -> Callable[[int, int], float]:
     return lambda lo, hi: float(total[hi] - total[lo - 1])
 
 
-def union_size(rows: list[list[int]]) -> Callable[[int, int], float]:
+def union_size(rows: list[list[int]] | tuple[np.ndarray, np.ndarray]) -> Callable[[int, int], float]:
     """Size of the joint tree of consecutive anchors on the pilot: the prefixes, up to its last anchor, of each branch that has one.
 
-    For a branch cut at hi, all its prefixes count if it has an anchor of the group; distinct prefixes are found once in a sorted list.
+    rows: the pilot's rows, or the item and parent of its nodes, parents first. For a first anchor a node counts from the least anchor at it or below it on; these are found for all
+    nodes in one walk from the leaves to the root, and give the sizes for every last anchor.
     """
+    from ..operators.localmine import Rows, Tree
+
+    if isinstance(rows, list):
+        most = max((max(r) for r in rows if r), default=0)
+        tree = Tree.of(Rows.of([r for r in rows if r]), np.arange(most + 1), False)
+        rows = (tree.item.astype(np.int64), tree.parent.astype(np.int64))
+    item, parent = rows
+    most = int(item.max(initial=0))
+    depth = np.zeros(len(item), np.int64)
+    at = parent
+    while (at >= 0).any():
+        depth += at >= 0
+        at = np.where(at >= 0, parent[at], -1)
+    by_depth = [np.flatnonzero((depth == d)) for d in range(int(depth.max(initial=0)), 0, -1)]
+    known: dict[int, np.ndarray] = {}
 
     def size(lo: int, hi: int) -> float:
-        seen = set()
-        for r in rows:
-            cut = [x for x in r if x <= hi]
-            if cut and cut[-1] >= lo:
-                seen.update(tuple(cut[: k + 1]) for k in range(len(cut)))
-        return float(len(seen))
+        if lo not in known:
+            known.clear()  # groups are packed one after another
+            least = np.where(item >= lo, item, most + 1)
+            for some in by_depth:
+                np.minimum.at(least, parent[some], least[some])
+            known[lo] = np.cumsum(np.bincount(least, minlength=most + 2))
+        return float(known[lo][min(hi, most)])
 
     return size
 
 
-def plan(s: StatsBundle, capacity: int, cut: str = "nu_mu", packing: str = "mu_sum", pilot_rows: list[list[int]] | None = None) -> list[Group]:
+def plan(s: StatsBundle, capacity: int, cut: str = "nu_mu", packing: str = "mu_sum", pilot_rows: list[list[int]] | tuple[np.ndarray, np.ndarray] | None = None) -> list[Group]:
     """The prefix head up to the cut point, if any, then packed groups."""
     head = min(s.n, CUTS[cut](s, capacity))
     out = [Group(1, head, float(s.nu[head]) * s.scale)] if head else []

@@ -1,13 +1,17 @@
 """Miners by divide and conquer over projected databases.
 
-A level is one job: all groups' databases are rows of one table, each group is mined by one task, and answers
-and the groups that turned out too large come back as rows of one table in the shared folder. The driver sees plans and counts only. Each frequent set
+A database is one table of distinct ranked rows with weights, written once; all else is read from it. A level is one job: all groups' rows go from it straight to the tasks that
+mine them, a task for each group, and answers and the groups that turned out too large come back as rows of one table in the shared folder. A prefix head
+of more than half of the items is not written at all: one task fills its tree from the table itself. The driver sees plans and counts only. Each frequent set
 is answered by the group of its least frequent item, so answers are put together without comparing them.
+
+No task makes a tree over the budget. A group whose tree would be larger is reported instead: one of several anchors is halved, a lone anchor becomes a database of its own, which
+has fewer items, so this ends.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
@@ -17,19 +21,24 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import encode, paircounts, project
-from ..operators.localmine import Counters, Rows, mine_group, node_count
-from ..operators.pilot import build_pilot, order_key
-from ..operators.stats import StatsBundle, collect_stats
+from ..operators.localmine import Counters, Rows, mine_group
+from ..operators.pilot import SPAN, order_key, quick_pilot
+from ..operators.stats import StatsBundle
 from ..session import stage
-from .budget import usable_nodes
-from .grouping import Group, equal_groups, next_action, plan
+from .budget import BudgetExceeded, usable_nodes
+from .grouping import Group, equal_groups, plan
 from .ledger import CostLedger
 
 FI = "itemset array<int>, support_count long"
-#: Frequent pairs that the planner reads on the driver; with more it does without pruning.
-MAX_PLANNED_PAIRS = 5_000_000
+LEVEL = "group_id long, status string, itemset array<int>, support_count long"
+#: Frequent pairs that the planner reads on the driver; with more it plans by joins.
+MAX_PLANNED_PAIRS = 200_000
 #: Large single-anchor databases that are planned at the same time.
 SIDE_BY_SIDE = 8
+#: A head is read by one task if the table has at most this many items; a larger table is cut and collapsed by all tasks first.
+HEAD_CELLS = 50_000_000
+#: Answers that a task sends at once.
+BATCH = 20_000
 
 
 @dataclass
@@ -56,68 +65,134 @@ class Prepared:
     n_tx: int = 0
 
 
-def prepare(tx: DataFrame, min_support: float | int, strict: bool = False) -> Prepared:
-    """Both scans that every miner starts with: count the items, then rank the baskets."""
+def prepare(tx: DataFrame, min_support: float | int, strict: bool = False, staged: bool = True) -> Prepared:
+    """Both scans that every miner starts with: count the items, then rank the baskets. staged: the ranked rows are written."""
+    spark = tx.sparkSession
     counted = stage(encode.count_items_and_rows(tx))
     n_tx = counted.where("item IS NULL").agg(F.sum("item_count")).first()[0] or 0
     mc = encode.resolve_min_count(n_tx, min_support, strict)
-    order = stage(encode.frequency_order(counted.where("item IS NOT NULL"), mc))
-    counts = {r["item_rank"]: r["item_count"] for r in order.select("item_rank", "item_count").collect()}  # frequent items
-    names = encode.sendable_names(order)
-    ranked = stage(encode.rank_transactions(tx, order, names).where(F.size("items") > 0))
-    return Prepared(ranked, order, counts, mc, len(counts), names, n_tx)
-
-
-def _mine_task(anchors: dict[int, list[int]], paths: dict[int, tuple[int, ...]], min_count: int, capacity: int | None, max_len: int | None, use_array: bool, shared_tree: bool, lone: frozenset[int]):
-    """A group's rows to answer rows, or, if its tree is over capacity and it can be split or (lone) taken apart by itself, to one row that says so.
-
-    The tree of a group with one anchor is counted without the anchor, which all its rows have.
+    items = counted.where("item IS NOT NULL")
+    t = items.where(F.col("item_count") >= mc).limit(encode.MAX_SENT_ITEMS + 1).toArrow()
+    if t.num_rows <= encode.MAX_SENT_ITEMS:
+        by = sorted(zip(t["item"].to_pylist(), t["item_count"].to_pylist(), strict=True), key=lambda x: (-x[1], x[0].encode()))
+        names = [x for x, _ in by]
+        counts = {k + 1: c for k, (_, c) in enumerate(by)}
+        order = spark.createDataFrame([(x, k + 1, c) for k, (x, c) in enumerate(by)], "item string, item_rank int, item_count long")
+    else:
+        names, order = None, stage(encode.frequency_order(items, mc))
+        counts = {r["item_rank"]: r["item_count"] for r in order.select("item_rank", "item_count").collect()}  # two numbers for each frequent item
+    ranked = encode.rank_transactions(tx, order, names).where(F.size("items") > 0)
+    return Prepared(stage(ranked) if staged else ranked, order, counts, mc, len(counts), names, n_tx)
+
+
+def _lists(b: pa.RecordBatch, ok: np.ndarray) -> Rows:
+    lists = b.column(2).filter(pa.array(ok)) if not ok.all() else b.column(2)
+    offsets = lists.offsets.to_numpy().astype(np.int64)
+    return Rows(offsets - offsets[0], lists.flatten().to_numpy().astype(np.int64), b.column(3).to_numpy()[ok].astype(np.int64))
+
+
+def _level_rows(g: int, rows: list[tuple[str, tuple[int, ...] | None, int]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays(
+        [pa.array([g] * len(rows), pa.int64()), pa.array([s for s, _, _ in rows], pa.string()), pa.array([x for _, x, _ in rows], pa.list_(pa.int32())), pa.array([c for _, _, c in rows], pa.int64())],
+        names=["group_id", "status", "itemset", "support_count"],
+    )
+
+
+def _mine_task(anchors: dict[int, list[int]], path_of: Callable[[int], tuple[int, ...]], min_count: int, capacity: int | None, max_len: int | None, use_array: bool, shared_tree: bool, collapsed: bool = True):
+    """A group's rows to answer rows, or, if its tree would pass the capacity, to one row that says so.
+
+    Rows (group_id, anchor, items, weight) are baskets, or, if anchor is not 0, a frequent partner of that anchor with the count of both. collapsed: no two baskets are equal; each
+    then has a node of its own, so more baskets than nodes need not be kept.
     """
 
-    def run(t: pa.Table) -> pa.Table:
-        lists, weights = t["items"].combine_chunks(), t["weight"].to_numpy()
-        if isinstance(lists, pa.ChunkedArray):
-            lists = pa.concat_arrays(lists.chunks)
-        g = t["group_id"][0].as_py()
-        offsets = lists.offsets.to_numpy().astype(np.int64)
-        rows = Rows(offsets - offsets[0], lists.flatten().to_numpy().astype(np.int64), weights.astype(np.int64))
-        own = anchors[g] if anchors else [int(rows.items.max())] if len(rows.items) else []
-        nodes = node_count(rows.without_last() if len(own) == 1 else rows) if capacity is not None else 0
-        if capacity is not None and nodes > capacity and (len(own) > 1 or g in lone):
-            return pa.table({"group_id": [g], "status": ["needs_split"], "itemset": pa.array([None], pa.list_(pa.int32())), "support_count": pa.array([nodes], pa.int64())})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts, pairs, g, n, cells = [], [], None, 0, 0
+        for b in batches:
+            if not b.num_rows:
+                continue
+            g = b.column(0)[0].as_py()
+            if capacity is not None and n > capacity:
+                continue
+            anchor = b.column(1).to_numpy()
+            if (anchor > 0).any():
+                some = _lists(b, anchor > 0)
+                pairs.append(np.stack([anchor[anchor > 0], some.items, some.weights]))
+            if (anchor == 0).any():
+                parts.append(_lists(b, anchor == 0))
+                n += len(parts[-1])
+                cells += len(parts[-1].items)
+                if not collapsed and cells > max(1_000_000, 4 * (capacity or 0)):
+                    parts = [Rows.joined(parts).collapsed()]
+                    n, cells = len(parts[0]), len(parts[0].items) // 2
+        if g is None:
+            return
         stats = Counters()
-        sets, counts = [], []
-        for s, c in mine_group(rows, own, min_count, paths.get(g, ()), max_len=max_len, use_array=use_array, shared_tree=shared_tree, stats=stats):
-            sets.append(s)
-            counts.append(c)
-        n = len(sets)
-        notes = [("nodes", nodes), ("traversals", stats.traversals), ("trees", stats.trees)]
-        return pa.table(
-            {
-                "group_id": pa.array([g] * (n + len(notes)), pa.int64()),
-                "status": pa.array(["fi"] * n + [k for k, _ in notes], pa.string()),
-                "itemset": pa.array([*sets, *[None] * len(notes)], pa.list_(pa.int32())),
-                "support_count": pa.array([*counts, *[v for _, v in notes]], pa.int64()),
-            }
-        )
+        if parts and not collapsed:
+            parts = [Rows.joined(parts).collapsed()]
+            n = len(parts[0])
+        if capacity is not None and n > capacity:
+            yield _level_rows(g, [("needs_split", None, n)])
+            return
+        rows = Rows.joined(parts) if parts else Rows.of([])
+        known = None
+        if pairs:
+            a, lo, c = np.concatenate(pairs, axis=1)
+            by = np.lexsort((lo, a))
+            a, lo, c = a[by], lo[by], c[by]
+            kinds, first = np.unique(a, return_index=True)
+            known = {int(k): (x, y) for k, x, y in zip(kinds, np.split(lo, first[1:]), np.split(c, first[1:]), strict=True)}
+        own = anchors[g] if anchors else [int(rows.items.max())] if len(rows.items) else []
+        held: list = []
+        try:
+            for s, c in mine_group(rows, own, min_count, path_of(g), max_len=max_len, use_array=use_array, shared_tree=shared_tree, stats=stats, partners=known, capacity=capacity):
+                held.append(("fi", s, c))
+                if len(held) >= BATCH:
+                    yield _level_rows(g, held)
+                    held = []
+        except BudgetExceeded:
+            yield _level_rows(g, [("needs_split", None, n)])
+            return
+        yield _level_rows(g, [*held, ("nodes", None, stats.nodes), ("held", None, stats.held), ("traversals", None, stats.traversals), ("trees", None, stats.trees)])
 
     return run
 
 
-def mine_level(proj: DataFrame, anchors: dict[int, list[int]], min_count: int, *, paths: dict[int, tuple[int, ...]] | None = None, capacity: int | None = None, max_len: int | None = None, use_array: bool = True, shared_tree: bool = True, lone: frozenset[int] = frozenset()) -> DataFrame:
+def mine_level(
+    proj: DataFrame,
+    anchors: dict[int, list[int]],
+    min_count: int,
+    *,
+    paths: dict[int, tuple[int, ...]] | Callable[[int], tuple[int, ...]] | None = None,
+    capacity: int | None = None,
+    max_len: int | None = None,
+    use_array: bool = True,
+    shared_tree: bool = True,
+    partners: DataFrame | None = None,
+    direct: bool = False,
+) -> DataFrame:
     """(group_id, status, itemset, support_count), written to the shared folder. anchors empty: a group's anchor is its last rank.
 
-    A group of several anchors over capacity, or one of lone, is not mined but reported as needs_split.
+    A group over capacity is not mined but reported as needs_split. partners: (group_id, anchor, items, weight), frequent partners that go with the groups' rows. direct: proj is one
+    group, whose rows are read by one task without being sent anywhere.
     """
-    task = _mine_task(anchors, paths or {}, min_count, capacity, max_len, use_array, shared_tree, lone)
-    return stage(proj.select("group_id", "items", "weight").groupBy("group_id").applyInArrow(task, "group_id long, status string, itemset array<int>, support_count long"))
+    path_of = paths if callable(paths) else (paths or {}).get
+    named = path_of if callable(paths) else lambda g: path_of(g, ())
+    rows = proj.select("group_id", F.lit(0).alias("anchor"), "items", "weight")
+    rows = rows if partners is None else rows.unionByName(partners.select("group_id", "anchor", "items", "weight"))
+    task = _mine_task(anchors, named, min_count, capacity, max_len, use_array, shared_tree, not direct)
+    if direct:
+        return stage(rows.coalesce(1).mapInArrow(task, LEVEL))
+    return stage(rows.groupBy("group_id").applyInArrow(task, LEVEL))
 
 
 def _notes(level: DataFrame, result: MiningResult) -> dict[int, int]:
     nodes = {}
-    for r in level.where("status in ('nodes', 'traversals', 'trees')").select("group_id", "status", "support_count").collect():  # three rows a group
+    for r in level.where("status in ('nodes', 'held', 'traversals', 'trees')").select("group_id", "status", "support_count").collect():  # four rows a group
         if r["status"] == "nodes":
             nodes[r["group_id"]] = r["support_count"]
+            result.counters.nodes = max(result.counters.nodes, r["support_count"])
+        elif r["status"] == "held":
+            result.counters.held = max(result.counters.held, r["support_count"])
         else:
             setattr(result.counters, r["status"], getattr(result.counters, r["status"]) + r["support_count"])
     return nodes
@@ -128,11 +203,11 @@ def _answers(level: DataFrame) -> DataFrame:
 
 
 def _finish(parts: list[DataFrame], direct: list[tuple[tuple[int, ...], int]], prep: Prepared, result: MiningResult, max_len: int | None) -> MiningResult:
-    spark = prep.ranked.sparkSession
+    spark = prep.order.sparkSession
     direct = [(list(s), c) for s, c in direct if max_len is None or len(s) <= max_len]
-    fi = spark.createDataFrame(direct, FI)  # two sets for each item at most
+    fi = spark.createDataFrame(direct, FI) if direct or not parts else None  # two sets for each item at most
     for p in parts:
-        fi = fi.unionByName(p)
+        fi = p if fi is None else fi.unionByName(p)
     result.fi = encode.decode(fi, prep.order, prep.names)
     return result
 
@@ -141,31 +216,38 @@ def _large(level: DataFrame) -> list[int]:
     return sorted(r["group_id"] for r in level.where("status = 'needs_split'").select("group_id").collect())  # a row for each group at most
 
 
-def _split(proj: DataFrame, level: DataFrame, anchors: dict[int, list[int]], min_count: int, result: MiningResult, capacity: int, options: dict) -> list[DataFrame]:
-    """Halve the anchors of groups that were too large, and project the halves from the group's own rows, until all fit or hold one anchor."""
-    parts, next_id = [], max(anchors, default=0) + 1
-    while True:
-        large = [g for g in _large(level) if len(anchors[g]) > 1]
-        if not large:
-            return parts
+def _settle(proj: DataFrame, level: DataFrame, anchors: dict[int, list[int]], counts: dict[int, int], min_count: int, capacity: int, result: MiningResult, options: dict, how: dict, path: tuple[int, ...]) -> list[DataFrame]:
+    """Groups that were too large: several anchors are halved and projected from the group's own rows, a lone one becomes a database of its own, until all fit."""
+    parts: list[DataFrame] = []
+    next_id = max(anchors, default=0) + 1
+    while large := _large(level):
+        kept = stage(proj.where(F.col("group_id").isin(large)))
+        result.ledger.measure("projected again", kept)
+        lone = [g for g in large if len(anchors[g]) == 1]
+        # these databases do not depend on each other: their planning jobs run side by side
+        with ThreadPoolExecutor(SIDE_BY_SIDE) as pool:
+            for more in pool.map(lambda g: _recurse(kept.where(F.col("group_id") == g), anchors[g][0], counts, min_count, capacity, result, options, how, path), lone):
+                parts += more
         halves: dict[int, list[int]] = {}
         cuts = []
         for g in large:
             own = sorted(anchors[g])
-            for half in (own[: len(own) // 2], own[len(own) // 2 :]):
+            for half in (own[: len(own) // 2], own[len(own) // 2 :]) if len(own) > 1 else ():
                 halves[next_id] = half
                 cuts.append((g, next_id, half, half[-1]))
                 next_id += 1
-        spark = proj.sparkSession
-        table = spark.createDataFrame(cuts, "group_id long, half long, anchors array<int>, hi int")
-        rows = proj.join(F.broadcast(table), "group_id").where(F.arrays_overlap("items", "anchors"))  # the anchors of large groups
-        proj = stage(rows.select(F.col("half").alias("group_id"), F.filter("items", lambda r: r <= F.col("hi")).alias("items"), "weight").groupBy("group_id", "items").agg(F.sum("weight").alias("weight")))
-        result.ledger.measure("projected", proj)
-        level = mine_level(proj, halves, min_count, capacity=capacity, **options)
+        if not halves:
+            break
+        table = proj.sparkSession.createDataFrame(cuts, "group_id long, half long, anchors array<int>, hi int")
+        rows = kept.join(F.broadcast(table), "group_id").where(F.arrays_overlap("items", "anchors"))  # the anchors of large groups
+        proj = rows.select(F.col("half").alias("group_id"), F.filter("items", lambda r: r <= F.col("hi")).alias("items"), "weight").groupBy("group_id", "items").agg(F.sum("weight").alias("weight"))
+        level = mine_level(result.ledger.watch("projected again", proj), halves, min_count, capacity=capacity, paths={g: path for g in halves}, **options)
+        result.ledger.settle()
         nodes = _notes(level, result)
         result.groups += [{"group_id": g, "lo": min(a), "hi": max(a), "est_nodes": None, "real_nodes": nodes[g], "how": "split"} for g, a in halves.items() if g in nodes]
         parts.append(_answers(level))
         anchors = halves
+    return parts
 
 
 def mine_budgeted(
@@ -176,29 +258,31 @@ def mine_budgeted(
     cut: str = "nu_mu",
     packing: str = "mu_sum",
     prune: bool = True,
-    reuse_pilot: bool = False,
+    reuse_pilot: bool = True,
     bypass_head: bool = True,
     array: bool = True,
     shared_tree: bool = True,
     order: str = "hash",
     strict: bool = False,
-    max_levels: int = 6,
     max_len: int | None = None,
     measure: bool = False,
 ) -> MiningResult:
     """Pilot tree first; if the database's tree does not fit, statistics, groups that do, one projection, and a task for each group.
 
-    reuse_pilot takes the rows that the pilot has read from its tree and reads only the others again. It is off unless asked for: the collapsed rows are at hand
-    anyway, and the pilot's share of a large database is next to nothing.
+    reuse_pilot: the rows that filled the pilot's tree are projected from that tree, and only the others are read again.
     """
-    prep = prepare(tx, min_support, strict)
+    prep = prepare(tx, min_support, strict, staged=False)
     result = MiningResult(prep.ranked, prep.order, prep.min_count)
+    result.ledger.on = measure
     options = {"max_len": max_len, "use_array": array, "shared_tree": shared_tree}
-    parts, direct = _mine_database(prep.ranked, prep.n, prep.counts, prep.min_count, usable_nodes(node_budget), result, options, dict(cut=cut, packing=packing, prune=prune, reuse_pilot=reuse_pilot, bypass_head=bypass_head, order=order, measure=measure), (), max_levels)
+    txw = stage(prep.ranked.select("items", order_key(order).alias("k")).groupBy("items").agg(F.count(F.lit(1)).alias("weight"), F.min("k").alias("k"))) if prep.n else None
+    how = dict(cut=cut, packing=packing, prune=prune, reuse_pilot=reuse_pilot, bypass_head=bypass_head, order=order, count_upto=lambda stop: prep.ranked.where(order_key(order) <= stop).count())
+    parts, direct = _mine_database(txw, prep.n, prep.counts, prep.min_count, usable_nodes(node_budget), result, options, how, ())
     return _finish(parts, direct, prep, result, max_len)
 
 
 def _frequent(pairs: DataFrame, min_count: int) -> dict[int, dict[int, int]] | None:
+    """hi -> {lo: count} of frequent pairs, or None if they are too many for the driver."""
     out: dict[int, dict[int, int]] = {}
     t = project.frequent_partners(pairs, min_count).limit(MAX_PLANNED_PAIRS + 1).toArrow()
     if t.num_rows > MAX_PLANNED_PAIRS:
@@ -208,141 +292,174 @@ def _frequent(pairs: DataFrame, min_count: int) -> dict[int, dict[int, int]] | N
     return out
 
 
-def _mine_database(ranked: DataFrame, n: int, counts: dict[int, int], min_count: int, capacity: int, result: MiningResult, options: dict, how: dict, path: tuple[int, ...], levels: int) -> tuple[list[DataFrame], list]:
-    """ranked: (tid, items) with ranks 1..n frequent, all to be joined to the path, which the answers of this database carry."""
+def _mine_database(txw: DataFrame | None, n: int, counts: dict[int, int], min_count: int, capacity: int, result: MiningResult, options: dict, how: dict, path: tuple[int, ...]) -> tuple[list[DataFrame], list]:
+    """txw: (items, weight, k), written; ranks 1..n are frequent, and all sets are joined to the path. k: a row's first place in the pilot's order."""
     if not n:
         return [], []
-    spark = ranked.sparkSession
     ledger = result.ledger
-    pilot = build_pilot(ranked, capacity, how["order"])
-    txw = encode.collapse(ranked)
-    whole = {0: [*range(1, n + 1)]}
-    if not pilot.aborted or levels <= 0:
-        level = mine_level(txw.select(F.lit(0).cast("long").alias("group_id"), "items", "weight"), whole, min_count, paths={0: path}, **options)
-        _notes(level, result)
-        result.groups.append({"group_id": 0, "lo": 1, "hi": n, "est_nodes": float(pilot.nodes), "real_nodes": pilot.nodes, "how": "whole"})
+    size = F.size("items")
+    rows, cells, n_total, all_cells = txw.agg(F.count(F.lit(1)), F.coalesce(F.sum(size), F.lit(0)), F.coalesce(F.sum("weight"), F.lit(0)), F.coalesce(F.sum(size * F.col("weight")), F.lit(0))).first()
+    ledger.add("ranked", n_total, all_cells)
+    ledger.add("collapsed", rows, cells)
+    pilot = None
+    if cells > capacity:  # else the tree fits whatever the rows are
+        with ThreadPoolExecutor(2) as pool:  # pair counts are cheap where they turn out not to be needed: there are few distinct rows then
+            counting = pool.submit(lambda: stage(paircounts.pair_matrix(txw, n)))
+            pilot = quick_pilot(txw, n, capacity, cells, n_total, how["order"] == "hash", how["packing"] == "union", how["reuse_pilot"], how.get("count_upto"))
+            pairs = counting.result()
+    if pilot is None or not pilot.aborted:
+        level = mine_level(txw.select(F.lit(0).cast("long").alias("group_id"), "items", "weight"), {0: [*range(1, n + 1)]}, min_count, paths={0: path}, capacity=capacity, **options)
+        nodes = _notes(level, result)
+        result.groups.append({"group_id": 0, "lo": 1, "hi": n, "est_nodes": float(nodes.get(0, 0)), "real_nodes": nodes.get(0), "how": "whole"})
         return [_answers(level)], []
-    txw = stage(txw)
-    pairs = stage(paircounts.pair_matrix(txw, n))
-    stats = collect_stats(pilot, pairs, n, min_count)
+    ledger.measure("pairs", pairs.select(F.array("hi", "lo").alias("items")))
+    if pilot.rows is not None:
+        ledger.measure("pilot rows", pilot.rows)
+    frequent = _frequent(pairs, min_count)
+    stats = StatsBundle(n, n_total, pilot.n_used, pilot.nodes, np.cumsum(pilot.nu), pilot.mu(pairs, frequent, min_count), pilot.scale)
     result.stats.append(stats)
-    room = max(1, pilot.nodes)
-    pilot_rows = [r["items"] for r in pilot.rows.select("items").distinct().collect()] if how["packing"] == "union" else None  # rows of a tree within budget
-    groups = plan(stats, room, how["cut"], how["packing"], pilot_rows)
-    lone = [g for g in groups if next_action(g, room) == "recurse"]
+    groups = plan(stats, max(1, pilot.nodes), how["cut"], how["packing"], pilot.tree)
     direct: list[tuple[tuple[int, ...], int]] = []
-    if how["prune"] and (frequent := _frequent(pairs, min_count)) is not None:
-        direct, groups = project.short_circuit(groups, frequent, counts)
+    if how["prune"]:
+        if frequent is None:
+            direct, groups = project.planned_by_join(pairs, groups, n, counts, min_count)
+        else:
+            direct, groups = project.short_circuit(groups, frequent, counts)
+            groups = project.prune_companions(groups, frequent)
         direct = [((*path, *s), c) for s, c in direct]
-        groups = project.prune_companions(groups, frequent)
-    if how["measure"]:
-        ledger.measure("ranked", ranked)
-    parts: list[DataFrame] = []
-    # a head of more than half of the items is mined from the rows as they are; cutting them is part of that read
+    # a head of more than half of the items is mined from the table itself
     head = [g for g in groups if how["bypass_head"] and g.lo == 1 and 2 * len(g.anchors) > n]
-    lone_at = {g.lo for g in lone}
     rest = [g for g in groups if g not in head]
-    numbered = {k: g for k, g in enumerate([*head, *rest])}
-    source = txw
-    if how["reuse_pilot"]:
-        # what the pilot has read is taken from its tree: its distinct rows; only the others are read again
-        used = encode.collapse(pilot.rows)
-        other = encode.collapse(ranked.where(order_key(how["order"]) > pilot.stop))
-        source = used.unionByName(other)
-        if how["measure"]:
-            ledger.measure("replayed", used)
-            ledger.measure("reread", other)
-    projected = []
+    numbered = dict(enumerate([*head, *rest]))
+    if not numbered:
+        return [], direct
+    anchors = {k: g.anchors for k, g in numbered.items()}
+    partners = project.partner_rows(pairs, [*head, *rest], n, min_count) if options["use_array"] else None
+    shared = dict(paths={k: path for k in numbered}, capacity=capacity, **options)
+    source = txw if pilot.rows is None else pilot.rows.unionByName(txw.where(F.col("k") > pilot.stop).select("items", "weight"))
+    proj = project.by_group(source, rest, n).withColumn("group_id", F.col("group_id") + len(head)) if rest else None
+    cut = collapsed = None
     if head:
         g = head[0]
-        projected.append(txw.where(F.element_at("items", 1) <= g.hi).select(F.lit(0).cast("long").alias("group_id"), F.array_intersect("items", F.lit(sorted({*g.anchors, *(g.companions or [])}))).alias("items"), "weight").where(F.size("items") > 0).groupBy("group_id", "items").agg(F.sum("weight").alias("weight")))
-    if rest:
-        projected.append(project.by_group(source, rest, n).withColumn("group_id", F.col("group_id") + len(head)))
-    if projected:
-        proj = projected[0] if len(projected) == 1 else projected[0].unionByName(projected[1])
-        proj = stage(proj)
-        if how["measure"]:
-            ledger.measure("projected", proj.where(F.col("group_id") >= len(head)))
-        # an anchor that is thought too large alone is tried like the others; if its tree is indeed too large it becomes a database of its own
-        alone = frozenset(k for k, g in numbered.items() if g.lo == g.hi and g.lo in lone_at) if levels > 1 else frozenset()
-        anchors = {k: g.anchors for k, g in numbered.items()}
-        level = mine_level(proj, anchors, min_count, paths={k: path for k in anchors}, capacity=capacity, lone=alone, **options)
-        nodes = _notes(level, result)
-        result.groups += [{"group_id": k, "lo": g.lo, "hi": g.hi, "est_nodes": g.est_nodes, "real_nodes": nodes[k], "how": "head" if k < len(head) else "group"} for k, g in numbered.items() if k in nodes]
-        parts.append(_answers(level))
-        parts += _prefixed(_split(proj, level, anchors, min_count, result, capacity, options), path)
-        large = [g for g in _large(level) if g in alone]
-        # these databases do not depend on each other: their planning jobs run side by side
-        with ThreadPoolExecutor(SIDE_BY_SIDE) as pool:
-            for more in pool.map(lambda k: _recurse(proj.where(F.col("group_id") == k), numbered[k].lo, counts, min_count, capacity, result, options, how, path, levels - 1), large):
-                parts += more
+        # pruned or not, the head's rows are what its anchors leave of a row
+        cut = txw.where(F.element_at("items", 1) <= g.hi).select(F.lit(0).cast("long").alias("group_id"), F.array_intersect("items", F.lit(sorted({*g.anchors, *(g.companions or [])}))).alias("items"), "weight").where(F.size("items") > 0)
+        collapsed = cut.groupBy("group_id", "items").agg(F.sum("weight").alias("weight"))
+
+    def of_head() -> DataFrame | None:
+        if cut is None:
+            return None
+        own = None if partners is None else partners.where("group_id = 0")
+        if cells <= HEAD_CELLS:
+            ledger.add("head", 0, 0)
+            return mine_level(cut, anchors, min_count, partners=own, direct=True, **shared)
+        return mine_level(ledger.watch("head", collapsed), anchors, min_count, partners=own, **shared)
+
+    def of_rest() -> DataFrame | None:
+        if proj is None:
+            return None
+        own = None if partners is None else partners.where(F.col("group_id") >= len(head))
+        return mine_level(ledger.watch("projected", proj), anchors, min_count, partners=own, **shared)
+
+    with ThreadPoolExecutor(2) as pool:
+        levels = [x for x in (f.result() for f in (pool.submit(of_head), pool.submit(of_rest))) if x is not None]
+    ledger.settle()
+    level = levels[0] if len(levels) == 1 else levels[0].unionByName(levels[1])
+    nodes = _notes(level, result)
+    result.groups += [{"group_id": k, "lo": g.lo, "hi": g.hi, "est_nodes": g.est_nodes, "real_nodes": nodes[k], "how": "head" if k < len(head) else "group"} for k, g in numbered.items() if k in nodes]
+    every = [x for x in (collapsed, proj) if x is not None]
+    every = every[0] if len(every) == 1 else every[0].unionByName(every[1])
+    parts = [_answers(level)]
+    if len(nodes) < len(numbered):
+        parts += _settle(every, level, anchors, counts, min_count, capacity, result, options, how, path)
     return parts, direct
 
 
-def _prefixed(parts: list[DataFrame], path: tuple[int, ...]) -> list[DataFrame]:
-    if not path:
-        return parts
-    return [p.select(F.concat(F.lit(list(path)), "itemset").alias("itemset"), "support_count") for p in parts]
-
-
-def _recurse(rows: DataFrame, a: int, counts: dict[int, int], min_count: int, capacity: int, result: MiningResult, options: dict, how: dict, path: tuple[int, ...], levels: int) -> list[DataFrame]:
+def _recurse(rows: DataFrame, a: int, counts: dict[int, int], min_count: int, capacity: int, result: MiningResult, options: dict, how: dict, path: tuple[int, ...]) -> list[DataFrame]:
     """A lone anchor too large for a task: its database, without the anchor and in an order of its own, is mined as a database of its own."""
     spark = rows.sparkSession
-    below = rows.select(F.array_remove("items", a).alias("items"), "weight").where(F.size("items") > 0)
-    tx = below.select(F.monotonically_increasing_id().alias("tid"), F.transform("items", lambda r: r.cast("string")).alias("items"), "weight")
-    tx = stage(tx)
-    long = tx.select("weight", F.explode("items").alias("item")).groupBy("item").agg(F.sum("weight").alias("item_count"))
-    order = stage(encode.frequency_order(long, min_count))
-    local = [(r["item_rank"], int(r["item"]), r["item_count"]) for r in order.collect()]  # the anchor's frequent partners
     out = [spark.createDataFrame([([*path, a], counts[a])], FI)]
-    if not local:
+    left = None if options["max_len"] is None else options["max_len"] - 1
+    below = rows.select(F.array_remove("items", a).alias("items"), "weight").where(F.size("items") > 0)
+    t = below.select("weight", F.explode("items").alias("item")).groupBy("item").agg(F.sum("weight").alias("c")).where(F.col("c") >= min_count).toArrow()  # the anchor's frequent partners
+    local = sorted(zip(t["item"].to_pylist(), t["c"].to_pylist(), strict=True), key=lambda x: (-x[1], x[0]))
+    if not local or left == 0:
         return out
-    ranked = encode.rank_transactions(tx.select("tid", "items"), order).join(tx.select("tid", "weight"), "tid").where(F.size("items") > 0)
-    ranked = stage(ranked)
-    parts, direct = _mine_database(ranked, len(local), {r: c for r, _, c in local}, min_count, capacity, result, {**options, "max_len": None if options["max_len"] is None else options["max_len"] - 1}, {**how, "order": "tid"}, (), levels)
+    place = [0] * a
+    for r, (item, _) in enumerate(local, 1):
+        place[item - 1] = r
+    ranks = F.array_sort(F.filter(F.transform("items", lambda r: F.element_at(F.lit(place), r)), lambda r: r > 0))
+    again = below.select(ranks.alias("items"), "weight").where(F.size("items") > 0).groupBy("items").agg(F.sum("weight").alias("weight"))
+    txw = stage(again.withColumn("k", F.pmod(F.xxhash64("items"), F.lit(SPAN))))
+    parts, direct = _mine_database(txw, len(local), {r: c for r, (_, c) in enumerate(local, 1)}, min_count, capacity, result, {**options, "max_len": left}, {**how, "order": "hash"}, ())
     # back to the ranks of the database that the anchor came from
-    back = F.lit([item for _, item, _ in local])
-    got = spark.createDataFrame([(list(s), c) for s, c in direct], FI)
+    back = F.lit([item for item, _ in local])
+    got = spark.createDataFrame([(list(s), c) for s, c in direct if left is None or len(s) <= left], FI)
     for p in parts:
         got = got.unionByName(p)
     return [*out, got.select(F.concat(F.lit([*path, a]), F.transform("itemset", lambda r: F.element_at(back, r))).alias("itemset"), "support_count")]
 
 
 def mine_per_item(tx: DataFrame, min_support: float | int, node_budget: int | None = None, *, use_array: bool = False, strict: bool = False, max_len: int | None = None, measure: bool = False) -> MiningResult:
-    """A projected database for each item, mined by plain growth."""
-    prep = prepare(tx, min_support, strict)
+    """A projected database for each item, mined by plain growth. One over the budget is projected again, by its own items, until each part fits."""
+    prep = prepare(tx, min_support, strict, staged=False)
     result = MiningResult(prep.ranked, prep.order, prep.min_count)
-    proj = project.per_item(encode.collapse(prep.ranked))
+    ledger, mc = result.ledger, prep.min_count
+    ledger.on = measure
+    capacity = usable_nodes(node_budget) if node_budget else None
+    txw = encode.collapse(prep.ranked)
     if measure:
-        result.ledger.measure("ranked", prep.ranked)
-        proj = stage(proj)
-        result.ledger.measure("projected", proj)
-    level = mine_level(proj, {}, prep.min_count, max_len=max_len, use_array=use_array, capacity=usable_nodes(node_budget) if node_budget else None)
-    nodes = _notes(level, result)
-    result.groups = [{"group_id": k, "lo": k, "hi": k, "est_nodes": None, "real_nodes": v, "how": "item"} for k, v in sorted(nodes.items())]
-    return _finish([_answers(level)], [], prep, result, max_len)
+        ledger.measure("ranked", prep.ranked)
+    proj, depth, step = project.per_item(txw), 0, prep.n + 1
+    bases: list[tuple[int, ...]] = [()]
+    parts: list[DataFrame] = []
+    while True:
+        path_of = (lambda bases: lambda g: bases[g // step])(bases)
+        level = mine_level(ledger.watch("projected", proj), {}, mc, max_len=max_len, use_array=use_array, capacity=capacity, paths=path_of)
+        ledger.settle()
+        nodes = _notes(level, result)
+        result.groups += [{"group_id": k, "lo": k % step, "hi": k % step, "est_nodes": None, "real_nodes": v, "how": "item", "depth": depth} for k, v in sorted(nodes.items())]
+        parts.append(_answers(level))
+        large = _large(level) if capacity is not None else []
+        if not large:
+            return _finish(parts, [], prep, result, max_len)
+        kept = stage(proj.where(F.col("group_id").isin(large)))
+        ledger.measure("projected again", kept)
+        paths = [(*path_of(g), g % step) for g in large]
+        own = kept.groupBy("group_id").agg(F.sum("weight").alias("support_count"))
+        spark = tx.sparkSession
+        table = F.broadcast(spark.createDataFrame([(g, k, list(p)) for k, (g, p) in enumerate(zip(large, paths, strict=True))], "group_id long, base long, path array<int>"))  # a row for each large database
+        parts.append(stage(own.join(table, "group_id").select(F.col("path").alias("itemset"), "support_count")))
+        # without the anchor and what is not frequent with it
+        below = kept.join(table, "group_id").select("base", F.slice("items", F.lit(1), F.size("items") - 1).alias("items"), "weight")
+        allowed = below.select("base", F.explode("items").alias("item"), "weight").groupBy("base", "item").agg(F.sum("weight").alias("c")).where(F.col("c") >= mc).groupBy("base").agg(F.collect_set("item").alias("allowed"))  # a set for each large database
+        narrow = below.join(allowed, "base").select("base", F.array_intersect("items", "allowed").alias("items"), "weight").where(F.size("items") > 0).groupBy("base", "items").agg(F.sum("weight").alias("weight"))
+        each = narrow.select("base", "items", "weight", F.posexplode("items").alias("p", "item"))
+        proj = each.select((F.col("base") * step + F.col("item")).alias("group_id"), F.slice("items", F.lit(1), F.col("p") + 1).alias("items"), "weight").groupBy("group_id", "items").agg(F.sum("weight").alias("weight"))
+        bases, depth = paths, depth + 1
 
 
 def mine_equal_groups(tx: DataFrame, min_support: float | int, k: int, node_budget: int | None = None, *, use_array: bool = True, strict: bool = False, max_len: int | None = None, measure: bool = False) -> MiningResult:
     """k groups of equally many items, as the cost analysis has it."""
-    prep = prepare(tx, min_support, strict)
+    prep = prepare(tx, min_support, strict, staged=False)
     result = MiningResult(prep.ranked, prep.order, prep.min_count)
+    result.ledger.on = measure
     groups = equal_groups(prep.n, k)
     if not groups:
         return _finish([], [], prep, result, max_len)
-    proj = stage(project.by_group(encode.collapse(prep.ranked), groups, prep.n))
+    proj = project.by_group(encode.collapse(prep.ranked), groups, prep.n)
     if measure:
         result.ledger.measure("ranked", prep.ranked)
-        result.ledger.measure("projected", proj)
     anchors = dict(enumerate(g.anchors for g in groups))
     capacity = usable_nodes(node_budget) if node_budget else None
-    options = {"max_len": max_len, "use_array": use_array}
-    level = mine_level(proj, anchors, prep.min_count, capacity=capacity, **options)
+    options = {"max_len": max_len, "use_array": use_array, "shared_tree": True}
+    level = mine_level(result.ledger.watch("projected", proj), anchors, prep.min_count, capacity=capacity, **options)
+    result.ledger.settle()
     nodes = _notes(level, result)
     result.groups = [{"group_id": g, "lo": x.lo, "hi": x.hi, "est_nodes": None, "real_nodes": nodes.get(g), "how": "equal"} for g, x in enumerate(groups)]
     parts = [_answers(level)]
-    if capacity is not None:
-        parts += _split(proj, level, anchors, prep.min_count, result, capacity, options)
+    if capacity is not None and len(nodes) < len(groups):
+        how = dict(cut="nu_mu", packing="mu_sum", prune=True, reuse_pilot=False, bypass_head=True, order="hash")
+        parts += _settle(proj, level, anchors, prep.counts, prep.min_count, capacity, result, options, how, ())
     return _finish(parts, [], prep, result, max_len)
 
 
@@ -351,3 +468,6 @@ def divide_and_conquer(txw: DataFrame, fits: Callable[[DataFrame], bool], decomp
     if levels <= 0 or fits(txw):
         return mine(txw)
     return combine([divide_and_conquer(x, fits, decompose, mine, combine, levels - 1) for x in decompose(txw)])
+
+
+__all__ = ["FI", "Group", "MiningResult", "Prepared", "divide_and_conquer", "mine_budgeted", "mine_equal_groups", "mine_level", "mine_per_item", "prepare"]

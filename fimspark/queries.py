@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from . import oracles as O
 from .functions import sqlapi
 from .operators import encode, paircounts, pilot, prefixtree, project, relops, rules, stats
-from .plans import accuracy, baselines, budget, cost, decompose, experiments, grouping, miner
+from .plans import accuracy, baselines, budget, cost, decompose, experiments, grouping, metrics, miner
 from .session import stage
 from .sources import baskets as B
 from .sources import synth
@@ -18,9 +18,9 @@ from .sources.tables import read_baskets, table, write_baskets, write_itemsets
 from .streaming import events as S
 
 CATALOGUE: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {}
-#: Share of baskets by workload, and the longest set in the SQL and in the queries (LONGEST), where all sets would be too many.
+#: Share of baskets by workload, and the longest set in the SQL (MAX_LEN) and in the queries (LONGEST), where all sets would be too many.
 SHARE = {"w1": 0.005, "w2": 0.5, "w3": 0.05, "w4": 0.1, "w5": 0.35, "w6": 0.01, "w7": 0.02, "w8": 0.5, "w9": 0.7, "w10": 0.1}
-MAX_LEN = {"w8": 3, "w3": 2, "w4": 2}
+MAX_LEN = {"w8": 3}
 LONGEST = {"w8": 3}
 #: Node budgets about half of the whole tree at sf0.01, so that the groups are needed.
 BUDGET = {"w1": 7453, "w2": 5350, "w3": 22_900, "w4": 22_000, "w5": 2164, "w6": 15, "w7": 12_700, "w8": 1000, "w9": 1000, "w10": 1000}
@@ -50,11 +50,14 @@ for _w in ("w1", "w2", "w3", "w4", "w5", "w6", "w7", "w8", "w9", "w10"):
     _mining(f"mine_budgeted_{_w}", _w, lambda tx, s, _w=_w: miner.mine_budgeted(tx, s, BUDGET[_w], max_len=LONGEST.get(_w)))
 for _w in ("w1", "w5"):
     _mining(f"mine_per_item_{_w}", _w, lambda tx, s: miner.mine_per_item(tx, s))
+    _mining(f"mine_per_item_recursive_{_w}", _w, lambda tx, s, _w=_w: miner.mine_per_item(tx, s, BUDGET[_w] // 4))
+_mining("mine_equal_groups_budget_w1", "w1", lambda tx, s: miner.mine_equal_groups(tx, s, 4, BUDGET["w1"] // 4))
 for _w in ("w1", "w2"):
     _mining(f"mine_equal_groups_{_w}", _w, lambda tx, s: miner.mine_equal_groups(tx, s, 4))
     _mining(f"levelwise_{_w}", _w, lambda tx, s: baselines.levelwise(tx, s))
 for _w in ("w1", "w6"):
     _mining(f"partitioned_{_w}", _w, lambda tx, s: baselines.partitioned(tx, s, 4))
+_mining("partitioned_cells_from_memory_w1", "w1", lambda tx, s: baselines.partitioned(tx, s))
 _mining("partitioned_shuffle_store_w1", "w1", lambda tx, s: baselines.partitioned(tx, s, 4, candidate_store="shuffle"))
 _mining("in_memory_plain_w1", "w1", lambda tx, s: baselines.in_memory(tx, s, use_array=False))
 _mining("in_memory_array_w1", "w1", lambda tx, s: baselines.in_memory(tx, s, use_array=True))
@@ -164,7 +167,7 @@ def prefix_nodes(spark, d):
     return prefixtree.build(_prep("w1", spark, d).ranked, exact=True).select("node_key", "item_rank", "depth", "node_count")
 
 
-_NU = "SELECT item_rank, CAST(sum(n) OVER (ORDER BY item_rank) AS BIGINT) AS nu FROM (SELECT item_rank, count(DISTINCT node) AS n FROM pre GROUP BY item_rank)"
+_NU, _MU = O.NU.format(pre="pre"), O.MU
 
 
 @q("nu_trimmed", O.with_base("w1", SHARE["w1"], f", {O.PREFIXES} {_NU}"))
@@ -172,20 +175,13 @@ def nu_trimmed(spark, d):
     return stats.nu_trimmed(_prep("w1", spark, d).ranked, exact=True)
 
 
-_MU = "SELECT b.r AS item_rank, count(DISTINCT p.node) AS mu FROM rk b JOIN {pre} p ON p.tid = b.tid AND p.item_rank < b.r JOIN pairs ON pairs.hi = b.r AND pairs.lo = p.item_rank AND pairs.pair_count >= (SELECT c FROM mc) GROUP BY b.r"
-
-
 @q("mu_anchor", O.with_base("w1", SHARE["w1"], f", {O.PREFIXES}, {O.PAIRS} {_MU.format(pre='pre')}"))
 def mu_anchor(spark, d):
     p = _prep("w1", spark, d)
     return stats.mu_anchor(p.ranked, paircounts.pair_matrix(p.ranked, p.n), p.min_count, exact=True)
 
 
-_PILOT = f"""fst AS (SELECT node, min(tid) AS k FROM pre GROUP BY node),
-seen AS (SELECT k, sum(count(*)) OVER (ORDER BY k) AS nodes FROM fst GROUP BY k),
-stop AS (SELECT coalesce((SELECT min(k) FROM seen WHERE nodes > {budget.usable_nodes(BUDGET['w1'])}), 9223372036854775807) AS k),
-used AS (SELECT p.* FROM pre p WHERE tid < (SELECT k FROM stop)),
-pil AS (SELECT count(DISTINCT tid) AS n_used, count(DISTINCT node) AS nodes, (SELECT count(*) FROM ranked) AS n_total FROM used)"""
+_PILOT = O.pilot(budget.usable_nodes(BUDGET["w1"]))
 
 
 def _pilot_w1(spark, d):
@@ -217,11 +213,11 @@ def cut_points(spark, d):
     return spark.createDataFrame([(grouping.cut_ratio(s, x.nodes), grouping.cut_nu(s, x.nodes), grouping.cut_nu_mu(s, x.nodes))], "cut_ratio long, cut_nu int, cut_nu_mu int")
 
 
-@q("group_plan")
+@q("group_plan", O.recursive("w1", SHARE["w1"], f", {O.groups(budget.usable_nodes(BUDGET['w1']))} SELECT group_id, lo, hi, round(est, 6) AS est_nodes FROM grp"))
 def group_plan(spark, d):
     p, x = _pilot_w1(spark, d)
     s = stats.collect_stats(x, paircounts.pair_matrix(p.ranked, p.n), p.n, p.min_count, exact=True)
-    return project.group_table(spark, grouping.plan(s, x.nodes))
+    return project.group_table(spark, grouping.plan(s, x.nodes)).select("group_id", "lo", "hi", F.round("est_nodes", 6).alias("est_nodes"))
 
 
 @q("project_per_item", O.with_base("w1", SHARE["w1"], "SELECT CAST(items[k] AS BIGINT) AS group_id, array_to_string(items[1:k], ',') AS items, count(*) AS weight FROM (SELECT items, unnest(range(1, len(items) + 1)) AS k FROM ranked) GROUP BY ALL"))
@@ -313,35 +309,66 @@ def projection_volume_measured(spark, d):
     return r.select("cells", "projected", F.round(F.col("projected") / F.col("cells"), 6).alias("expansion"), "formula")
 
 
-@q("group_estimates")
+_USABLE = budget.usable_nodes(BUDGET["w1"])
+
+
+@q(
+    "group_estimates",
+    O.recursive(
+        "w1",
+        SHARE["w1"],
+        f""", {O.groups(_USABLE)}, {O.REAL}, t AS (SELECT group_id, lo, hi, est AS est_nodes, coalesce(real.n, 0) AS real_nodes, CASE WHEN lo = 1 AND 2 * (hi - lo + 1) > (SELECT count(*) FROM ord) THEN 'head' ELSE 'group' END AS how FROM grp LEFT JOIN real USING (group_id))
+SELECT group_id, lo, hi, round(est_nodes, 6) AS est_nodes, real_nodes, how, round(est_nodes / nullif(real_nodes, 0), 6) AS ratio, round(real_nodes / {_USABLE}.0, 6) AS utilisation FROM t""",
+    ),
+)
 def group_estimates(spark, d):
-    r = miner.mine_budgeted(_tx("w1")(spark, d), SHARE["w1"], BUDGET["w1"], prune=False)
-    return accuracy.group_estimates(spark, r, budget.usable_nodes(BUDGET["w1"]))
+    """Estimated and real trees of the groups, with the pilot in the order of the table so that SQL can follow it."""
+    r = miner.mine_budgeted(_tx("w1")(spark, d), SHARE["w1"], BUDGET["w1"], prune=False, order="tid")
+    x = accuracy.group_estimates(spark, r, _USABLE)
+    return x.select("group_id", F.col("lo").cast("int").alias("lo"), F.col("hi").cast("int").alias("hi"), F.round("est_nodes", 6).alias("est_nodes"), "real_nodes", "how", "ratio", "utilisation")
 
 
-@q("run_ledger")
+@q("run_ledger", O.ledger("w1", SHARE["w1"], _USABLE))
 def run_ledger(spark, d):
-    r = miner.mine_budgeted(_tx("w1")(spark, d), SHARE["w1"], BUDGET["w1"], measure=True)
-    return r.ledger.to_frame(spark)
+    """Everything that a run writes or sends between stages."""
+    r = miner.mine_budgeted(_tx("w1")(spark, d), SHARE["w1"], BUDGET["w1"], order="tid", measure=True)
+    return r.ledger.to_frame(spark).drop("seconds")
 
 
-@q("traversal_counters")
+@q(
+    "traversal_counters",
+    O.fi_cte("w2", SHARE["w2"])
+    + """, fx AS (SELECT itemset, list(item_rank ORDER BY item_rank) AS r FROM (SELECT itemset, unnest(string_split(itemset, '|')) AS item FROM fi) JOIN ord USING (item) GROUP BY itemset),
+ext AS (SELECT array_to_string(r[2:], ',') AS x, count(*) AS k FROM fx WHERE len(r) > 1 GROUP BY ALL), big AS (SELECT count(*) AS trees, CAST(sum(k - 1) AS BIGINT) AS inner_counts FROM ext WHERE k > 1)
+SELECT 'array' AS growth, trees AS traversals, trees + 1 AS trees FROM big UNION ALL SELECT 'plain', trees + inner_counts + (SELECT count(*) FROM ord), trees + 1 FROM big""",
+)
 def traversal_counters(spark, d):
+    """Climbs from all nodes of an item, and trees made, with and without pair counts."""
     tx = stage(_tx("w2")(spark, d))
     rows = [(name, x.counters.traversals, x.counters.trees) for name, x in (("array", baselines.in_memory(tx, SHARE["w2"], True)), ("plain", baselines.in_memory(tx, SHARE["w2"], False)))]
     return spark.createDataFrame(rows, "growth string, traversals long, trees long")
 
 
-@q("false_hits")
+@q("false_hits", O.recursive("w1", SHARE["w1"], f", {O.partition_candidates('w1', SHARE['w1'], 4)}, t AS (SELECT count(*) AS c, (SELECT count(*) FROM ({O.mine('w1', SHARE['w1'])})) AS n FROM found) SELECT c AS candidates, c - n AS false_hits, round((c - n) / CAST(c AS DOUBLE), 6) AS share FROM t"))
 def false_hits(spark, d):
-    r = baselines.partitioned(_tx("w1")(spark, d), SHARE["w1"], 4)
+    r = baselines.partitioned(_tx("w1")(spark, d), SHARE["w1"], 4, by="tid")
     return accuracy.false_hits(r.candidates, r.fi)
 
 
-@q("sample_recall")
+@q(
+    "sample_recall",
+    O.recursive(
+        "w1",
+        SHARE["w1"],
+        ", "
+        + O.fi_in("1", SHARE["w1"], "w1", "SELECT 1 AS cell, count(*) AS n FROM (SELECT DISTINCT tid FROM long WHERE tid % 10 < 3)", "greatest(1, CAST(ceil(0.9 * (SELECT c FROM mc) * n / (SELECT n FROM mc) - 1e-9) AS BIGINT))").replace("FROM long JOIN ord USING (item)", "FROM long JOIN ord USING (item) WHERE tid % 10 < 3")
+        + f", t AS (SELECT (SELECT count(*) FROM ({O.mine('w1', SHARE['w1'])})) AS n, (SELECT count(*) FROM ({O.mine('w1', SHARE['w1'])}) e WHERE e.itemset NOT IN (SELECT itemset FROM f)) AS missed) SELECT n, missed, round((n - missed) / CAST(n AS DOUBLE), 6) AS recall FROM t",
+    ),
+)
 def sample_recall(spark, d):
+    """Of the exact answer, what a sample of three baskets in ten (by number) finds."""
     tx = stage(_tx("w1")(spark, d))
-    return accuracy.recall(baselines.sampled(tx, SHARE["w1"], 0.3).fi, baselines.in_memory(tx, SHARE["w1"]).fi)
+    return accuracy.recall(baselines.sampled(tx, SHARE["w1"], 0.3, by="tid").fi, baselines.in_memory(tx, SHARE["w1"]).fi)
 
 
 @q("compression", O.with_base("w5", SHARE["w5"], f", {O.PREFIXES} SELECT count(*) AS cells, count(DISTINCT node) AS n_nodes, round(count(DISTINCT node) / count(*), 6) AS ratio FROM pre"))
@@ -351,46 +378,80 @@ def compression(spark, d):
 
 @q("scale_curve")
 def scale_curve(spark, d):
-    """Seconds of the budgeted miner over synthetic baskets of rising number."""
-    import time
-
+    """Sets and nodes of the budgeted miner over synthetic baskets of rising number; the times are the benchmark's."""
     rows = []
     for n in (2000, 4000, 8000):
-        began = time.perf_counter()
-        f = miner.mine_budgeted(synth.baskets(spark, n, 500, 12, 4), 0.02, 20_000).fi.count()
-        rows.append((n, f, time.perf_counter() - began))
-    return spark.createDataFrame(rows, "n_tx long, itemsets long, seconds double")
+        r = miner.mine_budgeted(synth.baskets(spark, n, 500, 12, 4), 0.02, 20_000)
+        rows.append((n, r.fi.count(), r.counters.held))
+    return spark.createDataFrame(rows, "n_tx long, itemsets long, nodes_held long")
+
+
+@q("experiment_estimates")
+def experiment_estimates(spark, d):
+    """Estimated and real trees on baskets like the published ones: 1,000 items, length 100, patterns of 20, 2 %, a budget that takes about seven groups."""
+    tx = stage(synth.baskets(spark, 4000, 1000, 100, 20, 400, corruption=0.5))
+    r = miner.mine_budgeted(tx, 0.02, 60_000)
+    return accuracy.group_estimates(spark, r, budget.usable_nodes(60_000))
+
+
+@q("experiment_cpu_io")
+def experiment_cpu_io(spark, d):
+    """Seconds of computing and of moving data, and what was spilled, for the grouped and the per-item method."""
+    tx = stage(_tx("w2")(spark, d))
+    rows = []
+    for name, run in (("grouped", lambda: miner.mine_budgeted(tx, 0.4, BUDGET["w2"])), ("per item", lambda: miner.mine_per_item(tx, 0.4)), ("partitioned", lambda: baselines.partitioned(tx, 0.4, 4))):
+        with metrics.TaskMetrics(spark) as m:
+            run().fi.count()
+        rows.append((name, m.total))
+    return metrics.to_frame(spark, rows)
+
 
+@q("cost_extrapolation", "SELECT * FROM (VALUES (7, round(1000.0 * 25000, 3)), (8, round(1000.0 * 25000 * 9.5 / 8.5, 3))) t(groups, seconds)")
+def cost_extrapolation(spark, d):
+    """1,000 s for 1 GB in seven groups, carried to 25 TB by the transfer formula, with seven groups and with eight."""
+    return spark.createDataFrame([(k, round(cost.extrapolate(1000.0, 1.0, 25_000.0, 7, k), 3)) for k in (7, 8)], "groups int, seconds double")
 
-# --- experiments: times are not comparable between runs, so there is no SQL ---
 
+# --- experiments: sets and cells moved; times are in the benchmark ---
 
-@q("experiment_sparse")
+_MOVED = ("workload", "share", "method", "itemsets", "moved_cells")
+
+
+@q("experiment_sparse", " UNION ALL ".join(f"SELECT * FROM ({O.moved('w5', x, budget.usable_nodes(BUDGET['w5']), 4)})" for x in (0.4, 0.35)))
 def experiment_sparse(spark, d):
     """Three methods on long patterns, with the share falling."""
-    return experiments.compare(spark, _tx("w5")(spark, d), "w5", [0.4, 0.35], BUDGET["w5"])
+    return experiments.compare(spark, _tx("w5")(spark, d), "w5", [0.4, 0.35], BUDGET["w5"]).select(*_MOVED)
 
 
-@q("experiment_bushy")
+@q("experiment_bushy", " UNION ALL ".join(f"SELECT * FROM ({O.moved('w1', x, budget.usable_nodes(BUDGET['w1']), 4)})" for x in (0.01, 0.005)))
 def experiment_bushy(spark, d):
-    return experiments.compare(spark, _tx("w1")(spark, d), "w1", [0.01, 0.005], BUDGET["w1"])
+    """The same on many short baskets over all items."""
+    return experiments.compare(spark, _tx("w1")(spark, d), "w1", [0.01, 0.005], BUDGET["w1"]).select(*_MOVED)
 
 
-@q("experiment_dense")
+@q("experiment_dense", " UNION ALL ".join(f"SELECT '{'w6'}' AS workload, CAST({x} AS DOUBLE) AS share, method, (SELECT count(*) FROM ({O.mine('w6', x)})) AS itemsets FROM (VALUES ('grouped'), ('per item'), ('partitioned')) t(method)" for x in (0.05, 0.01)))
 def experiment_dense(spark, d):
-    """The same on dense baskets with a small budget."""
-    return experiments.compare(spark, _tx("w6")(spark, d), "w6", [0.05, 0.01], BUDGET["w6"])
+    """The same on dense baskets with a budget of a few nodes."""
+    return experiments.compare(spark, _tx("w6")(spark, d), "w6", [0.05, 0.01], BUDGET["w6"]).select("workload", "share", "method", "itemsets")
 
 
-@q("experiment_ablation")
+@q("experiment_ablation", f"SELECT 'w1' AS workload, variant, (SELECT count(*) FROM ({O.mine('w1', SHARE['w1'])})) AS itemsets FROM (VALUES " + ", ".join(f"('{v}')" for v in experiments.VARIANTS) + ") t(variant)")
 def experiment_ablation(spark, d):
-    return experiments.ablation(spark, _tx("w1")(spark, d), "w1", SHARE["w1"], BUDGET["w1"])
+    """Every technique turned off or exchanged: the answer stays. What each moves and saves is in the README."""
+    return experiments.ablation(spark, _tx("w1")(spark, d), "w1", SHARE["w1"], BUDGET["w1"]).select("workload", "variant", "itemsets")
 
 
-@q("experiment_group_volume")
+_VOLUME = " UNION ALL ".join(
+    f"SELECT {k} AS k, (SELECT count(*) FROM rk) AS source_cells, CAST(sum(len(list_filter(items, lambda x: x <= hi))) AS BIGINT) AS projected_cells FROM ranked, (SELECT min(item_rank) AS lo, max(item_rank) AS hi FROM (SELECT item_rank, ntile({k}) OVER (ORDER BY item_rank) AS g FROM ord) GROUP BY g) x WHERE len(list_filter(items, lambda x: x BETWEEN lo AND hi)) > 0"
+    for k in (1, 2, 4, 8, 25)
+)
+
+
+@q("experiment_group_volume", O.with_base("w2", SHARE["w2"], f", v AS ({_VOLUME}) SELECT k, source_cells, projected_cells, round(projected_cells / CAST(source_cells AS DOUBLE), 6) AS expansion, (least(k, (SELECT count(*) FROM ord)) + 1) / 2.0 AS formula FROM v"))
 def experiment_group_volume(spark, d):
     p = _prep("w2", spark, d)
-    return experiments.volume_by_groups(spark, p.ranked, p.n, [1, 2, 4, 8, 25])
+    v = experiments.volume_by_groups(spark, p.ranked, p.n, [1, 2, 4, 8, 25])
+    return v.withColumn("expansion", F.round("expansion", 6))
 
 
 # --- scans, sources, sinks ---
@@ -573,9 +634,12 @@ def agg_distinct_prefix(spark, d):
     return prefixtree.count_nodes(_prep("w5", spark, d).ranked)
 
 
-@q("agg_approx_distinct")
+@q("agg_approx_distinct", O.with_base("w1", SHARE["w1"], "SELECT count(DISTINCT items) AS exact, true AS near FROM ranked"))
 def agg_approx_distinct(spark, d):
-    return relops.approx_rows(_prep("w1", spark, d).ranked)
+    """Distinct rows exactly, and whether the sketch is within a tenth of that."""
+    rows = _prep("w1", spark, d).ranked
+    both = rows.agg(F.count_distinct("items").alias("exact")).crossJoin(relops.approx_rows(rows))  # a row each
+    return both.select("exact", (F.abs(F.col("rows") - F.col("exact")) <= 0.1 * F.col("exact")).alias("near"))
 
 
 @q("agg_partial_final", f"WITH long AS ({O.LONG['w1']}) SELECT item, count(*) AS item_count FROM long GROUP BY item")
@@ -714,7 +778,9 @@ def scalar_support_pct(spark, d):
 @q("scalar_mask", f"WITH long AS ({O.LONG['w6']}), it AS (SELECT item, row_number() OVER (ORDER BY item) - 1 AS k FROM (SELECT DISTINCT item FROM long)) SELECT tid, CAST(sum(1 << k) AS BIGINT) AS mask, CAST(count(*) AS INTEGER) AS n FROM long JOIN it USING (item) GROUP BY tid")
 def scalar_mask(spark, d):
     tx = stage(_tx("w6")(spark, d))
-    names = sorted(r[0] for r in tx.select(F.explode("items")).distinct().limit(63).collect())
+    names = sorted(r[0] for r in tx.select(F.explode("items")).distinct().limit(64).collect())
+    if len(names) > 63:
+        raise ValueError("a mask of 63 bits cannot hold more than 63 items")
     return tx.select("tid", relops.mask(F.col("items"), names).alias("mask")).select("tid", "mask", F.bit_count("mask").alias("n"))
 
 
@@ -848,7 +914,12 @@ def stream_incremental_pairs(spark, d):
     return S.maintain(_events(spark, d), S.scratch(spark))
 
 
-@q("stream_window_pairs")
+@q(
+    "stream_window_pairs",
+    """WITH b AS (SELECT user_id, CAST(epoch(time_bucket(INTERVAL 1 DAY, ts)) AS BIGINT) AS start, list_sort(list(DISTINCT event_type)) AS items FROM events GROUP BY ALL),
+e AS (SELECT start, unnest(items) AS item, user_id FROM b), last AS (SELECT max(epoch(ts)) - 3600 AS mark FROM events)
+SELECT x.start, x.item AS item_a, y.item AS item_b, count(*) AS n FROM e x JOIN e y ON x.user_id = y.user_id AND x.start = y.start AND x.item < y.item WHERE x.start + 86400 <= (SELECT mark FROM last) GROUP BY ALL""",
+)
 def stream_window_pairs(spark, d):
     return S.run_to_memory(S.window_pairs(_events(spark, d)))
 

@@ -11,15 +11,17 @@ from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 
-def baskets(spark: SparkSession, n_tx: int, n_items: int, avg_len: int = 10, avg_pattern: int = 4, n_patterns: int = 200, seed: int = 42) -> DataFrame:
+def baskets(spark: SparkSession, n_tx: int, n_items: int, avg_len: int = 10, avg_pattern: int = 4, n_patterns: int = 200, seed: int = 42, corruption: float = 0.0) -> DataFrame:
+    """corruption: the share of a pattern's items that a draw leaves out, each by a draw of its own."""
     u = lambda *c: F.pmod(F.xxhash64(F.lit(seed), *c), F.lit(1_000_003)) / 1_000_003.0
     square = lambda x: x * x
     need = F.greatest(F.lit(1), F.round(avg_len * (0.5 + u(F.col("id"), F.lit("len")))).cast("int"))
-    n_draws = F.greatest(F.lit(1), F.ceil(F.col("need") / avg_pattern).cast("int"))
+    n_draws = F.greatest(F.lit(1), F.ceil(F.col("need") / (avg_pattern * (1 - corruption))).cast("int"))
     pattern = lambda d: F.floor(n_patterns * square(u(F.col("id"), d, F.lit("p"))))
     item = lambda p, k: F.floor(n_items * square(u(p, k, F.lit("i"))))
     rows = spark.range(n_tx).withColumn("need", need)
-    drawn = F.flatten(F.transform(F.sequence(F.lit(1), n_draws), lambda d: F.transform(F.sequence(F.lit(1), F.lit(avg_pattern)), lambda k: item(pattern(d), k))))
+    kept = (lambda d, k: F.when(u(F.col("id"), d, k, F.lit("c")) >= corruption, item(pattern(d), k))) if corruption else lambda d, k: item(pattern(d), k)
+    drawn = F.array_compact(F.flatten(F.transform(F.sequence(F.lit(1), n_draws), lambda d: F.transform(F.sequence(F.lit(1), F.lit(avg_pattern)), lambda k: kept(d, k)))))
     items = F.transform(F.slice(F.array_distinct(drawn), F.lit(1), F.col("need")), lambda i: F.concat(F.lit("i"), i.cast("string")))
     return rows.select(F.col("id").alias("tid"), items.alias("items"))
 

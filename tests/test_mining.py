@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from fimspark.operators import encode, localmine, paircounts, pilot, prefixtree, project, rules
+from fimspark.operators import encode, localmine, paircounts, pilot, prefixtree, project, rules, stats
 from fimspark.plans import accuracy, baselines, budget, cost, grouping, miner
 from fimspark.plans.ledger import CostLedger
 from fimspark.sources import baskets as B
@@ -311,3 +311,153 @@ def test_experiments_move_as_reported(spark):
     volume = experiments.volume_by_groups(spark, p.ranked, p.n, [1, 2, 5, 25]).collect()
     assert [v.expansion for v in volume] == sorted(v.expansion for v in volume) and volume[0].expansion == 1
     assert all(abs(v.expansion / v.formula - 1) < 0.35 for v in volume)
+
+
+# --- budgets, plans and what is written ---
+
+
+@pytest.mark.parametrize("node_budget", [10, 25, 60])
+def test_no_task_passes_its_budget(spark, node_budget):
+    lists = random_lists(21, 150, "abcdefgh", 7)
+    tx, want = tx_of(spark, lists).cache(), brute(lists, 6)
+    assert prefixtree.count_nodes(miner.prepare(tx, 6).ranked).first()[0] > 2 * node_budget
+    for r in (
+        miner.mine_budgeted(tx, 6, node_budget),
+        miner.mine_budgeted(tx, 6, node_budget, array=False, prune=False, shared_tree=False),
+        miner.mine_per_item(tx, 6, node_budget),
+        miner.mine_equal_groups(tx, 6, 3, node_budget),
+    ):
+        assert rows_of(r) == want
+        assert 0 < r.counters.nodes <= budget.usable_nodes(node_budget) and r.counters.held <= node_budget
+    if node_budget == 10:
+        assert max(g["depth"] for g in miner.mine_per_item(tx, 6, node_budget).groups) >= 1, "databases over the budget are projected again"
+
+
+def test_trees_without_room_are_mined_in_place():
+    lists = [[ord(c) - 96 for c in x] for x in random_lists(22, 200, "abcdefghi", 8)]
+    rows = localmine.Rows.of([x for x in lists if x])
+    want = baselines.brute_force(lists, 9)
+    frequent = sorted(s[0] for s in want if len(s) == 1)
+    n = localmine.node_count(rows)
+    for capacity in (n, 10 * n):
+        seen = localmine.Counters()
+        got = list(localmine.mine_group(rows, frequent, 9, capacity=capacity, stats=seen))
+        assert {tuple(sorted(s)): c for s, c in got if set(s) <= set(frequent)} == want and seen.held <= capacity + capacity // 9
+    with pytest.raises(budget.BudgetExceeded):
+        list(localmine.mine_group(rows, frequent, 9, capacity=n - 1))
+
+
+def test_header_links_hold_each_items_nodes():
+    lists = [[ord(c) - 97 for c in x] for x in random_lists(23) if x]
+    t = localmine.Tree.of(localmine.Rows.of(lists), np.arange(10), True)
+    assert all((t.item[t.of_item(j)] == j).all() for j in range(10)) and sum(len(t.of_item(j)) for j in range(10)) == t.nodes()
+    assert (t.parent < np.arange(t.nodes())).all(), "parents come first"
+    for j in range(10):
+        assert t.support(j) == sum(j in x for x in lists)
+        above = t.partners(t.of_item(j), t.count[t.of_item(j)])
+        assert above[:j].tolist() == t.pairs[j, :j].tolist() == [sum(i in x and j in x for x in lists) for i in range(j)]
+
+
+def test_partners_that_come_with_a_group_save_climbs(spark):
+    tx = B.order_brands(spark, "/root/testdata/sf0.01").cache()
+    a, b = miner.mine_budgeted(tx, 0.005, 7453), miner.mine_budgeted(tx, 0.005, 7453, array=False)
+    assert rows_of(a) == rows_of(b) and a.counters.traversals < b.counters.traversals
+
+
+def test_quick_pilot_equals_the_relational_one(spark):
+    lists = [x for x in ([ord(c) - 96 for c in y] for y in random_lists(24)) if x]
+    df = spark.createDataFrame(list(enumerate(lists)), "tid long, items array<int>").cache()
+    pairs = paircounts.pair_matrix(df, 10).cache()
+    for order in ("tid", "hash"):
+        txw = df.select("items", pilot.order_key(order).alias("k")).groupBy("items").agg(F.count(F.lit(1)).alias("weight"), F.min("k").alias("k")).cache()
+        for capacity in (7, 60, 10_000):
+            p = pilot.build_pilot(df, capacity, order)
+            count = lambda stop: df.where(pilot.order_key(order) <= stop).count()
+            q = pilot.quick_pilot(txw, 10, capacity, sum(map(len, lists)), len(lists), order == "hash", True, True, count)
+            assert (q.nodes, q.aborted) == (p.nodes, p.aborted)
+            want = stats.collect_stats(p, pairs, 10, 5)
+            assert np.cumsum(q.nu).tolist() == want.nu.tolist() and q.mu(pairs, miner._frequent(pairs, 5), 5).tolist() == want.mu.tolist() == q.mu(pairs, None, 5).tolist()
+            assert len(q.tree[0]) == q.nodes
+            if q.aborted:
+                kept = {tuple(r["items"]) for r in p.rows.collect()}
+                assert {tuple(r["items"]) for r in q.rows.collect()} == kept
+                if order == "tid":
+                    assert q.n_used == p.n_used
+
+
+def test_plans_by_join_equal_those_on_the_driver(spark, monkeypatch):
+    lists = random_lists(25, 200, "abcdefghij", 5)
+    tx, want = tx_of(spark, lists).cache(), brute(lists, 14)
+    p = miner.prepare(tx, 14)
+    pairs = paircounts.pair_matrix(p.ranked, p.n).cache()
+    frequent = miner._frequent(pairs, 14)
+    for groups in (grouping.equal_groups(p.n, 3), grouping.equal_groups(p.n, p.n)):
+        direct, left = project.short_circuit(groups, frequent, p.counts)
+        left = project.prune_companions(left, frequent)
+        other, joined = project.planned_by_join(pairs, groups, p.n, p.counts, 14)
+        assert sorted(direct) == sorted(other) and [(g.lo, g.anchors, g.companions) for g in left] == [(g.lo, g.anchors, g.companions) for g in joined]
+    monkeypatch.setattr(miner, "MAX_PLANNED_PAIRS", 0)
+    monkeypatch.setattr(miner, "HEAD_CELLS", 0)
+    assert rows_of(miner.mine_budgeted(tx, 14, 40)) == want
+
+
+def test_ledger_has_all_that_is_written(spark):
+    tx = B.order_brands(spark, "/root/testdata/sf0.01").cache()
+    r = miner.mine_budgeted(tx, 0.005, 7453, measure=True)
+    e = {p: (n, c) for p, n, c, _ in r.ledger.entries}
+    rows = [tuple(x["items"]) for x in miner.prepare(tx, 0.005).ranked.collect()]
+    assert e["ranked"] == (len(rows), sum(map(len, rows))) and e["collapsed"] == (len(set(rows)), sum(map(len, set(rows))))
+    assert e["head"] == (0, 0) and e["projected"][1] > 0 and e["pilot rows"][0] > 0 and e["pairs"][0] == 300
+    assert r.ledger.written() == sum(c for p, (_, c) in e.items() if p != "ranked")
+    staged = miner.mine_budgeted(tx, 0.005, 7453, measure=True, bypass_head=False)
+    assert staged.ledger.cells("projected") > r.ledger.cells("projected"), "a head that is projected is counted"
+
+
+def test_pair_counts_take_bounded_memory():
+    import tracemalloc
+
+    rng = np.random.default_rng(0)
+    rows = np.sort(np.argsort(rng.random((10_000, 1000)), axis=1)[:, :100] + 1, axis=1).astype(np.int32)
+    offsets = np.arange(0, 1_000_001, 100)
+    tracemalloc.start()
+    total = sum(len(k) for k, _ in paircounts._pairs_of(offsets, rows.ravel(), np.ones(10_000, np.int64), 1000))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert total == 10_000 * 4950 and peak < 100 << 20
+    long = np.arange(1, 2001, dtype=np.int32)
+    got = np.concatenate([k for k, _ in paircounts._pairs_of(np.asarray([0, 2000]), long, np.ones(1, np.int64), 2000)])
+    assert len(np.unique(got)) == len(got) == 2000 * 1999 // 2
+
+
+def test_cells_follow_from_memory(spark, monkeypatch):
+    tx = B.order_brands(spark, SF).cache()
+    want = rows_of(baselines.in_memory(tx, 0.02))
+    one = baselines.partitioned(tx, 0.02)
+    monkeypatch.setattr(baselines, "CELL_ITEMS", 500)
+    some = baselines.partitioned(tx, 0.02)
+    assert one.cells == 1 < some.cells and rows_of(one) == rows_of(some) == want
+
+
+def test_task_metrics(spark):
+    from fimspark.plans import metrics
+
+    with metrics.TaskMetrics(spark) as m:
+        spark.range(100_000).groupBy((F.col("id") % 100).alias("k")).count().collect()
+    assert m.total["shuffle_mb"] > 0 and m.total["compute_s"] > 0 and m.total["spill_mb"] == 0 and m.total["wall_s"] > 0
+    assert metrics.to_frame(spark, [("x", m.total)]).count() == 1
+
+
+def test_rules_of_long_sets(spark, monkeypatch):
+    monkeypatch.setattr(rules, "HALF", 2)
+    lists = random_lists(12)
+    fi = baselines.in_memory(tx_of(spark, lists), 10).fi.cache()
+    few = {tuple(r) for r in rules.generate(fi, len(lists), 0.4).collect()}
+    monkeypatch.setattr(rules, "HALF", 12)
+    assert few == {tuple(r) for r in rules.generate(fi, len(lists), 0.4).collect()} and few
+
+
+def test_patterns_lose_items(spark):
+    from fimspark.sources import synth
+
+    whole, some = synth.baskets(spark, 300, 500, 40, 20, 50), synth.baskets(spark, 300, 500, 40, 20, 50, corruption=0.5)
+    assert baselines.in_memory(some, 0.1, max_len=2).fi.count() < baselines.in_memory(whole, 0.1, max_len=2).fi.count()
