@@ -346,7 +346,7 @@ def mine_group(
     kinds = np.unique(rows.items)
     place = np.full(int(kinds[-1]) + 1 if len(kinds) else 1, -1, np.int64)
     place[kinds] = np.arange(len(kinds))
-    tree = Tree.of(rows.only(place), kinds, False, capacity)
+    tree = Tree.of(rows.only(place), kinds, use_array and not known, capacity)
     stats.trees += 1
     stats.nodes = max(stats.nodes, tree.nodes())
     stats.held = max(stats.held, tree.nodes())
@@ -362,8 +362,9 @@ def mine_group(
         count = np.zeros(len(kinds), np.int64)
         if a in known:
             items, n = known[a]
-            at = np.searchsorted(kinds, items)
-            count[at] = n
+            count[np.searchsorted(kinds, items)] = n
+        elif tree.pairs is not None:
+            count[:j] = tree.pairs[j, :j]
         else:
             stats.traversals += 1  # to count the partners
             count = tree.partners(nodes, tree.count[nodes])

@@ -95,9 +95,11 @@ def short_circuit(groups: list[Group], frequent: dict[int, dict[int, int]], coun
 
 
 def partner_rows(pairs: DataFrame, groups: list[Group], n: int, min_count: int) -> DataFrame:
-    """(group_id, anchor, items, weight): each frequent partner before an anchor, for the anchor's group, which so needs no scan to find it."""
-    rows = frequent_partners(pairs, min_count).select(F.element_at(_group_of(groups, n), F.col("hi")).alias("group_id"), F.col("hi").alias("anchor"), F.array("lo").alias("items"), F.col("pair_count").alias("weight"))
-    return rows.where("group_id >= 0").withColumn("group_id", F.col("group_id").cast("long"))
+    """(group_id, anchor, items, weight): each frequent partner that an anchor has before it in its group, which so needs no scan to find it."""
+    rows = frequent_partners(pairs, min_count).select(F.element_at(_group_of(groups, n), F.col("hi")).cast("long").alias("group_id"), F.col("hi").alias("anchor"), "lo", F.col("pair_count").alias("weight")).where("group_id >= 0")
+    if any(x.companions is not None or len(x.anchors) != x.hi - x.lo + 1 for x in groups):  # what has left a group is no partner there
+        rows = rows.join(group_table(pairs.sparkSession, groups).select("group_id", F.explode("allowed").alias("lo")), ["group_id", "lo"], "left_semi")
+    return rows.select("group_id", "anchor", F.array("lo").alias("items"), "weight")
 
 
 def planned_by_join(pairs: DataFrame, groups: list[Group], n: int, counts: dict[int, int], min_count: int) -> tuple[list[tuple[tuple[int, ...], int]], list[Group]]:

@@ -112,9 +112,9 @@ e AS (SELECT 'ranked' AS phase, (SELECT count(*) FROM ranked) AS n, (SELECT coun
 
 def fi_in(cells: str, share: float, w: str, n_of: str, mc_of: str) -> str:
     """Recursion over baskets in cells: frequent(cell, itemset, size) with a threshold of each cell's own. Items are those frequent in all."""
-    return f"""part AS MATERIALIZED (SELECT {cells} AS cell, tid, item FROM long JOIN ord USING (item)),
+    return f"""dealt AS MATERIALIZED (SELECT {cells} AS cell, tid, item FROM long JOIN ord USING (item)),
 own AS MATERIALIZED (SELECT cell, {mc_of} AS c FROM ({n_of})),
-one AS MATERIALIZED (SELECT part.cell, item, list(tid ORDER BY tid) AS tids FROM part JOIN own USING (cell) GROUP BY part.cell, item, c HAVING count(*) >= c),
+one AS MATERIALIZED (SELECT dealt.cell, item, list(tid ORDER BY tid) AS tids FROM dealt JOIN own USING (cell) GROUP BY dealt.cell, item, c HAVING count(*) >= c),
 f AS (SELECT cell, item AS itemset, item AS last, 1 AS size, tids FROM one
   UNION ALL SELECT f.cell, concat(f.itemset, '|', o.item), o.item, f.size + 1, list_intersect(f.tids, o.tids) FROM f JOIN one o ON o.cell = f.cell AND o.item > f.last JOIN own ON own.cell = f.cell
   WHERE len(list_intersect(f.tids, o.tids)) >= own.c)"""

@@ -106,12 +106,12 @@ def _mine_task(anchors: dict[int, list[int]], path_of: Callable[[int], tuple[int
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts, pairs, g, n, cells = [], [], None, 0, 0
+        parts, pairs, g, n, cells, over = [], [], None, 0, 0, False
         for b in batches:
             if not b.num_rows:
                 continue
             g = b.column(0)[0].as_py()
-            if capacity is not None and n > capacity:
+            if over:
                 continue
             anchor = b.column(1).to_numpy()
             if (anchor > 0).any():
@@ -121,18 +121,21 @@ def _mine_task(anchors: dict[int, list[int]], path_of: Callable[[int], tuple[int
                 parts.append(_lists(b, anchor == 0))
                 n += len(parts[-1])
                 cells += len(parts[-1].items)
-                if not collapsed and cells > max(1_000_000, 4 * (capacity or 0)):
+                many = capacity is not None and n > capacity
+                if not collapsed and (many or cells > 1_000_000):
                     parts = [Rows.joined(parts).collapsed()]
                     n, cells = len(parts[0]), len(parts[0].items) // 2
+                    many = capacity is not None and n > capacity
+                if many:  # more distinct baskets than nodes
+                    over, parts = True, []
         if g is None:
             return
         stats = Counters()
-        if parts and not collapsed:
-            parts = [Rows.joined(parts).collapsed()]
-            n = len(parts[0])
-        if capacity is not None and n > capacity:
+        if over:
             yield _level_rows(g, [("needs_split", None, n)])
             return
+        if parts and not collapsed:
+            parts = [Rows.joined(parts).collapsed()]
         rows = Rows.joined(parts) if parts else Rows.of([])
         known = None
         if pairs:

@@ -389,7 +389,7 @@ def scale_curve(spark, d):
 @q("experiment_estimates")
 def experiment_estimates(spark, d):
     """Estimated and real trees on baskets like the published ones: 1,000 items, length 100, patterns of 20, 2 %, a budget that takes about seven groups."""
-    tx = stage(synth.baskets(spark, 4000, 1000, 100, 20, 400, corruption=0.5))
+    tx = stage(synth.baskets(spark, 2000, 1000, 100, 20, 2000, corruption=0.5))
     r = miner.mine_budgeted(tx, 0.02, 60_000)
     return accuracy.group_estimates(spark, r, budget.usable_nodes(60_000))
 
