@@ -133,13 +133,15 @@ def train(docs: DataFrame, ratings: DataFrame, max_rated: int = MAX_RATED) -> Or
     """ratings: doc_id, grade. Features of at most max_rated rows come to the driver, whatever repeats: DIMS * 6 bytes for each at most."""
     sample = ratings.where("doc_id is not null and grade is not null").orderBy(F.xxhash64("doc_id"), "doc_id", "grade").limit(max_rated)
     rows = pick(docs, "doc_id", "text").join(F.broadcast(sample), "doc_id").select(F.xxhash64("doc_id").alias("k"), F.expr("cast(grade as long) grade"), F.expr("cast(text as string) text"))  # max_rated rows
-    got = rows.mapInArrow(_sparse, "k long, grade long, at binary, x binary").orderBy("k", "grade", "at", "x").limit(max_rated).toArrow()
+    sparse = rows.mapInArrow(_sparse, "k long, grade long, at binary, x binary")
+    got = (sparse.orderBy("k", "grade", "at", "x").limit(max_rated) if rows.count() > max_rated else sparse).toArrow()  # more only where labelled rows are repeated
     grade = np.asarray(got["grade"].to_pylist(), np.int64)
+    at, values = ([np.frombuffer(v.as_py(), kind) for v in got[c]] for c, kind in (("at", "<u2"), ("x", "<f4")))
+    order = np.lexsort(([float(v @ (a + np.float32(1))) for a, v in zip(at, values, strict=True)], grade))  # the same model whatever the rows' order
     x = np.zeros((len(grade), DIMS), np.float32)
-    for i, (at, v) in enumerate(zip(got["at"], got["x"], strict=True)):
-        x[i, np.frombuffer(at.as_py(), "<u2")] = np.frombuffer(v.as_py(), "<f4")
-    order = np.lexsort((x @ np.arange(1, DIMS + 1, dtype=np.float32), grade))  # the same model whatever the rows' order
-    return fit(x[order], grade[order])
+    for i, k in enumerate(order.tolist()):
+        x[i, at[k]] = values[k]
+    return fit(x, grade[order])
 
 
 def score(docs: DataFrame, model: OrdinalModel | None, min_grade: int = MIN_GRADE, min_tail: float = MIN_TAIL) -> DataFrame:
