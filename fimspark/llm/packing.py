@@ -37,12 +37,16 @@ CACHED_WORDS = 400_000
 ODD_SPACE = "\x1c\x1d\x1e\x1f"
 
 
+PROBES = ("a", "The", "don't", "tokenizers", "12,345.67", "x-y_z", "caf\u00e9", "\u65e5\u672c\u8a9e", "supercalifragilistic", "!!??", "\U0001f600")
+
+
 class WordTokenizer:
     """Ids of a word-end BPE tokenizer file.
 
     The file's rules treat white-space separated chunks independently, so chunks are cached. Chunks not seen
     before are split by the file's own pattern and merged by a byte-pair engine that is given the file's vocabulary;
     chunks with special strings or with letters whose lower case depends on the context go through the `tokenizers` library whole.
+    The engine's single-piece call is not a documented one: it is tried on PROBES first, and where it is missing or differs from the library, the library does all texts.
     """
 
     def __init__(self, path: str):
@@ -66,8 +70,9 @@ class WordTokenizer:
                 ends = token.endswith("</w>") and token != "</w>"
                 ranks[bytes(as_byte[x] for x in (token[:-4] if ends else token)) + b"\xff" * ends] = i
         ranks.setdefault(b"\xff", max(ranks.values()) + 100)
-        self.engine = tiktoken.Encoding("words", pat_str=r"(?s).+", mergeable_ranks=ranks, special_tokens={})._core_bpe
+        self.engine = getattr(tiktoken.Encoding("words", pat_str=r"(?s).+", mergeable_ranks=ranks, special_tokens={}), "_core_bpe", None)
         self.cache: dict[str, bytes] = {}
+        self.trusted = hasattr(self.engine, "encode_single_piece") and all(self.chunk(w) == self.whole(w) for w in PROBES)
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
@@ -82,7 +87,7 @@ class WordTokenizer:
 
     def ids(self, text: str) -> bytes:
         """The ids as little-endian unsigned 32-bit numbers."""
-        if any(x in text for x in ODD_SPACE):
+        if not self.trusted or any(x in text for x in ODD_SPACE):
             return self.whole(text)
         words, cache = text.split(), self.cache
         try:

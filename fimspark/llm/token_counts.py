@@ -77,8 +77,9 @@ def with_suffix_sums(hist: DataFrame) -> DataFrame:
 
 def quantile(sums: DataFrame, q: float) -> DataFrame:
     """The smallest length that at least a share q of the documents do not exceed, as one row `n_tokens`."""
-    total = F.col("docs_at_least") / (1 - F.col("share_shorter"))
-    return sums.where((total - F.col("docs_at_least") + F.col("n_docs")) >= total * F.lit(q) - 1e-9).agg(F.min("n_tokens").alias("n_tokens"))
+    total = sums.agg(F.max("docs_at_least").alias("total"))  # all documents are at least as long as the shortest
+    upto = F.col("total") - F.col("docs_at_least") + F.col("n_docs")
+    return sums.crossJoin(total).where(upto >= F.ceil(F.col("total") * F.lit(q) - 1e-9)).agg(F.min("n_tokens").alias("n_tokens"))
 
 
 def truncated_total(sums: DataFrame, limit: int) -> DataFrame:
