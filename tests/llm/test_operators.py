@@ -738,6 +738,7 @@ def test_near_dedup_removes_similar_texts(spark, monkeypatch):
     # the same when leaders' points and buckets are dealt to many small groups
     monkeypatch.setattr(near_copies, "GROUP", 2)
     monkeypatch.setattr(near_copies, "CHUNK", 2)
+    monkeypatch.setattr(near_copies, "VOLUME", 500)
     assert sorted(r.doc_id for r in p.near_dedup(spark, docs, SF).collect()) == want
 
 
