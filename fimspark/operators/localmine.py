@@ -16,7 +16,7 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from ..plans.budget import BudgetExceeded
+from ..plans.budget import Guard
 
 #: Items up to which a tree has pair counts; with more, partners are counted by climbing. Cells of a slice of rows when they are filled.
 PAIRED_ITEMS, SLICE = 3000, 1_000_000
@@ -95,11 +95,12 @@ def _grow(rows: Rows, k: int, capacity: int | None, room: int | None) -> tuple[l
     node = np.full(len(live), -1, np.int64)
     ends = np.full(len(rows), -1, np.int64)
     parts, total, depth = [], 0, 0
+    guard = None if capacity is None else Guard(capacity, 0.0)
     while len(live):
         key = (node + 1) * k + rows.items[rows.offsets[live] + depth]
         made, first, which = np.unique(key, return_index=True, return_inverse=True)
-        if capacity is not None and total + len(made) > capacity:
-            raise BudgetExceeded(f"{total + len(made)} nodes or more of {capacity}")
+        if guard is not None:
+            guard.take(len(made))
         if room is not None and total + len(made) > room:
             return None
         parts.append((made % k, made // k - 1, np.bincount(which, rows.weights[live], minlength=len(made)).astype(np.int64), live[first]))

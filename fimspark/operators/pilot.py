@@ -190,7 +190,7 @@ def _pilot_rows(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(kind, pa.string()), pa.array(hi, pa.int32()), pa.array(lo, pa.int32()), pa.array(n, pa.int64()), pa.array(items, pa.list_(pa.int32()))], names=["kind", "hi", "lo", "n", "items"])
 
 
-def quick_pilot(txw: DataFrame, n: int, capacity: int, cells: int, n_total: int, hashed: bool, want_tree: bool = False, want_rows: bool = False, count_upto: Callable[[int], int] | None = None) -> QuickPilot:
+def quick_pilot(txw: DataFrame, n: int, capacity: int, cells: int, n_total: int, hashed: bool, want_tree: bool = False, want_rows: bool = False, count_upto: Callable[[int], int] | None = None, keep: Callable[[DataFrame], DataFrame] = stage) -> QuickPilot:
     """The pilot over distinct rows (items, weight, k), where k is a row's first place, by one task that stops at the capacity.
 
     As a row's nodes appear where it first occurs, distinct rows give the stop that all rows would. With the hash order only a share of the rows is sent to the task, which grows
@@ -199,7 +199,7 @@ def quick_pilot(txw: DataFrame, n: int, capacity: int, cells: int, n_total: int,
     share = min(1.0, 4 * capacity / max(cells, 1)) if hashed else 1.0
     while True:
         some = txw if share >= 1 else txw.where(F.col("k") < int(share * SPAN))
-        found = stage(some.select("k", "items", "weight").repartition(1).sortWithinPartitions("k").mapInArrow(_pilot_task(n, capacity, want_tree, want_rows), PILOT))
+        found = keep(some.select("k", "items", "weight").repartition(1).sortWithinPartitions("k").mapInArrow(_pilot_task(n, capacity, want_tree, want_rows), PILOT))
         few = n <= PLANNED_ITEMS
         facts = found.where("kind in ('aborted', 'stop', 'nodes', 'nu', 'node')" + " or kind = 'above'" * few).select("kind", "hi", "lo", "n").toArrow()  # a row for each item, for each pair of few ones, and for each node of the tree if asked for
         kind, hi, value = facts["kind"].to_pylist(), facts["hi"].to_numpy(), facts["n"].to_numpy()

@@ -6,6 +6,7 @@ from dataclasses import dataclass
 
 #: Share of a tree's size that its descendants take: a tree may fill the rest.
 WORKSPACE = 0.10
+#: A node's item, parent, count and link, and its share of the index of links.
 BYTES_PER_NODE = 24
 
 

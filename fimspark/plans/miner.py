@@ -24,8 +24,8 @@ from ..operators import encode, paircounts, project
 from ..operators.localmine import Counters, Rows, mine_group
 from ..operators.pilot import SPAN, order_key, quick_pilot
 from ..operators.stats import StatsBundle
-from ..session import stage
-from .budget import BudgetExceeded, usable_nodes
+from ..session import release, stage
+from .budget import BudgetExceeded, nodes_for_bytes, usable_nodes
 from .grouping import Group, equal_groups, plan
 from .ledger import CostLedger
 
@@ -52,6 +52,13 @@ class MiningResult:
     ledger: CostLedger = field(default_factory=CostLedger)
     stats: list[StatsBundle] = field(default_factory=list)
     counters: Counters = field(default_factory=Counters)
+    scratch: list[DataFrame] = field(default_factory=list)  # stages that the answer does not read
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        """A stage that is removed when the run is done."""
+        out = stage(df)
+        self.scratch.append(out)
+        return out
 
 
 @dataclass
@@ -212,6 +219,8 @@ def _finish(parts: list[DataFrame], direct: list[tuple[tuple[int, ...], int]], p
     for p in parts:
         fi = p if fi is None else fi.unionByName(p)
     result.fi = encode.decode(fi, prep.order, prep.names)
+    release(*result.scratch)
+    result.scratch.clear()
     return result
 
 
@@ -224,7 +233,7 @@ def _settle(proj: DataFrame, level: DataFrame, anchors: dict[int, list[int]], co
     parts: list[DataFrame] = []
     next_id = max(anchors, default=0) + 1
     while large := _large(level):
-        kept = stage(proj.where(F.col("group_id").isin(large)))
+        kept = result.keep(proj.where(F.col("group_id").isin(large)))
         result.ledger.measure("projected again", kept)
         lone = [g for g in large if len(anchors[g]) == 1]
         # these databases do not depend on each other: their planning jobs run side by side
@@ -256,8 +265,9 @@ def _settle(proj: DataFrame, level: DataFrame, anchors: dict[int, list[int]], co
 def mine_budgeted(
     tx: DataFrame,
     min_support: float | int,
-    node_budget: int,
+    node_budget: int | None = None,
     *,
+    memory: int | None = None,
     cut: str = "nu_mu",
     packing: str = "mu_sum",
     prune: bool = True,
@@ -272,13 +282,16 @@ def mine_budgeted(
 ) -> MiningResult:
     """Pilot tree first; if the database's tree does not fit, statistics, groups that do, one projection, and a task for each group.
 
-    reuse_pilot: the rows that filled the pilot's tree are projected from that tree, and only the others are read again.
+    The budget is one of nodes, or of bytes (memory) that hold as many nodes. reuse_pilot: the rows that filled the pilot's tree are projected from that tree, and only the others are read again.
     """
+    node_budget = nodes_for_bytes(memory) if node_budget is None and memory is not None else node_budget
+    if node_budget is None:
+        raise ValueError("a budget is needed: node_budget or memory")
     prep = prepare(tx, min_support, strict, staged=False)
     result = MiningResult(prep.ranked, prep.order, prep.min_count)
     result.ledger.on = measure
     options = {"max_len": max_len, "use_array": array, "shared_tree": shared_tree}
-    txw = stage(prep.ranked.select("items", order_key(order).alias("k")).groupBy("items").agg(F.count(F.lit(1)).alias("weight"), F.min("k").alias("k"))) if prep.n else None
+    txw = result.keep(prep.ranked.select("items", order_key(order).alias("k")).groupBy("items").agg(F.count(F.lit(1)).alias("weight"), F.min("k").alias("k"))) if prep.n else None
     how = dict(cut=cut, packing=packing, prune=prune, reuse_pilot=reuse_pilot, bypass_head=bypass_head, order=order, count_upto=lambda stop: prep.ranked.where(order_key(order) <= stop).count())
     parts, direct = _mine_database(txw, prep.n, prep.counts, prep.min_count, usable_nodes(node_budget), result, options, how, ())
     return _finish(parts, direct, prep, result, max_len)
@@ -307,8 +320,8 @@ def _mine_database(txw: DataFrame | None, n: int, counts: dict[int, int], min_co
     pilot = None
     if cells > capacity:  # else the tree fits whatever the rows are
         with ThreadPoolExecutor(2) as pool:  # pair counts are cheap where they turn out not to be needed: there are few distinct rows then
-            counting = pool.submit(lambda: stage(paircounts.pair_matrix(txw, n)))
-            pilot = quick_pilot(txw, n, capacity, cells, n_total, how["order"] == "hash", how["packing"] == "union", how["reuse_pilot"], how.get("count_upto"))
+            counting = pool.submit(lambda: result.keep(paircounts.pair_matrix(txw, n)))
+            pilot = quick_pilot(txw, n, capacity, cells, n_total, how["order"] == "hash", how["packing"] == "union", how["reuse_pilot"], how.get("count_upto"), result.keep)
             pairs = counting.result()
     if pilot is None or not pilot.aborted:
         level = mine_level(txw.select(F.lit(0).cast("long").alias("group_id"), "items", "weight"), {0: [*range(1, n + 1)]}, min_count, paths={0: path}, capacity=capacity, **options)
@@ -392,7 +405,7 @@ def _recurse(rows: DataFrame, a: int, counts: dict[int, int], min_count: int, ca
         place[item - 1] = r
     ranks = F.array_sort(F.filter(F.transform("items", lambda r: F.element_at(F.lit(place), r)), lambda r: r > 0))
     again = below.select(ranks.alias("items"), "weight").where(F.size("items") > 0).groupBy("items").agg(F.sum("weight").alias("weight"))
-    txw = stage(again.withColumn("k", F.pmod(F.xxhash64("items"), F.lit(SPAN))))
+    txw = result.keep(again.withColumn("k", F.pmod(F.xxhash64("items"), F.lit(SPAN))))
     parts, direct = _mine_database(txw, len(local), {r: c for r, (_, c) in enumerate(local, 1)}, min_count, capacity, result, {**options, "max_len": left}, {**how, "order": "hash"}, ())
     # back to the ranks of the database that the anchor came from
     back = F.lit([item for item, _ in local])
@@ -425,7 +438,7 @@ def mine_per_item(tx: DataFrame, min_support: float | int, node_budget: int | No
         large = _large(level) if capacity is not None else []
         if not large:
             return _finish(parts, [], prep, result, max_len)
-        kept = stage(proj.where(F.col("group_id").isin(large)))
+        kept = result.keep(proj.where(F.col("group_id").isin(large)))
         ledger.measure("projected again", kept)
         paths = [(*path_of(g), g % step) for g in large]
         own = kept.groupBy("group_id").agg(F.sum("weight").alias("support_count"))

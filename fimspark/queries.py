@@ -51,6 +51,7 @@ for _w in ("w1", "w2", "w3", "w4", "w5", "w6", "w7", "w8", "w9", "w10"):
 for _w in ("w1", "w5"):
     _mining(f"mine_per_item_{_w}", _w, lambda tx, s: miner.mine_per_item(tx, s))
     _mining(f"mine_per_item_recursive_{_w}", _w, lambda tx, s, _w=_w: miner.mine_per_item(tx, s, BUDGET[_w] // 4))
+_mining("mine_budgeted_bytes_w1", "w1", lambda tx, s: miner.mine_budgeted(tx, s, memory=24 * BUDGET["w1"]))
 _mining("mine_equal_groups_budget_w1", "w1", lambda tx, s: miner.mine_equal_groups(tx, s, 4, BUDGET["w1"] // 4))
 for _w in ("w1", "w2"):
     _mining(f"mine_equal_groups_{_w}", _w, lambda tx, s: miner.mine_equal_groups(tx, s, 4))
@@ -836,7 +837,15 @@ def udf_is_subset(spark, d):
     return _tx("w2")(spark, d).select("tid", sqlapi.is_subset("items", F.lit(_two_brands(spark, d)[:2])).alias("has"))
 
 
-@q("estimator_predictions")
+@q(
+    "estimator_predictions",
+    O.fi_cte("w1", SHARE["w1"])
+    + """, it AS (SELECT string_split(itemset, '|') AS p, support_count AS c, size FROM fi),
+rule AS (SELECT a.p AS a, list_filter(s.p, lambda x: NOT list_contains(a.p, x)) AS cons FROM it s JOIN it a ON a.size < s.size AND list_has_all(s.p, a.p) WHERE s.c >= 0.16 * a.c - 1e-9),
+bs AS (SELECT tid, list(item) AS items FROM long GROUP BY tid), hit AS (SELECT tid, items, unnest(cons) AS x FROM bs JOIN rule ON list_has_all(items, a)),
+new AS (SELECT tid, list_sort(list(DISTINCT x)) AS xs FROM hit WHERE NOT list_contains(items, x) GROUP BY tid)
+SELECT bs.tid, coalesce(array_to_string(xs, '|'), '') AS prediction FROM bs LEFT JOIN new USING (tid)""",
+)
 def estimator_predictions(spark, d):
     tx = stage(_tx("w1")(spark, d))
     m = sqlapi.BudgetedItemsetMiner(SHARE["w1"], BUDGET["w1"], 0.16).fit(tx)
@@ -879,7 +888,7 @@ def phase_times(spark, d):
     return ledger.to_frame(spark)
 
 
-@q("stream_recent_baskets")
+@q("stream_recent_baskets", "SELECT user_id, array_to_string(list_sort(list(DISTINCT event_type)), '|') AS basket FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) AS k FROM events) WHERE k <= 5 GROUP BY user_id")
 def stream_recent_baskets(spark, d):
     return S.run_to_memory(S.recent_baskets(_events(spark, d)), "update")
 

@@ -39,3 +39,16 @@ def stage(df: DataFrame) -> DataFrame:
     """Write a level's rows to the shared folder: later steps read them and the plan starts anew."""
     shared_dir(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def release(*stages: DataFrame) -> None:
+    """Remove the files of stages that nothing reads any more. Tables that are no stages are left alone."""
+    for df in stages:
+        plan = df._jdf.queryExecution().logical()
+        if plan.getClass().getSimpleName() != "LogicalRDD":
+            continue
+        path = plan.rdd().getCheckpointFile()
+        if path.isDefined():
+            sc = df.sparkSession.sparkContext
+            where = sc._jvm.org.apache.hadoop.fs.Path(path.get())
+            where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)

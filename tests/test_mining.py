@@ -481,3 +481,22 @@ def test_a_head_read_in_many_batches_is_whole(spark):
     got = {tuple(sorted(r.itemset)): r.support_count for r in level.where("status = 'fi'").collect()}
     assert got == baselines.brute_force([[i for i in x if i <= 4] for x in lists], 1)
     assert [r.status for r in miner.mine_level(rows, {0: [1, 2, 3, 4]}, 1, capacity=5, direct=True).collect()] == ["needs_split"]
+
+
+def test_stages_of_a_run_are_removed(spark):
+    from pathlib import Path
+
+    from fimspark.session import shared_dir
+
+    folder = Path(shared_dir(spark).removeprefix("file:"))
+    files = lambda: {p.name for p in folder.glob("rdd-*")}
+    tx = tx_of(spark, random_lists(31)).cache()
+    before = files()
+    r = miner.mine_budgeted(tx, 8, 40)
+    n = r.fi.count()
+    made = files() - before
+    assert r.scratch == [] and rows_of(r) == brute(random_lists(31), 8) and n > 0
+    bare = miner.mine_budgeted(tx, 8, 10_000)
+    assert len(made) < 12 and bare.fi.count() == n
+    with pytest.raises(ValueError):
+        miner.mine_budgeted(tx, 8)
