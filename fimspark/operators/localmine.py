@@ -98,12 +98,18 @@ def _grow(rows: Rows, k: int, capacity: int | None, room: int | None) -> tuple[l
     guard = None if capacity is None else Guard(capacity, 0.0)
     while len(live):
         key = (node + 1) * k + rows.items[rows.offsets[live] + depth]
-        made, first, which = np.unique(key, return_index=True, return_inverse=True)
+        order = np.argsort(key)
+        key = key[order]
+        new = np.append(True, key[1:] != key[:-1])
+        start = np.flatnonzero(new)
+        made = key[start]
+        which = np.empty(len(live), np.int64)
+        which[order] = np.cumsum(new) - 1
         if guard is not None:
             guard.take(len(made))
         if room is not None and total + len(made) > room:
             return None
-        parts.append((made % k, made // k - 1, np.bincount(which, rows.weights[live], minlength=len(made)).astype(np.int64), live[first]))
+        parts.append((made % k, made // k - 1, np.add.reduceat(rows.weights[live][order], start), live[np.minimum.reduceat(order, start)]))
         node = total + which
         total += len(made)
         depth += 1

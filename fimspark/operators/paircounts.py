@@ -56,6 +56,9 @@ def pair_matrix(ranked: DataFrame, n: int) -> DataFrame:
         for b in batches:
             lists = b.column(0)
             for key, weight in _pairs_of(lists.offsets.to_numpy() - lists.offsets[0].as_py(), pc.list_flatten(lists).to_numpy(zero_copy_only=False), b.column(1).to_numpy(), n):
+                if dense is not None and 4 * len(key) > len(dense):
+                    dense += np.bincount(key, weight, minlength=len(dense)).astype(np.int64)
+                    continue
                 made, which = np.unique(key, return_inverse=True)
                 count = np.bincount(which, weight, minlength=len(made)).astype(np.int64)
                 if dense is not None:

@@ -167,24 +167,35 @@ def _pilot_task(n: int, capacity: int, want_tree: bool, want_rows: bool):
                 out = []
         if want_tree:
             out += [("node", int(i), 0, int(p), None) for i, p in zip(tree.item, tree.parent, strict=True)]
-        if want_rows:
-            own = tree.count.copy()
-            np.subtract.at(own, tree.parent[tree.parent >= 0], tree.count[tree.parent >= 0])
-            ends = np.flatnonzero(own > 0)  # rows end at a node; its path is the row
-            paths: dict[int, list[int]] = {}
-            for v in ends.tolist():
-                path, at = [], v
-                while at >= 0:
-                    path.append(int(tree.item[at]))
-                    at = int(tree.parent[at])
-                paths[v] = path[::-1]
-            out += [("row", 0, 0, int(own[v]), paths[v]) for v in ends.tolist()]
         for lo in range(0, len(out), 20_000):
             yield _pilot_rows(out[lo : lo + 20_000])
+        if want_rows:
+            yield from _rows_of(tree)
 
     return run
 
 
+def _rows_of(tree: Tree) -> Iterator[pa.RecordBatch]:
+    """The rows that a tree was made of: the paths to nodes at which some of the count ends."""
+    own = tree.count.copy()
+    below = tree.parent >= 0
+    np.subtract.at(own, tree.parent[below], tree.count[below])
+    ends = np.flatnonzero(own > 0)
+    for lo in range(0, len(ends), 20_000):
+        some = ends[lo : lo + 20_000]
+        path = tree.above(some, own[some], np.arange(len(tree.items)))
+        size = np.diff(path.offsets) + 1
+        offsets = np.append(0, np.cumsum(size))
+        flat = np.empty(offsets[-1], np.int32)
+        last = offsets[1:] - 1
+        flat[last] = tree.item[some]
+        before = np.ones(len(flat), bool)
+        before[last] = False
+        flat[before] = path.items
+        n = len(some)
+        yield pa.RecordBatch.from_arrays([pa.array(["row"] * n, pa.string()), pa.array(np.zeros(n, np.int32)), pa.array(np.zeros(n, np.int32)), pa.array(own[some]), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat))], names=["kind", "hi", "lo", "n", "items"])
+
+
 def _pilot_rows(rows: list[tuple]) -> pa.RecordBatch:
     kind, hi, lo, n, items = zip(*rows, strict=True)
     return pa.RecordBatch.from_arrays([pa.array(kind, pa.string()), pa.array(hi, pa.int32()), pa.array(lo, pa.int32()), pa.array(n, pa.int64()), pa.array(items, pa.list_(pa.int32()))], names=["kind", "hi", "lo", "n", "items"])
@@ -196,7 +207,7 @@ def quick_pilot(txw: DataFrame, n: int, capacity: int, cells: int, n_total: int,
     As a row's nodes appear where it first occurs, distinct rows give the stop that all rows would. With the hash order only a share of the rows is sent to the task, which grows
     until it fills the tree; the number of baskets before the stop is then the stop's share of the hash range. In the order of tid all rows are sent.
     """
-    share = min(1.0, 4 * capacity / max(cells, 1)) if hashed else 1.0
+    share = min(1.0, 2 * capacity / max(cells, 1)) if hashed else 1.0
     while True:
         some = txw if share >= 1 else txw.where(F.col("k") < int(share * SPAN))
         found = keep(some.select("k", "items", "weight").repartition(1).sortWithinPartitions("k").mapInArrow(_pilot_task(n, capacity, want_tree, want_rows), PILOT))
