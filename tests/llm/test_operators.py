@@ -667,6 +667,146 @@ def test_repeated_labelled_rows_stay_within_the_bound(spark):
     assert seen[1] <= 10
 
 
+# --- round 2: formats, starts, limits, guards ---
+
+
+def test_word_parallel_alignment_equals_full_matrix():
+    rng = random.Random(8)
+    n = 300
+    passages, regions = np.zeros((n, 64), np.uint8), np.zeros((n, 90), np.uint8)
+    sizes, reach, k, want = np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, np.int64), []
+    for i in range(n):
+        p, r = bytes(rng.choice(b"ab") for _ in range(rng.randint(1, 64))), bytes(rng.choice(b"ab") for _ in range(rng.randint(0, 90)))
+        passages[i, : len(p)], regions[i, : len(r)] = np.frombuffer(p, np.uint8), np.frombuffer(r, np.uint8)
+        sizes[i], reach[i], k[i] = len(p), len(r), rng.randrange(len(p))
+        want.append(edits(p, r) <= k[i])
+    assert decontamination.within(passages, sizes, regions, reach, k).tolist() == want
+
+
+@pytest.mark.parametrize("n_edits", [0, 3, 5])
+def test_no_start_of_a_passage_is_lost(n_edits):
+    """Passages from any place of longer items, with as many substitutions, insertions and deletions as the budget has."""
+    rng = random.Random(n_edits)
+    letters = b"abcdefghijklmnopqrstuvwxyz    "
+    noise = lambda n: decontamination.fold(bytes(rng.choice(letters) for _ in range(n)))
+    items = [(k, noise(400)) for k in range(15)]
+    index, docs, source = decontamination.Index(items), [], []
+    for _ in range(120):
+        i, t = items[rng.randrange(15)]
+        at = rng.randrange(len(t) - 64)
+        x = list(t[at : at + 64])
+        for _ in range(n_edits):
+            j, how = rng.randrange(len(x)), rng.random()
+            if how < 0.5:
+                x[j] = rng.choice(letters)
+            elif how < 0.75:
+                del x[j]
+            else:
+                x.insert(j, rng.choice(letters))
+        docs.append(noise(200) + b" " + bytes(x) + b" " + noise(200))
+        source.append(i)
+    assert set(index.search(docs)) == set(enumerate(source))
+
+
+def test_more_formats_are_replaced(spark):
+    texts = ["at 2024-05-01T10:00:00Z", "01.05.2024", "1/5/2024", "12/25/2024", "02/29/2000", "555-123-4567", "(555) 123-4567", "555.123.4567", "+33 6 12 34 56 78", "+49 30 1234567", "+44 (20) 7946 0958", "3782 822463 10005"]
+    same = ["13/13/2024", "version 1.2.2024.5", "1,234,567", "12-34-5678", "+12", "02/30/2024"]
+    docs = spark.createDataFrame([(k, t, None, None, None) for k, t in enumerate(texts + same)], DOCS)
+    got = {r.doc_id: r.text for r in pii.pseudonymise(docs).collect()}
+    shape = lambda t: "".join("0" if c.isdigit() else c for c in t)
+    for k, t in enumerate(texts):
+        assert got[k] != t and (shape(got[k]) == shape(t) or t == "1/5/2024"), t
+    assert [got[len(texts) + k] for k in range(len(same))] == same
+    assert got[8].startswith("+33 ") and got[9].startswith("+49 ") and got[10].startswith("+44 (") and luhn("".join(c for c in got[11] if c.isdigit()))
+    assert got[0][3:13] == "-".join(got[1].split(".")[::-1]), "a day is linked across formats"
+
+
+def test_dates_with_the_month_first_stay_apart(spark):
+    import datetime as dt
+
+    days = [dt.date(1999, 1, 1) + dt.timedelta(days=k) for k in range(1000)]
+    texts = sorted({d.strftime("%m/%d/%Y") for d in days} | {d.strftime("%d/%m/%Y") for d in days})
+    docs = spark.createDataFrame([(k, t, None, None, None) for k, t in enumerate(texts)], DOCS)
+    got = [r.text for r in pii.pseudonymise(docs).collect()]
+    assert len(set(got)) == len(texts)
+    for t in got:
+        a, b, y = map(int, t.split("/"))
+        assert any(1 <= m <= 12 and 1 <= d <= (dt.date(y + m // 12, m % 12 + 1, 1) - dt.timedelta(days=1)).day for d, m in ((a, b), (b, a)))
+
+
+def test_junk_cannot_lift_the_limits(spark):
+    clean = lambda k: prose(random.Random(k), 60)
+    junk = lambda k: clean(k).replace(" ", " ## ")
+    docs = [(k, junk(k) if k % 5 == 0 else clean(k), "en", "heavy", None) for k in range(300)]
+    docs += [(1000 + k, junk(k) if k == 0 else clean(k), "en", "small", None) for k in range(10)] + [(2000, junk(1), None, None, None), (2001, clean(1), None, None, None)]
+    kept = {r.doc_id: r.kept for r in quality_rules.apply_rules(spark.createDataFrame(docs, DOCS)).collect()}
+    assert not any(kept[k] for k in range(0, 300, 5)) and all(kept[k] for k in range(300) if k % 5)
+    assert not kept[1000] and all(kept[1000 + k] for k in range(1, 10)), "a small group has its language's limits"
+    assert kept[2001]
+
+
+def test_landmarks_share_one_kernel():
+    k = toxicity.Kernel(["idiot", "idiotic", "garden"])
+    g, share = k.gram(), k(["idiot", "idiotic", "garden"])
+    assert np.allclose(g, (share + share.T) / 2) and np.allclose(np.diag(g), 1) and g[0, 1] > 0.5 > g[0, 2]
+
+
+def test_an_unknown_engine_is_not_trusted(monkeypatch):
+    import public_tokenizers
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    good = packing.WordTokenizer(path)
+    assert good.trusted
+    monkeypatch.setattr(packing.WordTokenizer, "chunk", lambda self, word: b"")
+    other = packing.WordTokenizer(path)
+    assert not other.trusted and other.ids("a few words") == good.whole("a few words")
+
+
+def test_quantiles_are_whole_counts(spark):
+    hist = spark.createDataFrame([(5, 1), (7, 1), (9, 1), (11, 7)], "n_tokens long, n_docs long")
+    sums = token_counts.with_suffix_sums(hist).cache()
+    assert [token_counts.quantile(sums, q).first()[0] for q in (0.1, 0.2, 0.3, 0.31, 1.0)] == [5, 7, 9, 11, 11]
+
+
+def test_stages_need_a_shared_folder_off_one_machine():
+    from types import SimpleNamespace
+
+    from fimspark.llm import common
+
+    none = SimpleNamespace(isDefined=lambda: False)
+    context = SimpleNamespace(master="spark://host:7077", _jsc=SimpleNamespace(sc=lambda: SimpleNamespace(getCheckpointDir=lambda: none)))
+    with pytest.raises(RuntimeError):
+        common.ensure_checkpoint_dir(SimpleNamespace(sparkContext=context, conf=SimpleNamespace(get=lambda *_: None)))
+
+
+def test_blocks_are_searched_alike_in_one_piece_and_in_chunks():
+    rng = random.Random(6)
+    sets = []
+    for _ in range(12):
+        base = rng.sample(range(10_000), 60)
+        for gone in (0, 2, 4, 6, 14):
+            sets.append(np.unique(np.asarray(base[gone:] + rng.sample(range(10_000), gone), np.uint64)))
+    n = len(sets)
+    similar = [(a, b) for a in range(n) for b in range(a) if 5 * (s := len(np.intersect1d(sets[a], sets[b]))) >= 4 * (len(sets[a]) + len(sets[b]) - s)]
+
+    def groups(pairs):
+        root = list(range(n))
+        for a, b in pairs:
+            x, y = sorted((root[a], root[b]))
+            root = [x if r == y else r for r in root]
+        return root
+
+    comp, one = np.arange(n), np.zeros(n, np.int64)
+    whole = near_copies.linked(sets, comp, one)
+    assert groups(whole) == groups(similar) and len(whole) < len(similar)
+    half = np.arange(n) % 2
+    pairs = near_copies.linked(sets, comp, half)
+    for h in (0, 1):
+        own = np.flatnonzero(half == h)
+        pairs += [(own[a], own[b]) for a, b in near_copies.linked([sets[k] for k in own], comp[own], one[own])]
+    assert groups(pairs) == groups(similar)
+
+
 # --- registry and pipeline ---
 
 
