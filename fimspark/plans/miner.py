@@ -181,12 +181,12 @@ def mine_level(
     shared_tree: bool = True,
     partners: DataFrame | None = None,
     direct: bool = False,
-    groups: int | None = None,
 ) -> DataFrame:
     """(group_id, status, itemset, support_count), written to the shared folder. anchors empty: a group's anchor is its last rank.
 
     A group over capacity is not mined but reported as needs_split. partners: (group_id, anchor, items, weight), frequent partners that go with the groups' rows. direct: proj is one
-    group, whose rows are read by one task without being sent anywhere. groups: how many there are; small as their rows may be, groups are work enough for tasks of their own.
+    group, whose rows are read by one task without being sent anywhere. Where anchors are given, each group gets a partition
+    of its own, small as its rows may be.
     """
     path_of = paths if callable(paths) else (paths or {}).get
     named = path_of if callable(paths) else lambda g: path_of(g, ())
@@ -195,8 +195,8 @@ def mine_level(
     task = _mine_task(anchors, named, min_count, capacity, max_len, use_array, shared_tree, not direct)
     if direct:
         return stage(rows.coalesce(1).mapInArrow(task, LEVEL))
-    if many := groups or len(anchors):
-        rows = rows.repartition(min(2 * many, MAX_TASKS), "group_id")
+    if anchors:
+        rows = rows.repartition(min(2 * len(anchors), MAX_TASKS), "group_id")
     return stage(rows.groupBy("group_id").applyInArrow(task, LEVEL))
 
 
@@ -435,7 +435,7 @@ def mine_per_item(tx: DataFrame, min_support: float | int, node_budget: int | No
     parts: list[DataFrame] = []
     while True:
         path_of = (lambda bases: lambda g: bases[g // step])(bases)
-        level = mine_level(ledger.watch("projected", proj), {}, mc, groups=prep.n * max(1, len(bases)), max_len=max_len, use_array=use_array, capacity=capacity, paths=path_of)
+        level = mine_level(ledger.watch("projected", proj), {}, mc, max_len=max_len, use_array=use_array, capacity=capacity, paths=path_of)
         ledger.settle()
         nodes = _notes(level, result)
         result.groups += [{"group_id": k, "lo": k % step, "hi": k % step, "est_nodes": None, "real_nodes": v, "how": "item", "depth": depth} for k, v in sorted(nodes.items())]
