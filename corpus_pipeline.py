@@ -2,6 +2,7 @@
 
 1. quality: documents that the ordinal classifier, trained on the labels, rejects go.
 2. near_dedup: of each group of documents linked by a similarity of 0.8 or more (Jaccard, five-word shingles, exact) the one of least doc_id stays.
+   Candidates meet in vantage-point trees of SimHash fingerprints.
    Texts without words are one group.
    Rows that repeat a doc_id are one document and stay or go together.
 3. decontaminate: documents that share a passage with a benchmark item go.

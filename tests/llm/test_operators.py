@@ -882,6 +882,54 @@ def test_near_dedup_removes_similar_texts(spark, monkeypatch):
     assert sorted(r.doc_id for r in p.near_dedup(spark, docs, SF).collect()) == want
 
 
+@pytest.mark.parametrize("shard", [100_000, 60])
+def test_candidates_meet_in_trees_of_fingerprints(spark, monkeypatch, shard):
+    """Points of noisy copies, ten of 64 bits apart and more: the trees connect what all pairs of blocks connect, whether or not they are dealt to shards."""
+    monkeypatch.setattr(near_copies, "SHARD", shard)
+    rng = np.random.default_rng(shard)
+    words = []
+    for base in rng.integers(0, 2, (60, 64 * near_copies.WIDE), np.uint8):
+        words += [np.packbits(base ^ (rng.random(len(base)) < share), bitorder="little").view(np.uint64) for share in (0, 0.08, 0.15, 0.2)]
+    words = np.stack(words)
+    size = rng.choice([100, 110, 130], len(words))
+    key, check = near_copies.blocks(words), words[:, : near_copies.CHECK]
+    parent = list(range(len(words)))
+    for a in range(len(words)):
+        for b in range(a):
+            met = (np.bitwise_count(key[a] ^ key[b]) <= simhash.REACH).any() and np.bitwise_count(check[a] ^ check[b]).sum() <= near_copies.FAR
+            if met and 5 * min(size[a], size[b]) >= 4 * max(size[a], size[b]):
+                lo, hi = sorted((parent[a], parent[b]))
+                parent = [lo if x == hi else x for x in parent]
+    assert 20 < sum(p != k for k, p in enumerate(parent)) < 200
+    points = spark.createDataFrame([(k, int(n), w.view(np.int64).tolist()) for k, (n, w) in enumerate(zip(size, words))], "node long, n long, fp array<long>")
+    near = near_copies.near_pairs(points)
+    got = {r.node: r.component for r in near_copies.components(near).collect()}
+    assert [got.get(k, k) for k in range(len(words))] == parent
+    assert any(np.bitwise_count(words[r.a, 0] ^ words[r.b, 0]) >= 10 for r in near.collect())
+
+
+def test_crowded_leaves_keep_all_candidates():
+    rng = np.random.default_rng(5)
+    base = rng.integers(0, 1 << 63, (4, near_copies.CHECK), np.uint64)
+    check = base[rng.integers(0, 4, 300)] ^ (np.uint64(1) << rng.integers(0, 64, (300, near_copies.CHECK), np.uint64))
+    key, size = rng.integers(0, 2, 300, np.uint64), np.full(300, 50)
+    whole, crowd = (near_copies.candidates(key, check, size, np.arange(300) % 3 > 0, leaf=16, dense=d) for d in (4096, 10))
+    for c in (whole, crowd):
+        near = np.bitwise_count(check[:, None] ^ check[None]).sum(axis=2) <= near_copies.FAR
+        assert c.roots(np.arange(300)).tolist() == [int(np.flatnonzero(x).min()) for x in near]
+        pairs = np.concatenate(c.pairs())
+        assert near[pairs[:, 0], pairs[:, 1]].all()
+        again = near_copies.Candidates(check, size)
+        again.add(*pairs.T)
+        assert again.roots(np.arange(300)).tolist() == c.roots(np.arange(300)).tolist()
+
+
+def test_fingerprint_is_a_majority_of_bits():
+    s = near_copies.shingles(" ".join(f"w{k % 700}" for k in range(900)))
+    counts = [sum(int(x) >> b & 1 for x in s) for b in range(64)]
+    assert len(s) > 255 and int(near_copies.fingerprint(s)[0]) == sum(1 << b for b in range(64) if 2 * counts[b] > len(s))
+
+
 def test_pipeline_of_odd_rows(spark, odd, empty):
     import corpus_pipeline as p
 
