@@ -12,7 +12,7 @@ sets of 4 and 5 with 9e-6 for their own bound) and their sizes allow the similar
 1. Each point with the most similar of its leaders (in each shard, its least candidate). A leader's points are dealt to groups of GROUP.
 2. Components that candidates connect (a spanning forest of these is enough) form blocks. They are searched by lists of the sets that hold a shingle, for points outside the largest component.
 
-Shards hold about SHARD points, and blocks are looked at in pairs of chunks of about VOLUME shingles, so no task holds a whole tree, block or component,
+Above the trees, points are cut by the sizes of their sets (their distance from the empty set, which costs fewer crossings than other vantage points), if these differ enough. Shards hold about SHARD points, and blocks are looked at in pairs of chunks of about VOLUME shingles, so no task holds a whole tree, block or component,
 and nowhere are the pairs of a group listed. Links become components by rounds of joins.
 
 Null doc_ids are in no link. Texts without words have the empty set and are one point. Empty tables give no rows.
@@ -224,34 +224,54 @@ def _shard(t: pa.Table) -> pa.Table:
     return pa.table({"a": pa.array(node[pairs[:, 0]]), "b": pa.array(node[pairs[:, 1]]), "far": pa.array(far), "lead": pa.array(np.arange(len(pairs)) < len(leads))})
 
 
+def size_bounds(sizes: np.ndarray, parts: int) -> np.ndarray:
+    """Sizes that cut a sample into at most so many levels, each bound so far over the one before that no two similar sets have two bounds between them."""
+    part, whole = LEAST
+    out: list[int] = []
+    for s in np.sort(sizes)[[len(sizes) * k // parts for k in range(1, parts)]].tolist() if len(sizes) else []:
+        if s > int(sizes.min()) and (not out or part * s >= whole * out[-1]):
+            out.append(s)
+    return np.asarray(out, np.int64)
+
+
+def by_size(size: np.ndarray, bounds: np.ndarray) -> Iterator[tuple[int, np.ndarray, bool]]:
+    """(level, rows, stored there): each point's own level, and the next if its bound is within reach."""
+    part, whole = LEAST
+    level = np.searchsorted(bounds, size, "right")
+    for c in range(len(bounds) + 1):
+        if (own := np.flatnonzero(level == c)).size:
+            yield c, own, True
+        if c and (below := np.flatnonzero((level == c - 1) & (whole * size >= part * bounds[c - 1]))).size:
+            yield c, below, False
+
+
 def near_pairs(points: DataFrame) -> DataFrame:
     """points: node, n, fp. Distinct candidates a > b: of each point its leaders (lead), and enough to connect all that candidates connect."""
     n = points.count()
-    some = points.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).toArrow()["fp"]  # 8 * WIDE bytes each
-    fitted = blocks(_words(some)) if len(some) else np.zeros((0, BLOCKS), np.uint64)
-    leaf = max(8, int(len(fitted) * SHARD / max(n, 1)))
-    trees = points.sparkSession.sparkContext.broadcast([simhash.Tree(fitted[:, k], leaf) for k in range(BLOCKS)])
+    some = points.select("fp", "n").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).toArrow()  # 8 * WIDE bytes each
+    fitted, sizes = (blocks(_words(some["fp"])) if len(some) else np.zeros((0, BLOCKS), np.uint64)), some["n"].to_numpy()
+    leaf, bounds = max(8, int(len(fitted) * SHARD / max(n, 1))), size_bounds(sizes, -(-n // SHARD))
+    level = np.searchsorted(bounds, sizes, "right")
+    trees = points.sparkSession.sparkContext.broadcast([[simhash.Tree(fitted[level == c, k], leaf) for k in range(BLOCKS)] for c in range(len(bounds) + 1)])
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            if not b.num_rows:
-                continue
-            words = _words(b.column(2))
-            key, check = blocks(words), words[:, :CHECK].view(np.int64)
-            node, size = b.column(0).to_numpy(), b.column(1).to_numpy()
-            for tree, k in zip(trees.value, range(BLOCKS)):
-                for at, rows, home in tree.route(key[:, k], True):
-                    yield pa.RecordBatch.from_arrays(
-                        [
-                            pa.array(np.full(len(rows), k << 32 | at, np.int64)),
-                            pa.array(key[rows, k].astype(np.int32)),
-                            *(pa.array(check[rows, c]) for c in range(CHECK)),
-                            pa.array(node[rows]),
-                            pa.array(size[rows].astype(np.int32)),
-                            pa.array(home),
-                        ],
-                        names=["shard", "key", *(f"c{c}" for c in range(CHECK)), "node", "n", "stored"],
-                    )
+            words, node, size = _words(b.column(2)) if b.num_rows else None, b.column(0).to_numpy(), b.column(1).to_numpy()
+            for c, rows, stored in by_size(size, bounds):
+                key, check, own, many = blocks(words[rows]), words[rows, :CHECK].view(np.int64), node[rows], size[rows].astype(np.int32)
+                for k, tree in enumerate(trees.value[c]):
+                    for at, to, home in tree.route(key[:, k], stored):
+                        yield pa.RecordBatch.from_arrays(
+                            [
+                                pa.array(np.full(len(to), (c * BLOCKS + k) << 32 | at, np.int64)),
+                                pa.array(key[to, k].astype(np.int32)),
+                                *(pa.array(check[to, x]) for x in range(CHECK)),
+                                pa.array(own[to]),
+                                pa.array(many[to]),
+                                pa.array(home),
+                            ],
+                            names=["shard", "key", *(f"c{x}" for x in range(CHECK)), "node", "n", "stored"],
+                        )
 
     schema = "shard long, key int, " + "".join(f"c{c} long, " for c in range(CHECK)) + "node long, n int, stored boolean"
     met = points.select("node", "n", "fp").mapInArrow(route, schema).groupBy("shard").applyInArrow(_shard, "a long, b long, far long, lead boolean")

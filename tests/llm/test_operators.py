@@ -891,7 +891,7 @@ def test_candidates_meet_in_trees_of_fingerprints(spark, monkeypatch, shard):
     for base in rng.integers(0, 2, (60, 64 * near_copies.WIDE), np.uint8):
         words += [np.packbits(base ^ (rng.random(len(base)) < share), bitorder="little").view(np.uint64) for share in (0, 0.08, 0.15, 0.2)]
     words = np.stack(words)
-    size = rng.choice([100, 110, 130], len(words))
+    size = rng.choice([100, 110, 130, 150, 180], len(words))
     key, check = near_copies.blocks(words), words[:, : near_copies.CHECK]
     parent = list(range(len(words)))
     for a in range(len(words)):
@@ -901,6 +901,7 @@ def test_candidates_meet_in_trees_of_fingerprints(spark, monkeypatch, shard):
                 lo, hi = sorted((parent[a], parent[b]))
                 parent = [lo if x == hi else x for x in parent]
     assert 20 < sum(p != k for k, p in enumerate(parent)) < 200
+    assert len(near_copies.size_bounds(size, -(-len(words) // shard))) == 2 * (shard < 100)
     points = spark.createDataFrame([(k, int(n), w.view(np.int64).tolist()) for k, (n, w) in enumerate(zip(size, words))], "node long, n long, fp array<long>")
     near = near_copies.near_pairs(points)
     got = {r.node: r.component for r in near_copies.components(near).collect()}
@@ -908,6 +909,23 @@ def test_candidates_meet_in_trees_of_fingerprints(spark, monkeypatch, shard):
     assert any(np.bitwise_count(words[r.a, 0] ^ words[r.b, 0]) >= 10 for r in near.collect())
 
 
+def test_similar_sizes_meet_in_one_level():
+    sizes = np.arange(1, 400)
+    bounds = near_copies.size_bounds(sizes, 40)
+    assert len(bounds) > 10 and near_copies.size_bounds(np.full(50, 7), 9).tolist() == [] == near_copies.size_bounds(sizes[:0], 1).tolist()
+    held = {}
+    for c, rows, stored in near_copies.by_size(sizes, bounds):
+        for r in rows.tolist():
+            held.setdefault(r, {})[c] = stored
+    assert all(sum(x.values()) == 1 and len(x) < 3 for x in held.values())
+    for a in range(len(sizes)):
+        for b in range(a, len(sizes)):
+            if 5 * sizes[a] < 4 * sizes[b]:
+                break
+        for near in range(a, b):
+            assert any(held[a][c] or held[near][c] for c in held[a].keys() & held[near].keys())
+
+
 def test_crowded_leaves_keep_all_candidates():
     rng = np.random.default_rng(5)
     base = rng.integers(0, 1 << 63, (4, near_copies.CHECK), np.uint64)
