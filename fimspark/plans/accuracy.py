@@ -9,11 +9,15 @@ from ..operators.prefixtree import count_nodes
 from .miner import MiningResult
 
 
-def group_estimates(spark: SparkSession, result: MiningResult, capacity: int | None = None) -> DataFrame:
-    """(group_id, lo, hi, est_nodes, real_nodes, ratio, utilisation): ratio is estimate over real size, so both kinds of error show."""
+def group_estimates(spark: SparkSession, result: MiningResult, capacity: int | None = None, planned: bool = False) -> DataFrame:
+    """(group_id, lo, hi, est_nodes, real_nodes, ratio, utilisation): ratio is estimate over real size, so both kinds of error show.
+
+    planned: only the groups of the plan for the table itself, without those that large ones were cut into, which have ids of their own.
+    """
     rows = [
         (int(g["group_id"]), int(g["lo"]), int(g["hi"]), None if g["est_nodes"] is None else float(g["est_nodes"]), int(g["real_nodes"] or 0), g["how"])
         for g in result.groups
+        if not planned or (g["how"] != "split" and not g.get("depth"))
     ]
     df = spark.createDataFrame(rows, "group_id long, lo int, hi int, est_nodes double, real_nodes long, how string")
     df = df.withColumn("ratio", F.round(F.try_divide("est_nodes", "real_nodes"), 6))

@@ -9,6 +9,7 @@ import __spark_entry__ as entry
 from fimspark import queries as catalogue
 from fimspark.functions import sqlapi
 from fimspark.operators import relops
+from fimspark.plans import budget
 from fimspark.sources import baskets as B
 from fimspark.sources import synth
 from fimspark.sources.tables import read_baskets, table, write_baskets
@@ -158,3 +159,14 @@ def test_nested_loop_pairs_blocks(spark, monkeypatch):
     assert bag(relops.join_blocks(a, b, "k", "j")) == want and len(want) == 7
     plan = catalogue.queries()["join_inner_shuffle_replicate_nl"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct (_a" in plan and "l_partkey" not in plan.split("CartesianProduct")[1].split("\n")[0]
+
+
+@pytest.mark.parametrize("name", ["group_estimates"])
+def test_groups_that_no_task_can_hold_equal_sql(spark, duck, monkeypatch, name):
+    """With a budget of a few hundred nodes, as with the usual one on larger tables, most groups are cut or become databases of their own."""
+    usable = budget.usable_nodes(900)
+    sql = catalogue.oracle_sql()[name].replace(str(catalogue._USABLE), str(usable))
+    monkeypatch.setitem(catalogue.BUDGET, "w1", 900)
+    monkeypatch.setattr(catalogue, "_USABLE", usable)
+    got, want = catalogue.queries()[name](spark, SF).toPandas(), duck.execute(sql).fetchdf()
+    assert sorted(got.columns) == sorted(want.columns) and cells(got) == cells(want)
